@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, langid, pieces, quality, substrings, tokencount
+from . import decontaminate, html, langid, neardup, pieces, quality, shards, substrings, surrogates, tokencount
 
 
 def tokenizer(name: str) -> str:
@@ -18,6 +18,10 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neardup.near_classes(table(spark, sf_dir, "documents")).select("doc_id", "class_id", "copies")
+
+
 def op2_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substrings.dedup(table(spark, sf_dir, "documents")).drop("kept_text")
 
@@ -31,6 +35,19 @@ def op4_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.drop("spans", "items")
 
 
+def op5_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    store, rows = shards.sharded(table(spark, sf_dir, "documents"))
+    return rows.select("doc_id", F.octet_length("text").cast("long").alias("n_bytes"), F.md5("text").alias("text_md5"), F.col("_metadata.file_size").alias("shard_bytes"), F.concat_ws("/", F.element_at(F.split("_metadata.file_path", "/"), -2), "_metadata.file_name").alias("shard"))
+
+
+def op6_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html.extract(table(spark, sf_dir, "pages"))
+
+
+def op7_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return surrogates.counted(table(spark, sf_dir, "documents"))
+
+
 def op8_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang", (F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(4)) == 2).alias("held_out"))
     model = langid.fit(docs.where("NOT held_out").drop("held_out"))
@@ -46,11 +63,24 @@ def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op2_substring_dedup, op3_sentence_pieces, op4_decontaminate, op8_language, op9_token_counts, op10_quality)}
+    return {f.__name__: f for f in (op1_near_duplicates, op2_substring_dedup, op3_sentence_pieces, op4_decontaminate, op5_shards, op6_main_text, op7_surrogates, op8_language, op9_token_counts, op10_quality)}
 
 
 WORDS = r"regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')"
 
+OP1 = rf"""
+WITH RECURSIVE d AS (SELECT doc_id, {WORDS} AS w FROM documents),
+     n AS (SELECT w, min(doc_id) AS node, count(*) AS copies FROM d WHERE len(w) > 0 GROUP BY w),
+     x AS (SELECT node, md5(array_to_string(w[i:i + least(5, len(w)) - 1], ' ')) AS h FROM (SELECT node, w, unnest(range(1, greatest(len(w) - 4, 1) + 1)) AS i FROM n)),
+     s AS (SELECT node, h, row_number() OVER (PARTITION BY node, h) AS c, count(*) OVER (PARTITION BY node) AS size FROM x),
+     p AS (SELECT a.node AS a, b.node AS b FROM s a JOIN s b ON a.h = b.h AND a.c = b.c AND a.node < b.node GROUP BY a.node, b.node, a.size, b.size HAVING count(*) >= 0.8 * (a.size + b.size - count(*))),
+     e AS (SELECT a, b FROM p UNION ALL SELECT b, a FROM p),
+     r AS (SELECT a AS node, a AS seen FROM e UNION SELECT r.node, e.b FROM r JOIN e ON r.seen = e.a),
+     l AS (SELECT node, min(seen) AS label FROM r GROUP BY node)
+SELECT d.doc_id, coalesce(label, n.node, d.doc_id) AS class_id, coalesce(copies, 1)::BIGINT AS copies
+FROM d LEFT JOIN n ON d.w = n.w LEFT JOIN l ON n.node = l.node
+"""
+
 OP2 = rf"""
 WITH d AS (SELECT doc_id, {WORDS} AS w FROM documents),
      p AS (SELECT doc_id, w, unnest(range(1, len(w) - 11)) AS i FROM d WHERE len(w) >= 13),
@@ -110,4 +140,4 @@ FROM z
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_substring_dedup": OP2, "op4_decontaminate": OP4, "op10_quality": _op10()}
+    return {"op1_near_duplicates": OP1, "op2_substring_dedup": OP2, "op4_decontaminate": OP4, "op10_quality": _op10()}
