@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .neardup import kept
+from .spool import kept, placed
 
 #: Elements and names of parts that are not main text, and elements that begin a block.
 RAW = "script|style|noscript|template|svg|iframe|object|canvas|audio|video|textarea|select|button|math|head"
@@ -178,7 +178,7 @@ def shared_lines(pages: DataFrame) -> DataFrame:
     schema = "host string, path string, page_id long, row_key long, lines array<long>"
     bare = F.regexp_replace("url", "^[A-Za-z][A-Za-z0-9+.-]*://", "")
     named = pages.where("url IS NOT NULL").select(F.lower(F.regexp_extract(bare, "^([^/?#]*)", 1)).alias("host"), F.regexp_extract(bare, "^[^/?#]*([^?#]*)", 1).alias("path"), "page_id", F.xxhash64("url", "html").alias("row_key"), "html")
-    ordered = kept(kept(named.mapInArrow(outline, schema)).distinct().repartitionByRange("host", "path", "page_id", "row_key").sortWithinPartitions("host", "path", "page_id", "row_key"))
+    ordered = placed(kept(named.mapInArrow(outline, schema)).distinct().repartitionByRange("host", "path", "page_id", "row_key").sortWithinPartitions("host", "path", "page_id", "row_key"))
 
     def ends(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext

@@ -27,22 +27,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import textnum as tn
+from .spool import dropped, kept
 
 WORDS, BANDS, ROWS = 5, 20, 5
 SIMILARITY = 0.8
 U = np.uint64
 
 
-def kept(df: DataFrame) -> DataFrame:
-    """The rows written to the shared checkpoint folder, with lineage cut."""
-    context = df.sparkSession.sparkContext
-    if context.getCheckpointDir() is None:
-        import tempfile
-
-        context.setCheckpointDir(context.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp())
-    return df.checkpoint()
-
-
 def multisets(data: np.ndarray, offsets: np.ndarray, words: int = WORDS) -> tuple[tn.Words, np.ndarray, np.ndarray, np.ndarray]:
     """Words; then document, shingle hash and weight of all distinct shingles, in order of document and hash."""
     w = tn.words_of(data, offsets, hashes=2)
@@ -171,6 +162,7 @@ def classes(links: DataFrame) -> DataFrame:
         while True:
             over = up.select(F.col("node").alias("label"), F.col("label").alias("next"))
             moved = kept(up.join(over, "label").select("node", F.col("next").alias("label"), (F.col("next") < F.col("label")).alias("moved")))
+            dropped(up)
             up = moved.drop("moved")
             if moved.where("moved").isEmpty():
                 break

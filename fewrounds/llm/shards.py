@@ -21,6 +21,8 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .spool import folder
+
 
 @dataclass(frozen=True)
 class Shard:
@@ -149,10 +151,7 @@ class ShardStore:
 
 def shared_folder(spark: SparkSession) -> str:
     """A new folder where all executors see it."""
-    import tempfile
-
-    base = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.sparkContext.getCheckpointDir() or tempfile.mkdtemp()
-    return f"{base}/shards-{uuid.uuid4().hex}"
+    return f"{folder(spark)}/shards-{uuid.uuid4().hex}"
 
 
 def sharded(docs: DataFrame, arrivals: int = 4, target_bytes: int = 64 << 20, fan_in: int = 4, root: str | None = None) -> tuple[ShardStore, DataFrame]:

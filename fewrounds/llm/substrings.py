@@ -30,6 +30,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from . import textnum as tn
+from .spool import kept
 
 LENGTH = 13
 FLUSH = 1_000_000  # windows that a task compares at once
@@ -180,7 +181,7 @@ def _extended(joined: DataFrame, half: int, length: int) -> DataFrame:
 def _copies(texts: DataFrame) -> DataFrame:
     """doc_id and is_copy (true) of documents whose whole text a smaller document has."""
     own = texts.where("doc_id IS NOT NULL AND text IS NOT NULL").select("doc_id", F.xxhash64("text").alias("a"), F.md5("text").alias("b"))
-    first = own.groupBy("a", "b").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).where("first < last").drop("last")
+    first = kept(own.groupBy("a", "b").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).where("first < last").drop("last"))
     return own.join(first, ["a", "b"]).where("doc_id > first").select("doc_id").distinct().withColumn("is_copy", F.lit(True))
 
 

@@ -22,6 +22,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .spool import kept
+
 KEY = "surrogates-1"
 MAX_REPAIRS = 2000
 
@@ -201,10 +203,10 @@ def entities(docs: DataFrame) -> DataFrame:
 
 def repairs(docs: DataFrame, key: str = KEY, attempts: int = 8) -> DataFrame:
     """entity and attempt of the entities whose first surrogate fails the checks; empty as a rule."""
-    known = _kept(entities(docs).select("entity", F.lower(surrogate(F.col("entity"), key)).alias("name")))
+    known = kept(entities(docs).select("entity", F.lower(surrogate(F.col("entity"), key)).alias("name")))
     real = known.select(F.col("entity").alias("name"))
     bad = known.join(real, "name", "left_semi").select("entity")
-    out = _kept(bad.withColumn("attempt", F.lit(0)))
+    out = kept(bad.withColumn("attempt", F.lit(0)))
     taken = known.join(bad, "entity", "left_anti").select("name")
     settled, open_ = None, out
     for k in range(1, attempts):
@@ -212,19 +214,13 @@ def repairs(docs: DataFrame, key: str = KEY, attempts: int = 8) -> DataFrame:
             break
         tried = open_.select("entity", F.lower(surrogate(F.col("entity"), key, k)).alias("name"))
         first = tried.groupBy("name").agg(F.min("entity").alias("entity"))
-        good = _kept(first.join(real, "name", "left_anti").join(taken, "name", "left_anti").select("entity", "name", F.lit(k).alias("attempt")))
+        good = kept(first.join(real, "name", "left_anti").join(taken, "name", "left_anti").select("entity", "name", F.lit(k).alias("attempt")))
         settled = good if settled is None else settled.unionByName(good)
         taken = taken.unionByName(good.select("name"))
-        open_ = _kept(open_.join(good, "entity", "left_anti"))
+        open_ = kept(open_.join(good, "entity", "left_anti"))
     return out.where("false") if settled is None else settled.select("entity", "attempt")
 
 
-def _kept(df: DataFrame) -> DataFrame:
-    from .neardup import kept
-
-    return kept(df)
-
-
 def replace(docs: DataFrame, key: str = KEY, check: bool = True) -> DataFrame:
     """All rows and columns, with the entities in ``text`` replaced."""
     fixes: list = []
