@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from fewrounds.llm import decontaminate, neardup, pieces, quality, surrogates
 from fewrounds.llm.queries import table, tokenizer
+from fewrounds.llm.spool import folder
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -44,14 +45,11 @@ ORACLE_SQL = None
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The rows of the last stage; every stage but the last is written as Parquet to the shared folder and reread."""
-    import tempfile
-
-    base = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.sparkContext.getCheckpointDir() or tempfile.mkdtemp()
     docs = table(spark, sf_dir, "documents")
     for k, (_, stage) in enumerate(STAGES):
         docs = stage(spark, docs, sf_dir)
         if k < len(STAGES) - 1:
-            path = f"{base}/corpus-{uuid.uuid4().hex}"
+            path = f"{folder(spark)}/corpus-{uuid.uuid4().hex}"
             docs.write.parquet(path)
             docs = spark.read.parquet(path)
     return docs
