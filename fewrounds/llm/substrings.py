@@ -152,7 +152,8 @@ def _extended(joined: DataFrame, half: int, length: int) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         pool = _Pool(1)
-        for part, data, offsets in tn.batched(batches, "text"):
+        some = (b.filter(pa.array((b.column(2).is_valid()).to_numpy(zero_copy_only=False))) for b in batches)
+        for part, data, offsets in tn.batched(some, "text"):
             ids, _ = _ids(part)
             w = tn.words_of(data, offsets, hashes=2)
             full, best, at, h = stand_ins(w, half, length)
@@ -209,7 +210,7 @@ def _flagged(docs: DataFrame, length: int) -> DataFrame:
     half = max(1, length // 2)
     copies = _copies(texts)
     alive = _candidates(texts, half, length).join(copies, "doc_id", "left_anti")
-    joined = texts.join(alive, "doc_id")
+    joined = texts.join(alive, "doc_id", "left")  # left like the last join, so that both read one exchange of the texts
     gone = _extended(joined, half, length).join(copies, "doc_id", "full_outer")
     return texts.join(gone, "doc_id", "left")
 
