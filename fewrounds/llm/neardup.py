@@ -8,9 +8,13 @@ a piece stops as soon as its next point comes later than the latest slot, so lon
 
 Equal texts are one node from the start.  Slots are joined to bands; nodes that share a band are candidates.  In each
 bucket one node at a time is compared with all nodes of other classes, by the exact weighted overlap of their
-multisets; the classes are updated, and a bucket ends when it holds a single class.  After ``rounds`` such rounds the
-pairs of different classes that are left are all compared.  So every candidate pair ends up either compared or already
-in one class, while a bucket of near copies costs a comparison for each member, not for each pair.
+multisets; the classes are updated, and a bucket ends when it holds a single class.  Members that have too many
+shingles of their own, which no other document of these buckets has, to be similar to anyone leave it.  After
+``rounds`` such rounds the members that are left are dealt by bucket, in blocks of at most ``BLOCK_BYTES``, and their
+pairs of different classes are settled in place: by size and own shingles, by the share of equal slots (below
+``SLOTS_LEAST`` of them a similarity of 0.8 has a chance of 3 in 10,000), or by exact overlap.  So every candidate
+pair ends up settled or in one class already, no pair leaves its task unless it is a link, and a bucket of near copies
+costs about a comparison for each member.
 
 Defined results: a text without words is a class of its own; a text of fewer words than a shingle is one shingle, the
 whole text; texts with the same words are in one class; the class id is the least doc_id of the class (null only if
@@ -31,6 +35,8 @@ from .spool import dropped, kept
 
 WORDS, BANDS, ROWS = 5, 20, 5
 SIMILARITY = 0.8
+BLOCK_BYTES = 32 << 20
+SLOTS_LEAST = 0.14  # below the wanted similarity
 U = np.uint64
 
 
@@ -151,6 +157,95 @@ def _verified(pairs: DataFrame, bags: DataFrame, similarity: float) -> DataFrame
     return pairs.join(one, "a").join(two, "b").select("a", "b", "x", "y").mapInArrow(run, "a binary, b binary")
 
 
+def _mixed(here: DataFrame) -> DataFrame:
+    """The rows of buckets that hold several classes."""
+    several = kept(here.groupBy("bucket").agg(F.min("label").alias("low"), F.max("label").alias("high")).where("low <> high").select("bucket"))
+    return kept(here.join(several, "bucket"))
+
+
+def _facts(bags: DataFrame, nodes: DataFrame) -> DataFrame:
+    """node, size (shingles) and own (shingles that no other of these nodes has)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for key, bag in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                h = np.frombuffer(bag, np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(h), pa.array(np.full(len(h), key))], ["h", "key"])
+
+    own = bags.join(nodes, "node").withColumn("key", F.xxhash64("node"))
+    counted = own.select("key", "bag").mapInArrow(run, "h long, key long").groupBy("h").agg(F.count(F.lit(1)).alias("n"), F.min("key").alias("key"))
+    single = counted.where("n = 1").groupBy("key").agg(F.count(F.lit(1)).alias("own"))
+    return own.select("node", "key", (F.length("bag") / 8).cast("long").alias("size")).distinct().join(single, "key", "left").select("node", "size", F.coalesce("own", F.lit(0)).cast("long").alias("own"))
+
+
+def _most(size, own, other_size, other_own):
+    """The largest similarity two multisets can have, given their sizes and what no other multiset has."""
+    common = F.least(size - own, other_size - other_own)
+    return common / (size + other_size - common)
+
+
+def _linkable(here: DataFrame, similarity: float) -> DataFrame:
+    """Without the members that no partner in their bucket can be similar enough to: even the best partner's size,
+    between what a member shares at most and the bucket's least size, gives too little."""
+    least = kept(here.groupBy("bucket").agg(F.min("size").alias("least")))
+    shared = F.col("size") - F.col("own")
+    best = F.greatest(F.col("least"), shared)
+    return here.join(least, "bucket").where(shared / (best + F.col("own")) >= similarity).drop("least")
+
+
+def _settled(members: list[tuple], similarity: float, rows: int) -> list[tuple[bytes, bytes]]:
+    """Links between members (node, label, size, own, block, signature, bag) of one bucket that join its classes."""
+    n = len(members)
+    sig = np.frombuffer(b"".join(m[5] for m in members), np.uint32).reshape(n, -1)
+    bands = sig.reshape(n, -1, rows)
+    alike = (bands == bands[:1]).all((0, 2))  # bands in which all members agree
+    names: dict[bytes, int] = {}
+    label = np.array([names.setdefault(m[1], len(names)) for m in members])
+    size, own, block = (np.array([m[k] for m in members], float) for k in (2, 3, 4))
+    apart = len(set(block)) > 1  # two blocks meet: pairs within one are settled elsewhere
+    links = []
+    for i in range(n - 1):
+        j = np.flatnonzero(label[i + 1 :] != label[i]) + i + 1
+        if apart:
+            j = j[block[j] != block[i]]
+        common = np.minimum(size[i] - own[i], size[j] - own[j])
+        j = j[common >= similarity * (size[i] + size[j] - common)]
+        same = sig[j] == sig[i]
+        j, same = j[(close := same.mean(1) >= similarity - SLOTS_LEAST)], same[close]
+        first = same.reshape(len(j), sig.shape[1] // rows, rows).all(2).argmax(1)  # a pair is settled where it meets first
+        for k in j[alike[first]].tolist():
+            if label[k] != label[i] and similarity_of(members[i][6], members[k][6]) >= similarity:
+                links.append((members[i][0], members[k][0]))
+                label[label == label[k]] = label[i]
+    return links
+
+
+def _finished(here: DataFrame, signed: DataFrame, bags: DataFrame, similarity: float, rows: int) -> DataFrame:
+    """Links (a, b) between the classes of the buckets' members."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        key, members = None, []
+
+        def done() -> pa.RecordBatch:
+            links = _settled(members, similarity, rows) if len(members) > 1 else []
+            return pa.RecordBatch.from_arrays([pa.array([x for x, _ in links], pa.binary()), pa.array([y for _, y in links], pa.binary())], ["a", "b"])
+
+        for batch in batches:
+            for row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if row[:3] != key:
+                    if members:
+                        yield done()
+                    key, members = row[:3], []
+                members.append(row[3:])
+        if members:
+            yield done()
+
+    parts = kept(here.groupBy("bucket").agg(F.ceil(F.sum(F.col("size") * 8 + 1000) / BLOCK_BYTES).cast("int").alias("n")))
+    dealt = here.join(parts, "bucket").withColumn("block", F.pmod(F.xxhash64("node"), F.col("n")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("n") - 1)))
+    full = dealt.join(signed, "node").join(bags, "node").select("bucket", F.least("block", "other").alias("low"), F.greatest("block", "other").alias("high"), "node", "label", "size", "own", "block", "signature", "bag")
+    return full.repartition("bucket", "low", "high").sortWithinPartitions("bucket", "low", "high", "node").mapInArrow(run, "a binary, b binary").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
+
+
 def classes(links: DataFrame) -> DataFrame:
     """node and label (its class's least node) of all nodes of some links (a, b), by hooking and pointer jumping.
 
@@ -178,40 +273,44 @@ def classes(links: DataFrame) -> DataFrame:
             return labels
 
 
-def near_classes(docs: DataFrame, similarity: float = SIMILARITY, bands: int = BANDS, rows: int = ROWS, words: int = WORDS, rounds: int = 4) -> DataFrame:
+def near_classes(docs: DataFrame, similarity: float = SIMILARITY, bands: int = BANDS, rows: int = ROWS, words: int = WORDS, rounds: int = 3) -> DataFrame:
     """doc_id, class_id, n_links (verified links of the row's text, exact copies aside) and copies (rows with the same
     words) for every row."""
     spark: SparkSession = docs.sparkSession
     sketched = kept(sketch(docs, bands, rows, words))
     nodes = sketched.where("node IS NOT NULL").groupBy("node").agg(F.min("doc_id").alias("doc_id"), F.count(F.lit(1)).alias("copies"))
     nodes = kept(nodes)
-    signed = sketched.join(nodes.select("doc_id", "node"), ["doc_id", "node"]).select("node", "signature")
+    signed = kept(sketched.join(nodes.select("doc_id", "node"), ["doc_id", "node"]).select("node", "signature").dropDuplicates(["node"]))
     in_bucket = kept(signed.select("node", F.explode(F.array(*(F.xxhash64(F.substring("signature", 1 + 4 * rows * k, 4 * rows), F.lit(k)) for k in range(bands)))).alias("bucket")).distinct())
     full = kept(in_bucket.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("bucket"))
     left = kept(in_bucket.join(full, "bucket"))
     bags = kept(_bags(docs, left.select("node").distinct().join(nodes, "node").where("doc_id IS NOT NULL").select("doc_id", "node"), words))
-    links, labels = None, None
+    links, labels, facts = None, None, None
     done = False
     for k in range(rounds + 1):
         if left.isEmpty():
             break
-        here = left.withColumn("label", F.col("node")) if labels is None else left.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
-        if labels is not None:  # buckets that hold several classes go on
-            here = kept(here)
-            mixed = kept(here.groupBy("bucket").agg(F.min("label").alias("low"), F.max("label").alias("high")).where("low <> high").select("bucket"))
-            here = kept(here.join(mixed, "bucket"))
+        if labels is None:
+            here = left.withColumn("label", F.col("node"))
+        else:  # buckets that hold several classes go on, with those members that can have a link at all
+            here = kept(left.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node")))
+            here = _mixed(here)
+            if facts is None:
+                facts = kept(_facts(bags, here.select("node").distinct()))
+            here = _mixed(_linkable(here.join(facts, "node"), similarity))
             if here.isEmpty():
                 break
         if k < rounds:
-            chosen = kept(here.groupBy("bucket").agg(F.min(F.struct("node", "label")).alias("c")).select("bucket", F.col("c.node").alias("centre"), F.col("c.label").alias("centre_label")))
+            rank = F.struct("node", "label") if facts is None else F.struct((F.col("own") / F.col("size")).alias("share"), "node", "label", "size", "own")
+            chosen = kept(here.groupBy("bucket").agg(F.min(rank).alias("c")))
             joined = here.join(chosen, "bucket")
-            pairs = joined.where("node <> centre AND label <> centre_label").select(F.col("node").alias("a"), F.col("centre").alias("b"))
-            left = kept(joined.where("node <> centre").select("bucket", "node"))
+            pairs = joined.where("node <> c.node AND label <> c.label").withColumns({"a": F.col("node"), "b": F.col("c.node")})
+            if facts is not None:
+                pairs = pairs.where(_most(F.col("size"), F.col("own"), F.col("c.size"), F.col("c.own")) >= similarity)
+            left = kept(joined.where("node <> c.node").select("bucket", "node"))
+            new = kept(_verified(kept(pairs.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()), bags, similarity))
         else:  # what is left, whole
-            other = here.select("bucket", F.col("node").alias("b"), F.col("label").alias("other"))
-            pairs = here.select("bucket", F.col("node").alias("a"), "label").join(other, "bucket").where("label < other").select("a", "b")
-            done = True
-        new = kept(_verified(kept(pairs.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()), bags, similarity))
+            new, done = kept(_finished(here, signed, bags, similarity, rows)), True
         links = new if links is None else links.unionByName(new)
         if not new.isEmpty():
             labels = classes(links)
