@@ -71,9 +71,26 @@ def union_find_task(links: DataFrame, weighted: bool = False) -> tuple[DataFrame
     return solved.where("NOT is_edge").select(F.col("a").alias("vid"), F.col("b").alias("comp")), solved.where("is_edge").select(F.col("a").alias("src"), F.col("b").alias("dst"))
 
 
-def pointer_double(parents: DataFrame) -> DataFrame:
-    """vid, root from acyclic pointers (vid, parent); a root points to itself."""
+def pointer_double(parents: DataFrame, limit: int = TASK_LIMIT) -> DataFrame:
+    """vid, root from acyclic pointers (vid, parent); a root points to itself, and so does a parent without a row.
+
+    Up to ``limit`` pointers one task doubles them in memory; beyond it they double by self-joins."""
     up = cut(parents.select("vid", F.col("parent").alias("root")))
+    if up.limit(limit + 1).count() <= limit:
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            parts = [(b.column(0).to_numpy(), b.column(1).to_numpy()) for b in batches if b.num_rows]
+            if not parts:
+                return
+            vid, to = (np.concatenate(x) for x in zip(*parts, strict=True))
+            ids = np.unique(np.concatenate([vid, to]))
+            root = np.arange(len(ids))
+            root[np.searchsorted(ids, vid)] = np.searchsorted(ids, to)
+            while (root[root] != root).any():
+                root = root[root]
+            yield pa.RecordBatch.from_arrays([pa.array(vid), pa.array(ids[root[np.searchsorted(ids, vid)]])], ["vid", "root"])
+
+        return cut(up.coalesce(1).mapInArrow(run, "vid long, root long"))
     while True:
         over = up.select(F.col("vid").alias("root"), F.col("root").alias("next"))
         moved = cut(up.join(over, "root", "left").select("vid", F.coalesce("next", "root").alias("root"), (F.coalesce("next", "root") != F.col("root")).alias("moved")))
