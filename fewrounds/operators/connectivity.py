@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions.params import Params, params_for
 from ..plans.spool import cut
-from .components import ComponentResult, as_links, canonical_labels, complete_partition
+from .components import TASK_LIMIT, ComponentResult, as_links, canonical_labels, complete_partition
 from .graphs import EdgeSet, crossing_edges
 from .sampling import contract_by_samples
 from .sketches import finish_by_sketches
@@ -20,7 +20,7 @@ def merge_results(vertices: DataFrame, one: DataFrame, two: DataFrame, mode: str
     return ComponentResult(canonical_labels(vertices, labels), forest)
 
 
-def connected_components(g: EdgeSet, params: Params | None = None, mode: str = "auto", reuse_asleep_edges: bool = False) -> ComponentResult:
+def connected_components(g: EdgeSet, params: Params | None = None, mode: str = "auto", reuse_asleep_edges: bool = False, exact_below: int = TASK_LIMIT) -> ComponentResult:
     """labels (vid, comp: the least id) and forest.  The coins change cost only: every hook goes along an edge."""
     p = params or params_for(g.n)
     split = sparsify_by_degree(g, p.s, mode=mode)
@@ -28,7 +28,7 @@ def connected_components(g: EdgeSet, params: Params | None = None, mode: str = "
     crossing = not crossing_edges(split.edges_a, split.labels).limit(1).isEmpty()
     forest_a, labels_a = split.forest, split.labels
     if crossing:
-        done = finish_by_sketches(part_a, labels_a, forest_a, seed=p.seed, mode=mode)
+        done = finish_by_sketches(part_a, labels_a, forest_a, seed=p.seed, mode=mode, exact_below=exact_below)
         labels_a, forest_a = done.labels, done.forest
     if split.edges_b.isEmpty():
         return ComponentResult(canonical_labels(g.vertices, labels_a), forest_a)
@@ -36,10 +36,10 @@ def connected_components(g: EdgeSet, params: Params | None = None, mode: str = "
     if reuse_asleep_edges:  # what stage 1 and 2 found among the asleep is part of the forest already
         labels_b, forest_b = labels_a, forest_a
         part_b = EdgeSet(g.vertices, crossing_edges(split.edges_b, labels_a).select("src", "dst"))
-        done = finish_by_sketches(part_b, labels_b, forest_b, seed=p.seed + 1, mode=mode)
+        done = finish_by_sketches(part_b, labels_b, forest_b, seed=p.seed + 1, mode=mode, exact_below=exact_below)
         return ComponentResult(canonical_labels(g.vertices, done.labels), done.forest)
     labels_b, forest_b, _ = contract_by_samples(part_b, p)
-    done = finish_by_sketches(part_b, labels_b, cut(forest_b), seed=p.seed + 1, mode=mode)
+    done = finish_by_sketches(part_b, labels_b, cut(forest_b), seed=p.seed + 1, mode=mode, exact_below=exact_below)
     return merge_results(g.vertices, forest_a, done.forest, mode)
 
 
