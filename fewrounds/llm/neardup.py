@@ -242,7 +242,8 @@ def _finished(here: DataFrame, signed: DataFrame, bags: DataFrame, similarity: f
 
     parts = kept(here.groupBy("bucket").agg(F.ceil(F.sum(F.col("size") * 8 + 1000) / BLOCK_BYTES).cast("int").alias("n")))
     dealt = here.join(parts, "bucket").withColumn("block", F.pmod(F.xxhash64("node"), F.col("n")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("n") - 1)))
-    full = dealt.join(signed, "node").join(bags, "node").select("bucket", F.least("block", "other").alias("low"), F.greatest("block", "other").alias("high"), "node", "label", "size", "own", "block", "signature", "bag")
+    whole = kept(signed.join(here.select("node").distinct(), "node", "left_semi").join(bags, "node"))
+    full = dealt.join(whole, "node").select("bucket", F.least("block", "other").alias("low"), F.greatest("block", "other").alias("high"), "node", "label", "size", "own", "block", "signature", "bag")
     return full.repartition("bucket", "low", "high").sortWithinPartitions("bucket", "low", "high", "node").mapInArrow(run, "a binary, b binary").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
 
 
@@ -295,9 +296,10 @@ def near_classes(docs: DataFrame, similarity: float = SIMILARITY, bands: int = B
         else:  # buckets that hold several classes go on, with those members that can have a link at all
             here = kept(left.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node")))
             here = _mixed(here)
-            if facts is None:
+            if facts is None:  # from here on the rows carry them
                 facts = kept(_facts(bags, here.select("node").distinct()))
-            here = _mixed(_linkable(here.join(facts, "node"), similarity))
+                here = here.join(facts, "node")
+            here = _mixed(_linkable(here, similarity))
             if here.isEmpty():
                 break
         if k < rounds:
@@ -307,7 +309,7 @@ def near_classes(docs: DataFrame, similarity: float = SIMILARITY, bands: int = B
             pairs = joined.where("node <> c.node AND label <> c.label").withColumns({"a": F.col("node"), "b": F.col("c.node")})
             if facts is not None:
                 pairs = pairs.where(_most(F.col("size"), F.col("own"), F.col("c.size"), F.col("c.own")) >= similarity)
-            left = kept(joined.where("node <> c.node").select("bucket", "node"))
+            left = kept(joined.where("node <> c.node").select("bucket", "node", *([] if facts is None else ["size", "own"])))
             new = kept(_verified(kept(pairs.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()), bags, similarity))
         else:  # what is left, whole
             new, done = kept(_finished(here, signed, bags, similarity, rows)), True
