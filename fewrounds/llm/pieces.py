@@ -31,7 +31,7 @@ from . import textnum as tn
 
 MARK = 0x2581
 LITERAL = 0x110000  # a space mark that the text itself holds
-LEXICON_CHARS = 1_500_000  # known units are forgotten beyond this
+LEXICON_CHARS = 500_000  # known units are forgotten beyond this
 BYTES = -1
 
 
@@ -127,8 +127,8 @@ class Lattice:
         self.n_nodes = 0
         self.node_edge = np.zeros(0, np.int64)  # first edge of each node
         self.edge_share = np.zeros(0)  # cumulative within a node
-        self.edge_piece = np.zeros(0, np.int64)
-        self.edge_size = np.zeros(0, np.int64)
+        self.edge_piece = np.zeros(0, np.int32)
+        self.edge_size = np.zeros(0, np.int32)
 
     def learn(self, cps: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
         """Edges into every node of some units by forward filtering: cumulative shares, pieces, sizes; first edge of
@@ -194,7 +194,7 @@ class Lattice:
             at, last = at[at < last] + 1, last[at < last]
             rising[at] += rising[at - 1]
         rising[tails] = 2.0  # the last edge of a node takes what rounding leaves
-        return rising, piece, size, heads, first
+        return rising, piece.astype(np.int32), size.astype(np.int32), heads, first
 
     def units(self, cps: np.ndarray, text_starts: np.ndarray) -> np.ndarray:
         """Starts of the lattice's units."""

@@ -7,12 +7,14 @@ scratch memory stays at some tens of megabytes whatever the length of one docume
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 
+_libc = ctypes.CDLL(None)
 U64 = np.uint64
 PIECE = 1 << 20  # bytes hashed at a time
 
@@ -96,12 +98,21 @@ def slices(offsets: np.ndarray, limit: int = PIECE, rows: int = 50_000) -> Itera
         i = j
 
 
+def give_back() -> None:
+    """Returns freed memory to the system: a worker process serves many tasks, and what it keeps adds up."""
+    pa.default_memory_pool().release_unused()
+    if (trim := getattr(_libc, "malloc_trim", None)) is not None:
+        trim(0)
+
+
 def batched(batches: Iterator[pa.RecordBatch], column: str, limit: int = PIECE) -> Iterator[tuple[pa.RecordBatch, np.ndarray, np.ndarray]]:
     """Slices of the batches with the bytes and offsets of one string column."""
     for batch in batches:
         data, offsets = strings(batch.column(batch.schema.get_field_index(column)))
         for i, j in slices(offsets, limit):
             yield batch.slice(i, j - i), data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i]
+        del batch, data, offsets
+        give_back()
 
 
 @dataclass
