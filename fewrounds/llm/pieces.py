@@ -32,6 +32,7 @@ from . import textnum as tn
 MARK = 0x2581
 LITERAL = 0x110000  # a space mark that the text itself holds
 LEXICON_CHARS = 500_000  # known units are forgotten beyond this
+LEARN_CHARS = 60_000  # characters of new units that are filtered at a time; a longer unit alone
 BYTES = -1
 
 
@@ -206,6 +207,26 @@ class Lattice:
         begin[1:] |= (mark[1:] & ~mark[:-1]) | bare[1:] | bare[:-1]
         return np.flatnonzero(begin)
 
+    def add(self, cps: np.ndarray, hashes: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> None:
+        """Makes some units known, a bounded part of them at a time."""
+        ends = np.concatenate([[0], np.cumsum(sizes)])
+        edges, shares, pieces, lengths, firsts = [self.node_edge], [self.edge_share], [self.edge_piece], [self.edge_size], [self.known_first]
+        n_edges = len(self.edge_share)
+        for i, j in tn.slices(ends, LEARN_CHARS):
+            share, piece, size, heads, first = self.learn(cps, starts[i:j], sizes[i:j])
+            firsts.append(first + (self.n_nodes + ends[i]))
+            edges.append(heads + n_edges)
+            shares.append(share)
+            pieces.append(piece)
+            lengths.append(size)
+            n_edges += len(share)
+        self.node_edge, self.edge_share = np.concatenate(edges), np.concatenate(shares)
+        self.edge_piece, self.edge_size = np.concatenate(pieces), np.concatenate(lengths)
+        known, first = np.concatenate([self.known, hashes]), np.concatenate(firsts)
+        order = np.argsort(known)
+        self.known, self.known_first = known[order], first[order]
+        self.n_nodes += int(ends[-1])
+
     def encode(self, data: np.ndarray, offsets: np.ndarray, row_keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """All ids, end to end, and how many each text has."""
         n = len(offsets) - 1
@@ -234,17 +255,7 @@ class Lattice:
             if self.n_nodes + int(length[where[new]].sum()) > LEXICON_CHARS and self.n_nodes:
                 self.forget()
                 new[:] = True
-            took = where[new]
-            share, piece, size, heads, first = self.learn(cps, starts[took], length[took])
-            hashes = np.concatenate([self.known, distinct[new]])
-            firsts = np.concatenate([self.known_first, first + self.n_nodes])
-            order = np.argsort(hashes)
-            self.known, self.known_first = hashes[order], firsts[order]
-            self.node_edge = np.concatenate([self.node_edge, heads + len(self.edge_share)])
-            self.edge_share = np.concatenate([self.edge_share, share])
-            self.edge_piece = np.concatenate([self.edge_piece, piece])
-            self.edge_size = np.concatenate([self.edge_size, size])
-            self.n_nodes += int(length[took].sum())
+            self.add(cps, distinct[new], starts[where[new]], length[where[new]])
         first = self.known_first[np.searchsorted(self.known, distinct)][back]
         # backward sampling, all units at once
         text = np.searchsorted(ends, starts, "right")
