@@ -29,13 +29,15 @@ def exact_local_cc(g: EdgeSet) -> ComponentResult:
 
 
 def sketch_only_cc(g: EdgeSet, log: list | None = None) -> ComponentResult:
+    g = g.settle()
     done = finish_by_sketches(g, g.vertices.select("vid", F.col("vid").alias("comp")), g.edges.select("src", "dst").where("false"), log=log, exact_below=0)
     return ComponentResult(canonical_labels(g.vertices, done.labels), done.forest)
 
 
 def growth_then_sketch_cc(g: EdgeSet, phases: int = 2) -> ComponentResult:
     """A few phases of squared growth, the rest by sketches."""
-    flat = EdgeSet(g.vertices, g.edges.select("src", "dst", F.lit(0.0).alias("weight")))
+    g = g.settle()
+    flat = EdgeSet(g.vertices, g.edges.select("src", "dst", F.lit(0.0).alias("weight")), settled=True)
     forest, labels = squared_growth_msf(flat, phases)
     done = finish_by_sketches(g, labels, forest.select("src", "dst"), exact_below=0)
     return ComponentResult(canonical_labels(g.vertices, done.labels), done.forest)

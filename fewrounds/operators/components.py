@@ -74,9 +74,10 @@ def union_find_task(links: DataFrame, weighted: bool = False) -> tuple[DataFrame
 def pointer_double(parents: DataFrame, limit: int = TASK_LIMIT) -> DataFrame:
     """vid, root from acyclic pointers (vid, parent); a root points to itself, and so does a parent without a row.
 
-    Up to ``limit`` pointers one task doubles them in memory; beyond it they double by self-joins."""
-    up = cut(parents.select("vid", F.col("parent").alias("root")))
-    if up.limit(limit + 1).count() <= limit:
+    ``parents`` is read twice, so it should be a written table.  Up to ``limit`` pointers one task doubles them in
+    memory; beyond it they double by self-joins."""
+    up = parents.select("vid", F.col("parent").alias("root"))
+    if up.count() <= limit:
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             parts = [(b.column(0).to_numpy(), b.column(1).to_numpy()) for b in batches if b.num_rows]
@@ -121,7 +122,7 @@ def star_contraction(links: DataFrame, seed: int = 0, weighted: bool = False) ->
         new = hooks.select(F.col("e_src").alias("src"), F.col("e_dst").alias("dst"))
         forest = new if forest is None else forest.unionByName(new)
         ends = links.select(F.explode(F.array("u", "v")).alias("vid")).distinct()
-        up = pointer_double(ends.join(hooks.select(F.col("u").alias("vid"), F.col("v").alias("parent")), "vid", "left").select("vid", F.coalesce("parent", "vid").alias("parent")))
+        up = pointer_double(cut(ends.join(hooks.select(F.col("u").alias("vid"), F.col("v").alias("parent")), "vid", "left").select("vid", F.coalesce("parent", "vid").alias("parent"))))
         labels = cut(labels.join(up.select(F.col("vid").alias("comp"), "root"), "comp", "left").select("vid", F.coalesce("root", "comp").alias("comp")))
         a, b = up.select(F.col("vid").alias("u"), F.col("root").alias("ru")), up.select(F.col("vid").alias("v"), F.col("root").alias("rv"))
         kept = links.join(a, "u").join(b, "v").where("ru <> rv")

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.coins import coin
+from ..plans.spool import cut
 
 TAG = 1 << 40  # typed vertices: tag * TAG + key
 
@@ -16,6 +17,8 @@ TAG = 1 << 40  # typed vertices: tag * TAG + key
 class EdgeSet:
     vertices: DataFrame  # vid
     edges: DataFrame  # src, dst, and weight if there are weights
+    listed: DataFrame | None = None  # vid: vertices known beside the ends of edges; only of graphs whose vertices follow from both
+    settled: bool = False  # both tables are written
 
     @property
     def n(self) -> int:
@@ -23,6 +26,20 @@ class EdgeSet:
             self._n = self.vertices.count()
         return self._n
 
+    def settle(self) -> EdgeSet:
+        """The same graph with both tables written once, so that passes over the edges don't derive them again."""
+        if self.settled:
+            return self
+        if not hasattr(self, "_written"):
+            edges = cut(self.edges)
+            vertices = self.vertices if self.listed is None else _ends(edges, self.listed)
+            self._written = EdgeSet(cut(vertices), edges, settled=True)
+        return self._written
+
+
+def _ends(edges: DataFrame, listed: DataFrame) -> DataFrame:
+    return edges.select(F.explode(F.array("src", "dst")).alias("vid")).union(listed).distinct()
+
 
 def canonical_edges(df: DataFrame, a: str = "src", b: str = "dst", weight: str | None = None) -> DataFrame:
     """Ends in order; nulls, loops and copies dropped; the least weight of copies kept."""
@@ -32,8 +49,8 @@ def canonical_edges(df: DataFrame, a: str = "src", b: str = "dst", weight: str |
 
 def build(edges: DataFrame, vertices: DataFrame | None = None, weight: str | None = None) -> EdgeSet:
     own = canonical_edges(edges, weight=weight)
-    ends = own.select(F.explode(F.array("src", "dst")).alias("vid"))
-    return EdgeSet((ends if vertices is None else ends.union(vertices.select(F.col("vid").cast("long")))).distinct(), own)
+    listed = own.select(F.col("src").alias("vid")).where("false") if vertices is None else vertices.select(F.col("vid").cast("long"))
+    return EdgeSet(_ends(own, listed), own, listed)
 
 
 def validate_edges(g: EdgeSet) -> DataFrame:

@@ -140,17 +140,17 @@ def bucketed_forest(g: EdgeSet, growth: str = "geometric", run: int | None = Non
 def minimum_spanning_forest(g: EdgeSet, seed: int = 0, faithful: bool = False, growth: str = "geometric", force_filter: bool = False, log: dict | None = None) -> DataFrame:
     """src, dst, weight.  Dense graphs are first thinned (p = 1/sqrt n, or sqrt(n / edges) where that is sparser than
     all pairs); the forest of the thin part shows which edges are light, and only those go on."""
-    g = EdgeSet(g.vertices, cut(g.edges))
+    g = g.settle()
     n, m = max(g.n, 1), g.edges.count()
     edges = g.edges
     if m > n**1.5 or force_filter:
         p = 1 / n**0.5 if faithful else min(1.0, (n / max(m, 1)) ** 0.5)
-        thin = EdgeSet(g.vertices, cut(thin_by_sampling(g, p, seed)))
+        thin = EdgeSet(g.vertices, cut(thin_by_sampling(g, p, seed)), settled=True)
         forest = with_weights(bucketed_forest(thin, growth), thin.edges)
         edges = cut(light_edges(g, forest))
         if log is not None:
             log |= {"n": n, "edges": m, "p": p, "thin": thin.edges.count(), "light": edges.count()}
-    light = EdgeSet(g.vertices, edges)
+    light = EdgeSet(g.vertices, edges, settled=True)
     return with_weights(bucketed_forest(light, growth), edges)
 
 
@@ -172,7 +172,8 @@ def squared_growth_msf(g: EdgeSet, phases: int | None = None, limit: int = TASK_
     labels; with ``phases`` it stops early."""
     from pyspark.sql import Window as W
 
-    labels = cut(g.vertices.select("vid", F.col("vid").alias("comp")))
+    g = g.settle()
+    labels = g.vertices.select("vid", F.col("vid").alias("comp"))
     forest, k, done = None, 1, 0
     while phases is None or done < phases:
         pairs = relabel(g.edges, labels)

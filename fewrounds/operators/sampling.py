@@ -96,11 +96,14 @@ def best_message(messages: DataFrame) -> DataFrame:
     return messages.groupBy("v").agg(best.alias("m")).select("v", F.nullif(F.col("m.hop"), F.lit(-1)).alias("hop"))
 
 
-def contract_by_samples(g: EdgeSet, p: Params, labels_only: bool = False) -> tuple[DataFrame, DataFrame, DataFrame]:
+def contract_by_samples(g: EdgeSet, p: Params, labels_only: bool = False, keep_messages: bool = True) -> tuple[DataFrame, DataFrame, DataFrame]:
     """labels (vid, comp), forest and the messages.  ``labels_only``: vertices take the least leader that any sample
-    component of theirs holds; no forest comes of it."""
+    component of theirs holds; no forest comes of it.  Without ``keep_messages`` they aren't written, only folded."""
+    g = g.settle()
     samples = sample_edges(g.edges, p.num_samples, p.p_edge, p.seed)
-    messages = cut(solve_sample(samples, p))
+    messages = solve_sample(samples, p)
+    if keep_messages or labels_only:
+        messages = cut(messages)
     if labels_only:
         led = messages.where(coin(p.seed, "leader", "v") < p.p_leader).groupBy("sample", "comp_key").agg(F.min("v").alias("leader"))
         own = messages.join(led, ["sample", "comp_key"]).groupBy("v").agg(F.min("leader").alias("comp"))

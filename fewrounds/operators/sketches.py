@@ -37,12 +37,12 @@ def recovered(sketch: DataFrame, rep: int, seed: int = 0) -> DataFrame:
 
 def finish_by_sketches(g: EdgeSet, labels: DataFrame, forest: DataFrame, reps: int = 7, seed: int = 0, mode: str = "auto", log: list | None = None, exact_below: int = TASK_LIMIT) -> ComponentResult:
     """Completes a partition: each phase takes a fresh repetition, recovers an edge of every growable component, merges
-    and folds the sketches of the merged ones.  When repetitions run out, sketches are built anew from the edges.  Where the contracted graph has at most ``exact_below`` edges, one task completes it
-    at once; 0 leaves all to the sketches."""
-    labels = cut(labels.select("vid", "comp"))
+    and folds the sketches of the merged ones.  When repetitions run out, sketches are built anew from the edges.  Where
+    the contracted graph has at most ``exact_below`` edges, one task completes it at once; 0 leaves all to the sketches."""
+    g, labels = g.settle(), labels.select("vid", "comp")
     if exact_below:
         pairs = cut(relabel(g.edges.select("src", "dst"), labels))
-        if pairs.limit(exact_below + 1).count() <= exact_below:
+        if pairs.count() <= exact_below:
             to, more = complete_partition(pairs.select(F.col("cu").alias("u"), F.col("cv").alias("v"), F.col("e.src").alias("e_src"), F.col("e.dst").alias("e_dst")), "task" if mode == "auto" else mode)
             return ComponentResult(labels.join(to.select(F.col("vid").alias("comp"), F.col("comp").alias("to")), "comp", "left").select("vid", F.coalesce("to", "comp").alias("comp")), forest.unionByName(more))
     while not crossing_edges(g.edges, labels).limit(1).isEmpty():

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from ..plans.spool import cut
 from .components import complete_partition, pointer_double
-from .graphs import EdgeSet, component_degrees, degrees, labelled, symmetrize
+from .graphs import EdgeSet, degrees, labelled, symmetrize
 
 
 @dataclass
@@ -22,12 +22,13 @@ class Split:
     hooks1: DataFrame
     hooks2: DataFrame
     labels1: DataFrame
+    sides: DataFrame  # the edges with in_a and crosses (the ends are in different components)
 
 
 def hook_to_top_neighbour(g: EdgeSet, deg: DataFrame) -> DataFrame:
-    """v, u: each vertex's neighbour of the largest (degree, id)."""
+    """v, u, d: each vertex's neighbour of the largest (degree, id), and that degree."""
     far = deg.select(F.col("vid").alias("v"), "d")
-    return symmetrize(g.edges).select("u", "v").join(far, "v").groupBy("u").agg(F.max(F.struct("d", "v")).alias("m")).select(F.col("u").alias("v"), F.col("m.v").alias("u"))
+    return symmetrize(g.edges).select("u", "v").join(far, "v").groupBy("u").agg(F.max(F.struct("d", "v")).alias("m")).select(F.col("u").alias("v"), F.col("m.v").alias("u"), F.col("m.d").alias("d"))
 
 
 def hook_to_top_component(g: EdgeSet, labels: DataFrame) -> DataFrame:
@@ -41,33 +42,35 @@ def hook_to_top_component(g: EdgeSet, labels: DataFrame) -> DataFrame:
 def stage_one(g: EdgeSet, deg: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
     """Hooks, labels (vid, comp, cdeg) and forest edges.  The hooks can only meet in pairs, so they form a forest."""
     hooks = cut(hook_to_top_neighbour(g, deg))
-    back = hooks.select(F.col("v").alias("u"), F.col("u").alias("w"))
-    keyed = hooks.join(back, "u").join(deg.select(F.col("vid").alias("v"), F.col("d").alias("dv")), "v").join(deg.select(F.col("vid").alias("u"), F.col("d").alias("du")), "u")
-    root = (F.col("w") == F.col("v")) & (F.struct(F.col("dv"), F.col("v")) > F.struct(F.col("du"), F.col("u")))
-    parents = cut(keyed.select(F.col("v").alias("vid"), F.when(root, F.col("v")).otherwise(F.col("u")).alias("parent")))
+    back = hooks.select(F.col("v").alias("u"), F.col("u").alias("w"), F.col("d").alias("dw"))
+    root = (F.col("w") == F.col("v")) & (F.struct(F.col("dw"), F.col("w")) > F.struct(F.col("d"), F.col("u")))  # of a mutual pair, the higher one
+    parents = cut(hooks.join(back, "u").select(F.col("v").alias("vid"), F.when(root, F.col("v")).otherwise(F.col("u")).alias("parent")))
     alone = g.vertices.join(hooks.select(F.col("v").alias("vid")), "vid", "left_anti").select("vid", F.col("vid").alias("root"))
     rooted = pointer_double(parents).unionByName(alone)
-    least = rooted.groupBy("root").agg(F.min("vid").alias("comp"))
-    plain = cut(rooted.join(least, "root").select("vid", "comp"))
-    labels = cut(plain.join(component_degrees(plain, deg), "comp").select("vid", "comp", "cdeg"))
+    whole = rooted.join(deg, "vid").groupBy("root").agg(F.min("vid").alias("comp"), F.max("d").alias("cdeg"))
+    labels = cut(rooted.join(whole, "root").select("vid", "comp", "cdeg"))
     forest = parents.where("vid <> parent").select(F.least("vid", "parent").alias("src"), F.greatest("vid", "parent").alias("dst"))
     return hooks, labels, forest
 
 
 def sparsify_by_degree(g: EdgeSet, s: int, second_stage: bool = True, mode: str = "auto") -> Split:
     """Awake components have a vertex of degree s or more; an edge with both ends awake goes to part A."""
+    g = g.settle()
     deg = cut(degrees(g))
     hooks1, labels1, forest = stage_one(g, deg)
     labels2, hooks2 = labels1, hooks1.where("false")
     if second_stage:
         hooks2 = cut(hook_to_top_component(g, labels1))
+    if second_stage and not hooks2.isEmpty():
         ends = hooks2.select(F.least("v", "u").alias("src"), F.greatest("v", "u").alias("dst")).distinct()
         links = labelled(ends, labels1).select(F.col("comp_src").alias("u"), F.col("comp_dst").alias("v"), F.col("src").alias("e_src"), F.col("dst").alias("e_dst"))
         merged, more = complete_partition(links, mode)
-        plain = cut(labels1.join(merged.select(F.col("vid").alias("comp"), F.col("comp").alias("to")), "comp", "left").select("vid", F.coalesce("to", "comp").alias("comp")))
-        labels2 = plain.join(component_degrees(plain, deg), "comp").select("vid", "comp", "cdeg")
+        to = labels1.groupBy("comp").agg(F.max("cdeg").alias("cdeg")).join(merged.select(F.col("vid").alias("comp"), F.col("comp").alias("to")), "comp", "left").withColumn("to", F.coalesce("to", "comp"))
+        top = to.groupBy("to").agg(F.max("cdeg").alias("cdeg"))
+        labels2 = labels1.select("vid", "comp").join(to.select("comp", "to"), "comp").join(top, "to").select("vid", F.col("to").alias("comp"), "cdeg")
         forest = forest.unionByName(more)
     labels = cut(labels2.withColumn("awake", F.col("cdeg") >= s))
-    up = labels.select("vid", "awake")
-    sides = cut(g.edges.join(up.select(F.col("vid").alias("src"), F.col("awake").alias("x")), "src").join(up.select(F.col("vid").alias("dst"), F.col("awake").alias("y")), "dst").withColumn("in_a", F.col("x") & F.col("y")).select(*g.edges.columns, "in_a"))
-    return Split(sides.where("in_a").drop("in_a"), sides.where("NOT in_a").drop("in_a"), labels, cut(forest), hooks1, hooks2, labels1)
+    near = labels.select(F.col("vid").alias("src"), F.col("awake").alias("x"), F.col("comp").alias("cx"))
+    far = labels.select(F.col("vid").alias("dst"), F.col("awake").alias("y"), F.col("comp").alias("cy"))
+    sides = cut(g.edges.join(near, "src").join(far, "dst").select(*g.edges.columns, (F.col("x") & F.col("y")).alias("in_a"), (F.col("cx") != F.col("cy")).alias("crosses")))
+    return Split(sides.where("in_a").select(*g.edges.columns), sides.where("NOT in_a").select(*g.edges.columns), labels, forest, hooks1, hooks2, labels1, sides)

@@ -107,7 +107,7 @@ add("publish_forest_conv_chain", publish, "SELECT min(conv_id * 10000 + turn) AS
 
 def hooks1(spark: SparkSession, d: str, graph: str = "order_part") -> DataFrame:
     g = derive.GRAPHS[graph](spark, d)
-    return sparsify.hook_to_top_neighbour(g, graphs.degrees(g))
+    return sparsify.hook_to_top_neighbour(g, graphs.degrees(g)).select("v", "u")
 
 
 add("sparsify_hooks1", hooks1, f"WITH e AS ({EDGES['order_part']}), s AS (SELECT src AS v, dst AS u FROM e UNION ALL SELECT dst, src FROM e), g AS (SELECT v, count(*) AS d FROM s GROUP BY v) SELECT s.v, s.u FROM s JOIN g ON s.u = g.v QUALIFY row_number() OVER (PARTITION BY s.v ORDER BY d DESC, s.u DESC) = 1")
@@ -137,7 +137,7 @@ def sparsify_invariants(spark: SparkSession, d: str) -> DataFrame:
     out = None
     for name in ("order_part", "customer_order", "doc_line", "page_host"):
         g = derive.GRAPHS[name](spark, d)
-        g = graphs.EdgeSet(cut(g.vertices), cut(g.edges))
+        g = g.settle()
         for s in (2, 8):
             m = analysis.split_measures(g, sparsify.sparsify_by_degree(g, s), s).select(F.lit(name).alias("graph"), F.lit(s).alias("s"), "count_ok", "size_ok", "degree_ok", (F.col("edges_a") + F.col("edges_b")).alias("edges"))
             out = m if out is None else out.unionByName(m)
@@ -177,7 +177,7 @@ add("leaders_md5", lambda spark, d: sampling.choose_leaders(derive.order_chain(s
 
 def _contracted(spark: SparkSession, d: str, graph: str, **options):
     g = derive.GRAPHS[graph](spark, d)
-    g = graphs.EdgeSet(cut(g.vertices), cut(g.edges))
+    g = g.settle()
     p = params_for(g.n, seed=options.pop("seed", 1), **{k: v for k, v in options.items() if k != "labels_only"})
     return g, p, sampling.contract_by_samples(g, p, options.get("labels_only", False))
 
@@ -334,7 +334,7 @@ def _same_msf(graph, method):
 
     def run(spark: SparkSession, d: str) -> DataFrame:
         g = graph(spark, d)
-        g = graphs.EdgeSet(cut(g.vertices), cut(g.edges))
+        g = g.settle()
         mine, exact = cut(method(g)), cut(msf.exact_local_msf(g))
         same = mine.exceptAll(exact).isEmpty() and exact.exceptAll(mine).isEmpty()
         return mine.agg(F.count(F.lit(1)).alias("forest_edges")).withColumn("same", F.lit(same))
@@ -414,7 +414,7 @@ def nested_contracted(spark: SparkSession, d: str) -> DataFrame:
     chain = derive.order_chain(spark, d)
     e = chain.edges.withColumn("first_instance", (F.floor(coin(5, "run", "src", "dst") * 3) + 1).cast("int"))
     union = graphs.disjoint_union(cut(nested.expanded(e, 3)), chain.vertices, 3)
-    union = graphs.EdgeSet(cut(union.vertices), cut(union.edges))
+    union = union.settle()
     labels, forest = nested.nested_contract(union, params_for(union.n, seed=2))
     done = nested.nested_finish(union, labels, cut(forest))
     last = done.labels.where(F.floor(F.col("vid") / nested.SHIFT) == 3)
