@@ -100,9 +100,10 @@ def pointer_double(parents: DataFrame, limit: int = TASK_LIMIT) -> DataFrame:
             return up
 
 
-def star_contraction(links: DataFrame, seed: int = 0, weighted: bool = False) -> tuple[DataFrame, DataFrame]:
+def star_contraction(links: DataFrame, seed: int = 0, weighted: bool = False, levels: list | None = None) -> tuple[DataFrame, DataFrame]:
     """labels and forest of links (u, v, e_src, e_dst[, weight]) by hooking toward the least hashed priority among the
-    neighbours (weighted: along the lightest edge) and pointer doubling, until no link is left."""
+    neighbours (weighted: along the lightest edge) and pointer doubling, until no link is left.  With weights, ``levels``
+    receives a table a step: u, up (the component u went into), weight, e_src, e_dst (the edge u chose)."""
     links = cut(links.where("u <> v"))
     labels = cut(links.select(F.explode(F.array("u", "v")).alias("vid")).distinct().withColumn("comp", F.col("vid")))
     forest, step = None, 0
@@ -111,7 +112,7 @@ def star_contraction(links: DataFrame, seed: int = 0, weighted: bool = False) ->
         rest = [c for c in links.columns if c not in ("u", "v")]
         both = links.select("u", "v", *rest).unionByName(links.select(F.col("v").alias("u"), F.col("u").alias("v"), *rest))
         if weighted:
-            best = both.groupBy("u").agg(F.min(F.struct(*edge, "v")).alias("b")).select("u", "b.*")
+            best = cut(both.groupBy("u").agg(F.min(F.struct(*edge, "v")).alias("b")).select("u", "b.*"))
             back = best.select(F.col("u").alias("v"), F.col("v").alias("back"))
             hooks = best.join(back, "v").where("NOT (back = u AND u < v)")  # one end of each mutual choice is a root
         else:
@@ -123,6 +124,8 @@ def star_contraction(links: DataFrame, seed: int = 0, weighted: bool = False) ->
         forest = new if forest is None else forest.unionByName(new)
         ends = links.select(F.explode(F.array("u", "v")).alias("vid")).distinct()
         up = pointer_double(cut(ends.join(hooks.select(F.col("u").alias("vid"), F.col("v").alias("parent")), "vid", "left").select("vid", F.coalesce("parent", "vid").alias("parent"))))
+        if weighted and levels is not None:
+            levels.append(cut(best.join(up.select(F.col("vid").alias("u"), F.col("root").alias("up")), "u").select("u", "up", *edge)))
         labels = cut(labels.join(up.select(F.col("vid").alias("comp"), "root"), "comp", "left").select("vid", F.coalesce("root", "comp").alias("comp")))
         a, b = up.select(F.col("vid").alias("u"), F.col("root").alias("ru")), up.select(F.col("vid").alias("v"), F.col("root").alias("rv"))
         kept = links.join(a, "u").join(b, "v").where("ru <> rv")

@@ -13,11 +13,11 @@ from pyspark.sql import functions as F
 
 from ..functions.coins import coin
 from ..plans.spool import cut
-from .components import TASK_LIMIT, as_links, complete_partition
+from .components import TASK_LIMIT, as_links, complete_partition, star_contraction
 from .graphs import EdgeSet, relabel
 from .relational import global_rank
 
-FOREST_LIMIT = 5_000_000  # vertices whose forest is broadcast for the light-edge test
+FOREST_LIMIT = 500_000  # vertices whose forest is broadcast for the light-edge test; its table takes 360 bytes a vertex at most
 
 
 def thin_by_sampling(g: EdgeSet, p: float, seed: int = 0) -> DataFrame:
@@ -77,9 +77,9 @@ def _path_max(table, x: np.ndarray, y: np.ndarray) -> np.ndarray:
 
 def light_edges(g: EdgeSet, forest: DataFrame, limit: int = FOREST_LIMIT) -> DataFrame:
     """The edges no heavier than the heaviest edge between their ends in the forest (src, dst, weight), and those
-    whose ends it doesn't join.  Beyond ``limit`` vertices all edges are kept, which only costs time."""
+    whose ends it doesn't join.  Beyond ``limit`` vertices the test is one of joins."""
     if g.n > limit:
-        return g.edges
+        return light_edges_by_levels(g, forest)
     rows = forest.select("src", "dst", "weight").toArrow()  # n rows at most, n checked
     f = [rows[c].to_numpy() for c in ("src", "dst", "weight")]
     order = np.lexsort((f[1], f[0], f[2]))
@@ -108,6 +108,31 @@ def light_edges(g: EdgeSet, forest: DataFrame, limit: int = FOREST_LIMIT) -> Dat
     return g.edges.mapInArrow(run, g.edges.schema)
 
 
+def light_edges_by_levels(g: EdgeSet, forest: DataFrame) -> DataFrame:
+    """The light edges by joins alone.  In the tree of merged components, where each has the edge it chose, the heaviest
+    edge between two vertices equals the heaviest in the forest; so both ends climb together, at most lg n steps, until
+    an edge at least as heavy is met (light), they meet (heavy), or a tree ends (not joined).  The tables of the steps
+    halve at least."""
+    levels: list[DataFrame] = []
+    star_contraction(as_links(forest), weighted=True, levels=levels)
+    names = g.edges.columns
+    rest = g.edges.select(*names, F.col("src").alias("cu"), F.col("dst").alias("cv"))
+    own = F.struct("weight", "src", "dst")
+    kept = None
+    for level in levels:
+        chosen = F.struct("weight", F.col("e_src").alias("src"), F.col("e_dst").alias("dst"))
+        a = level.select(F.col("u").alias("cu"), F.col("up").alias("pu"), chosen.alias("ku"))
+        b = level.select(F.col("u").alias("cv"), F.col("up").alias("pv"), chosen.alias("kv"))
+        light = F.isnull("pu") | F.isnull("pv") | (F.col("ku") >= own) | (F.col("kv") >= own)
+        step = cut(rest.join(a, "cu", "left").join(b, "cv", "left").withColumn("light", light).where("light OR pu <> pv").select(*names, F.col("pu").alias("cu"), F.col("pv").alias("cv"), "light"))
+        done, rest = step.where("light").select(*names), step.where("NOT light").drop("light")
+        kept = done if kept is None else kept.unionByName(done)
+        if rest.isEmpty():
+            return kept
+    rest = rest.select(*names)
+    return rest if kept is None else kept.unionByName(rest)
+
+
 def nested_instances(edges: DataFrame, n: int, growth: str = "uniform") -> DataFrame:
     """The edges with first_instance: runs of n edges in order, or runs that double."""
     ranked = global_rank(edges, ["weight", "src", "dst"], "rank")

@@ -119,6 +119,18 @@ def test_forests_equal_kruskal(spark, seed):
         assert set(map(tuple, method().select("src", "dst", "weight").collect())) == exact
 
 
+@pytest.mark.parametrize("seed", range(2))
+def test_light_edges_by_joins_equal_lifting(spark, seed):
+    g = random_graph(spark, 30, 150, seed, True)
+    thin = EdgeSet(g.vertices, msf.thin_by_sampling(g, 0.2, seed))
+    forest = msf.exact_local_msf(thin)
+    rows = lambda df: set(map(tuple, df.select("src", "dst", "weight").collect()))
+    one, two = msf.light_edges(g, forest), msf.light_edges(g, forest, limit=0)
+    assert two.count() == len(rows(two)) < g.edges.count()
+    assert rows(one) == rows(two) >= rows(msf.exact_local_msf(g))
+    assert rows(msf.light_edges(g, forest.where("false"), limit=0)) == rows(g.edges)
+
+
 def test_baselines_agree(spark):
     g = random_graph(spark, 40, 30, 11)
     want = truth(g)
