@@ -17,6 +17,7 @@ from __future__ import annotations
 import hashlib
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -24,6 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textnum as tn
+from .spool import kept
 
 WINDOW = 10
 BLOCK_BYTES = 8 << 20
@@ -245,38 +247,72 @@ def find(docs: DataFrame, items: DataFrame, window: int = WINDOW, block_bytes: i
     return united.join(copies, same).select(united["doc_id"], "n_words", "spans", "items", "copies").mapInArrow(finish, SCHEMA)
 
 
+def _without(part: pa.RecordBatch, data: np.ndarray, offsets: np.ndarray, w: tn.Words, hit: np.ndarray, max_coverage: float) -> pa.RecordBatch:
+    """The rows without their hit words, and without the rows that are hit too much."""
+    if not hit.any():
+        return part
+    n_hit = np.bincount(w.doc[hit], minlength=len(w.counts))
+    texts, raw = part.column(part.schema.get_field_index("text")).to_pylist(), data.tobytes()
+    ends = np.cumsum(w.counts)
+    for d in np.flatnonzero(n_hit).tolist():
+        b, e, left, at = int(ends[d] - w.counts[d]), int(ends[d]), [], int(offsets[d])
+        for x, y in _ranges(hit[b:e]):
+            left.append(raw[at : int(w.starts[b + x])])
+            at = int(w.starts[b + y]) if b + y < e else int(w.ends[b + y - 1])
+        texts[d] = b"".join([*left, raw[at : int(offsets[d + 1])]]).decode("utf-8")
+    columns = dict(zip(part.schema.names, part.columns, strict=True))
+    columns["text"] = pa.array(texts, part.schema.field("text").type)
+    if "n_chars" in columns:
+        n = columns["n_chars"].to_pylist()
+        columns["n_chars"] = pa.array([len(texts[d]) if n_hit[d] else n[d] for d in range(len(n))], part.schema.field("n_chars").type)
+    return pa.RecordBatch.from_arrays(list(columns.values()), schema=part.schema).filter(pa.array(n_hit <= max_coverage * w.counts))
+
+
 def remove_spans(docs: DataFrame, items: DataFrame, window: int = WINDOW, max_coverage: float = 0.5, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """The documents without their hit spans; one whose hit words exceed ``max_coverage`` of all its words goes as a
     whole.  All columns stay; ``n_chars``, if there, follows the new text of a changed row.
 
-    Further blocks of items are applied to what the blocks before left, whose spans are gone already.
+    With several blocks of items the rows are written once and numbered; every block scans the texts as they came, and
+    each row is cut and judged once by all its hits, so the answer does not depend on ``block_bytes``.
     """
     spark = docs.sparkSession
-    for automaton in blocks(items, window, block_bytes):
-        own = spark.sparkContext.broadcast(automaton)
+    held = [spark.sparkContext.broadcast(a) for a in blocks(items, window, block_bytes)]
+    if not held:
+        return docs
+    if len(held) == 1:
+        own = held[0]
 
-        def run(batches: Iterator[pa.RecordBatch], own=own) -> Iterator[pa.RecordBatch]:
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for part, data, offsets in tn.batched(batches, "text"):
+                w = tn.words_of(data, offsets, tn.FOLDED_SEPARATORS, lower=True)
+                yield _without(part, data, offsets, w, own.value.scan(w)[0], max_coverage)
+
+        return docs.mapInArrow(run, docs.schema)
+
+    def marker(own):
+        def mark(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for part, data, offsets in tn.batched(batches, "text"):
                 w = tn.words_of(data, offsets, tn.FOLDED_SEPARATORS, lower=True)
                 hit, _ = own.value.scan(w)
-                if not hit.any():
-                    yield part
-                    continue
-                n_hit = np.bincount(w.doc[hit], minlength=len(w.counts))
-                texts, raw = part.column(part.schema.get_field_index("text")).to_pylist(), data.tobytes()
+                some = np.unique(w.doc[hit])
                 ends = np.cumsum(w.counts)
-                for d in np.flatnonzero(n_hit).tolist():
-                    b, e, kept, at = int(ends[d] - w.counts[d]), int(ends[d]), [], int(offsets[d])
-                    for x, y in _ranges(hit[b:e]):
-                        kept.append(raw[at : int(w.starts[b + x])])
-                        at = int(w.starts[b + y]) if b + y < e else int(w.ends[b + y - 1])
-                    texts[d] = b"".join([*kept, raw[at : int(offsets[d + 1])]]).decode("utf-8")
-                columns = dict(zip(part.schema.names, part.columns, strict=True))
-                columns["text"] = pa.array(texts, part.schema.field("text").type)
-                if "n_chars" in columns:
-                    n = columns["n_chars"].to_pylist()
-                    columns["n_chars"] = pa.array([len(texts[d]) if n_hit[d] else n[d] for d in range(len(n))], part.schema.field("n_chars").type)
-                yield pa.RecordBatch.from_arrays(list(columns.values()), schema=part.schema).filter(pa.array(n_hit <= max_coverage * w.counts))
-
-        docs = docs.mapInArrow(run, docs.schema)
-    return docs
+                spans = [_ranges(hit[ends[d] - w.counts[d] : ends[d]]) for d in some.tolist()]
+                yield pa.RecordBatch.from_arrays([part.column(0).take(pa.array(some, pa.int64())), pa.array(spans, pa.list_(pa.list_(pa.int64())))], ["_row", "_spans"])
+
+        return mark
+
+    def finish(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part, data, offsets in tn.batched(batches, "text"):
+            w = tn.words_of(data, offsets, tn.FOLDED_SEPARATORS, lower=True)
+            hit = np.zeros(len(w.doc), bool)
+            begins = np.cumsum(w.counts) - w.counts
+            for begin, spans in zip(begins.tolist(), part.column(part.schema.get_field_index("_spans")).to_pylist(), strict=True):
+                for x, y in spans or ():
+                    hit[begin + x : begin + y] = True
+            yield _without(part.select(names), data, offsets, w, hit, max_coverage)
+
+    names = docs.columns
+    rows = kept(docs.withColumn("_row", F.monotonically_increasing_id()))
+    parts = [rows.select("_row", "text").mapInArrow(marker(own), "_row long, _spans array<array<long>>") for own in held]
+    united = reduce(DataFrame.unionByName, parts).groupBy("_row").agg(F.flatten(F.collect_list("_spans")).alias("_spans"))
+    return rows.join(united, "_row", "left").select(*names, "_spans").mapInArrow(finish, docs.schema)
