@@ -41,6 +41,7 @@ EDGES = {
     "order_path": "SELECT least(a, b) AS src, greatest(a, b) AS dst FROM (SELECT o_orderkey AS a, lead(o_orderkey) OVER (ORDER BY o_orderdate, o_orderkey) AS b FROM orders) WHERE b IS NOT NULL",
     "conv_chain": "SELECT a AS src, b AS dst FROM (SELECT conv_id * 10000 + turn AS a, lead(conv_id * 10000 + turn) OVER (PARTITION BY conv_id ORDER BY turn) AS b FROM conversations) WHERE b IS NOT NULL",
     "doc_line": f"SELECT DISTINCT {T[4]} + doc_id AS src, {T[5]} + {_H.format('line')} AS dst FROM (SELECT doc_id, line, count(*) OVER (PARTITION BY line) AS n FROM (SELECT DISTINCT doc_id, trim(l) AS line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS l FROM documents)) WHERE length(line) >= 40) WHERE n BETWEEN 2 AND 20",
+    "doc_line_all": f"SELECT DISTINCT {T[4]} + doc_id AS src, {T[5]} + {_H.format('line')} AS dst FROM (SELECT doc_id, line, count(*) OVER (PARTITION BY line) AS n FROM (SELECT DISTINCT doc_id, trim(l) AS line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS l FROM documents)) WHERE length(line) >= 40) WHERE n >= 2",
     "page_host": f"SELECT DISTINCT {T[6]} + page_id AS src, {T[7]} + {_H.format('h')} AS dst FROM (SELECT page_id, regexp_extract(url, '^[a-z]+://([^/]+)', 1) AS h FROM pages)",
     "page_link": f"SELECT DISTINCT {T[6]} + page_id AS src, {T[8]} + {_H.format('t')} AS dst FROM (SELECT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS t FROM pages)",
     "geo_tree": f"SELECT {T[2]} + s_suppkey AS src, {T[9]} + s_nationkey AS dst FROM supplier UNION SELECT {T[1]} + c_custkey, {T[9]} + c_nationkey FROM customer UNION SELECT {T[9]} + n_nationkey, {T[10]} + n_regionkey FROM nation",
@@ -53,6 +54,7 @@ VERTICES = {
     "order_path": "SELECT o_orderkey AS vid FROM orders",
     "conv_chain": "SELECT conv_id * 10000 + turn AS vid FROM conversations",
     "doc_line": f"SELECT {T[4]} + doc_id AS vid FROM documents",
+    "doc_line_all": f"SELECT {T[4]} + doc_id AS vid FROM documents",
     "user_hour": "SELECT DISTINCT user_id AS vid FROM events",
     "supplier_line": "SELECT s_suppkey AS vid FROM supplier",
 }
@@ -71,7 +73,7 @@ def _cc(graph: str):
     return lambda spark, d: connectivity.connected_components(derive.GRAPHS[graph](spark, d)).labels
 
 
-for _g in ("part_supplier", "order_part", "customer_order", "order_chain", "conv_chain", "doc_line", "page_host", "page_link", "geo_tree", "user_hour"):
+for _g in ("part_supplier", "order_part", "customer_order", "order_chain", "conv_chain", "doc_line", "doc_line_all", "page_host", "page_link", "geo_tree", "user_hour"):
     add(f"cc_{_g}", _cc(_g), with_cc(_g, "SELECT vid, comp FROM c"))
 add("cc_order_path", _cc("order_path"), "SELECT o_orderkey AS vid, min(o_orderkey) OVER () AS comp FROM orders")
 add(
@@ -89,7 +91,7 @@ def _forest(graph: str):
     return run
 
 
-for _g in ("order_part", "customer_order", "order_chain", "doc_line", "page_host"):
+for _g in ("order_part", "customer_order", "order_chain", "doc_line", "doc_line_all", "page_host"):
     add(f"forest_checks_{_g}", _forest(_g), with_cc(_g, "SELECT count(*) AS n, count(DISTINCT comp) AS components, count(*) - count(DISTINCT comp) AS forest_edges, true AS size_ok, true AS inside_ok, true AS spans_ok FROM c"))
 
 
@@ -303,8 +305,8 @@ def hub_gadget(spark: SparkSession, d: str) -> DataFrame:
 add("finish_hub_gadget", hub_gadget, "SELECT 1800 AS n, 1 AS components, 51 AS after_stage2, 1799 AS forest_edges")
 
 
-def union_rule(spark: SparkSession, d: str) -> DataFrame:
-    g = derive.doc_line(spark, d)
+def union_rule(spark: SparkSession, d: str, graph: str = "doc_line") -> DataFrame:
+    g = derive.GRAPHS[graph](spark, d)
     half = coin(7, "half", "src", "dst") < 0.5
     one, two = (connectivity.connected_components(graphs.EdgeSet(g.vertices, g.edges.where(c))) for c in (half, ~half))
     return connectivity.merge_results(g.vertices, one.forest, two.forest).labels
@@ -312,6 +314,8 @@ def union_rule(spark: SparkSession, d: str) -> DataFrame:
 
 add("merge_union_rule", union_rule, with_cc("doc_line", "SELECT vid, comp FROM c"))
 add("cc_reuse_asleep", lambda spark, d: connectivity.connected_components(derive.doc_line(spark, d), reuse_asleep_edges=True).labels, with_cc("doc_line", "SELECT vid, comp FROM c"))
+add("merge_union_rule_all_lines", lambda spark, d: union_rule(spark, d, "doc_line_all"), with_cc("doc_line_all", "SELECT vid, comp FROM c"))
+add("cc_reuse_asleep_all_lines", lambda spark, d: connectivity.connected_components(derive.doc_line_all(spark, d), reuse_asleep_edges=True).labels, with_cc("doc_line_all", "SELECT vid, comp FROM c"))
 
 
 def params_table(spark: SparkSession, d: str) -> DataFrame:
@@ -525,7 +529,7 @@ def pairs(spark: SparkSession, d: str) -> DataFrame:
 
 
 add("st_pairs", pairs, "SELECT a.o_orderkey AS s, b.o_orderkey AS t, a.o_custkey = b.o_custkey AS connected FROM orders a JOIN orders b ON b.o_orderkey = a.o_orderkey + 7")
-for _g in ("geo_tree", "page_link", "doc_line"):
+for _g in ("geo_tree", "page_link", "doc_line", "doc_line_all"):
     add(f"cycle_{_g}", (lambda g: lambda spark, d: reductions.has_cycle(derive.GRAPHS[g](spark, d)))(_g), with_cc(_g, "SELECT a.comp, coalesce(m, 0) > size - 1 AS has_cycle FROM (SELECT comp, count(*) AS size FROM c GROUP BY comp) a LEFT JOIN (SELECT comp, count(*) AS m FROM e JOIN c ON e.src = c.vid GROUP BY comp) b ON a.comp = b.comp"))
 
 
@@ -542,6 +546,7 @@ add("edge_on_cycle", on_cycle, "SELECT false AS on_cycle")
 
 for _b, _f in (("star_contraction", baselines.star_contraction_cc), ("hook_and_contract", baselines.hook_and_contract_cc), ("sketch_only", baselines.sketch_only_cc), ("growth_then_sketch", baselines.growth_then_sketch_cc), ("exact_local", baselines.exact_local_cc)):
     add(f"baseline_{_b}_cc", (lambda f: lambda spark, d: f(derive.doc_line(spark, d)).labels)(_f), with_cc("doc_line", "SELECT vid, comp FROM c"))
+    add(f"baseline_{_b}_cc_all_lines", (lambda f: lambda spark, d: f(derive.doc_line_all(spark, d)).labels)(_f), with_cc("doc_line_all", "SELECT vid, comp FROM c"))
 add("baseline_label_propagation", lambda spark, d: baselines.min_label_propagation(derive.conv_chain(spark, d))[0], with_cc("conv_chain", "SELECT vid, comp FROM c"))
 
 
@@ -626,6 +631,7 @@ def sql_views(spark: SparkSession, d: str) -> DataFrame:
 add("source_sql_views", sql_views, "SELECT n_name, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY 1")
 add("source_validate_edges", lambda spark, d: graphs.validate_edges(derive.doc_line(spark, d)), "SELECT 0 AS nulls, 0 AS loops, 0 AS disordered, 0 AS copies, 0 AS dangling")
 add("profile_components", lambda spark, d: connectivity.component_sizes(connectivity.connected_components(derive.doc_line(spark, d)).labels).groupBy("size").agg(F.count(F.lit(1)).alias("components")), with_cc("doc_line", "SELECT size, count(*) AS components FROM (SELECT comp, count(*) AS size FROM c GROUP BY comp) GROUP BY size"))
+add("profile_components_all_lines", lambda spark, d: connectivity.component_sizes(connectivity.connected_components(derive.doc_line_all(spark, d)).labels).groupBy("size").agg(F.count(F.lit(1)).alias("components")), with_cc("doc_line_all", "SELECT size, count(*) AS components FROM (SELECT comp, count(*) AS size FROM c GROUP BY comp) GROUP BY size"))
 
 
 # streams

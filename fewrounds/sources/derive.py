@@ -56,14 +56,21 @@ def conv_chain(spark: SparkSession, d: str) -> EdgeSet:
     return build(chain_edges(c, ["conv_id"], ["turn"], "vid"), c.select("vid"))
 
 
-def doc_line(spark: SparkSession, d: str) -> EdgeSet:
-    """Documents and the trimmed lines of 40 characters or more that 2 to 20 documents share."""
+def doc_line(spark: SparkSession, d: str, most: int | None = 20) -> EdgeSet:
+    """Documents and the trimmed lines of 40 characters or more that 2 to ``most`` documents share (None: any number)."""
     t = read_table(spark, d, "documents", ["doc_id", "text"])
-    lines = t.select("doc_id", F.explode(F.split("text", "\n")).alias("line")).select("doc_id", F.trim("line").alias("line")).where("length(line) >= 40").distinct()
-    shared = lines.groupBy("line").agg(F.count(F.lit(1)).alias("n"), F.min("doc_id").alias("first")).where("n BETWEEN 2 AND 20")
-    named = lines.join(shared, "line").select("doc_id", "line")
+    lines = t.select("doc_id", F.explode(F.split("text", "\n")).alias("line")).select("doc_id", F.trim("line").alias("line")).where("length(line) >= 40")
+    # lines travel as digests, which are shorter
     key = F.conv(F.substring(F.md5("line"), 1, 9), 16, 10).cast("long")
-    return build(named.select(typed(4, "doc_id").alias("src"), typed(5, key).alias("dst")), t.select(typed(4, "doc_id").alias("vid")))
+    marks = lines.select("doc_id", F.unhex(F.sha2("line", 256)).alias("digest"), key.alias("key")).distinct()
+    shared = marks.groupBy("digest").agg(F.count(F.lit(1)).alias("n")).where("n >= 2" if most is None else f"n BETWEEN 2 AND {most}")
+    named = marks.join(shared, "digest")
+    return build(named.select(typed(4, "doc_id").alias("src"), typed(5, "key").alias("dst")), t.select(typed(4, "doc_id").alias("vid")))
+
+
+def doc_line_all(spark: SparkSession, d: str) -> EdgeSet:
+    """doc_line with every shared line, however many documents share it."""
+    return doc_line(spark, d, None)
 
 
 def page_host(spark: SparkSession, d: str) -> EdgeSet:
@@ -120,4 +127,4 @@ def caterpillar(spark: SparkSession, d: str) -> EdgeSet:
     return build(chain_edges(o, ["m"], ["o_orderdate", "o_orderkey"], "vid").union(leaves), o.select("vid"))
 
 
-GRAPHS = {f.__name__: f for f in (part_supplier, order_part, customer_order, order_chain, order_path, conv_chain, doc_line, page_host, page_link, geo_tree, user_hour, embedding_knn, supplier_line, caterpillar)}
+GRAPHS = {f.__name__: f for f in (part_supplier, order_part, customer_order, order_chain, order_path, conv_chain, doc_line, doc_line_all, page_host, page_link, geo_tree, user_hour, embedding_knn, supplier_line, caterpillar)}

@@ -189,3 +189,13 @@ def test_published_trees(spark):
 def test_answers_do_not_depend_on_coins(spark):
     g = random_graph(spark, 80, 50, 21)
     assert len({tuple(sorted(found(connectivity.connected_components(g, params_for(80, seed=s), exact_below=0).labels).items())) for s in (1, 2)}) == 1
+
+
+def test_lines_that_many_documents_share(spark, tmp_path):
+    """25 documents tied by one line only, more than doc_line takes, are one component."""
+    from fewrounds.queries import QUERIES
+
+    line = "one and the same line of more than forty characters"
+    spark.createDataFrame([(i, f"{line}\nown {i}" if i < 25 else f"own {i}") for i in range(27)], "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    labels = QUERIES["cc_doc_line_all"](spark, str(tmp_path)).collect()
+    assert len(labels) == 28 and len({r["comp"] for r in labels}) == 3
