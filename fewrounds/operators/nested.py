@@ -29,6 +29,11 @@ def decode(encoded: DataFrame, instance: int) -> DataFrame:
     return encoded.where((F.col("first_instance") <= instance) & (F.col("u") < F.col("v"))).select(F.col("u").alias("src"), F.col("v").alias("dst"))
 
 
+def decode_all(encoded: DataFrame, count: int) -> DataFrame:
+    """instance, src, dst of every instance from the encoding."""
+    return expanded(encoded.where("u < v").select(F.col("u").alias("src"), F.col("v").alias("dst"), "first_instance"), count)
+
+
 def expanded(edges: DataFrame, count: int) -> DataFrame:
     """instance, src, dst of all instances; for sizes where count times the edges is small."""
     return edges.select(F.explode(F.sequence("first_instance", F.lit(count))).alias("instance"), "src", "dst")

@@ -380,10 +380,10 @@ add("nested_buckets", lambda spark, d: _nested(spark, d)[1].groupBy("first_insta
 add("global_rank", lambda spark, d: _nested(spark, d)[1].select("src", "dst", "rank"), f"SELECT src, dst, rank FROM ({_RANK})")
 
 
-def nested_labels(spark: SparkSession, d: str) -> DataFrame:
-    """Components of the first six instances, by the incremental and by the parallel way: equal, and their number."""
+def nested_labels(spark: SparkSession, d: str, most: int | None = 6) -> DataFrame:
+    """Components of the first instances (None: all), by the incremental and by the parallel way: equal, and their number."""
     g, e, k = _nested(spark, d)
-    k = min(k, 6)
+    k = k if most is None else min(k, most)
     one = cut(nested.components_of_nested(e, g.vertices, k).groupBy("instance", "comp").agg(F.count(F.lit(1)).alias("size")).groupBy("instance").agg(F.count(F.lit(1)).alias("components"), F.max("size").alias("largest")))
     two = nested.components_of_nested(e.where(F.col("first_instance") <= k), g.vertices, k, "parallel").groupBy("instance", "comp").agg(F.count(F.lit(1)).alias("size")).groupBy("instance").agg(F.count(F.lit(1)).alias("components2"), F.max("size").alias("largest2"))
     return one.join(two, "instance").select("instance", "components", "largest", ((F.col("components") == F.col("components2")) & (F.col("largest") == F.col("largest2"))).alias("same"))
@@ -391,6 +391,9 @@ def nested_labels(spark: SparkSession, d: str) -> DataFrame:
 
 add("nested_labels", nested_labels, " UNION ALL ".join(f"(WITH RECURSIVE e AS (SELECT src, dst FROM ({_RANK}) WHERE first_instance <= {i}), s AS (SELECT src AS a, dst AS b FROM e UNION ALL SELECT dst, src FROM e), c(vid, comp) USING KEY (vid) AS (SELECT s_suppkey, s_suppkey FROM supplier UNION (SELECT s.b AS vid, min(c.comp) AS comp FROM c JOIN s ON c.vid = s.a JOIN recurring.c k ON k.vid = s.b WHERE c.comp < k.comp GROUP BY s.b)) SELECT {i}::INTEGER AS instance, count(*) AS components, max(n) AS largest, true AS same FROM (SELECT comp, count(*) AS n FROM c GROUP BY comp) HAVING {i} <= (SELECT max(first_instance) FROM ({_RANK})))" for i in range(1, 7)))
 
+_ALL = f"r AS MATERIALIZED ({_RANK}), i AS (SELECT unnest(range(1, (SELECT max(first_instance) FROM r) + 1))::INTEGER AS i)"
+add("nested_labels_all", lambda spark, d: nested_labels(spark, d, None), f"WITH RECURSIVE {_ALL}, e AS (SELECT i, src, dst FROM r JOIN i ON first_instance <= i), s AS (SELECT i, src AS a, dst AS b FROM e UNION ALL SELECT i, dst, src FROM e), c(i, vid, comp) USING KEY (i, vid) AS (SELECT i, s_suppkey, s_suppkey FROM supplier, i UNION (SELECT s.i, s.b AS vid, min(c.comp) AS comp FROM c JOIN s ON c.i = s.i AND c.vid = s.a JOIN recurring.c k ON k.i = s.i AND k.vid = s.b WHERE c.comp < k.comp GROUP BY s.i, s.b)) SELECT i AS instance, count(*) AS components, max(n) AS largest, true AS same FROM (SELECT i, comp, count(*) AS n FROM c GROUP BY i, comp) GROUP BY i")
+
 
 def nested_kruskal(spark: SparkSession, d: str) -> DataFrame:
     g, e, k = _nested(spark, d)
@@ -400,17 +403,20 @@ def nested_kruskal(spark: SparkSession, d: str) -> DataFrame:
 
 add("nested_bucket_kruskal", nested_kruskal, SQL["msf_supplier_line"])
 add("nested_encoding", lambda spark, d: nested.decode(nested.encode_nested(_nested(spark, d)[1]), 3), f"SELECT src, dst FROM ({_RANK}) WHERE first_instance <= 3")
+add("nested_encoding_all", lambda spark, d: (lambda t: nested.decode_all(nested.encode_nested(t[1]), t[2]))(_nested(spark, d)), f"WITH {_ALL} SELECT i AS instance, src, dst FROM r JOIN i ON first_instance <= i")
 add("nested_message_total", lambda spark, d: (lambda t: ledger.nested_message_total(t[1], t[2]))(_nested(spark, d)), f"SELECT sum((m - first_instance + 1) * 2)::BIGINT AS messages FROM ({_RANK}), (SELECT max(first_instance) AS m FROM ({_RANK}))")
 
 
-def nested_sparse(spark: SparkSession, d: str) -> DataFrame:
-    """Sparsification of six instances side by side keeps its guarantees."""
-    g, e, _ = _nested(spark, d)
-    union, split = nested.nested_sparsify(e.where("first_instance <= 6"), g.vertices, 6, 3)
+def nested_sparse(spark: SparkSession, d: str, most: int | None = 6) -> DataFrame:
+    """Sparsification of the first instances (None: all) side by side keeps its guarantees."""
+    g, e, k = _nested(spark, d)
+    k = k if most is None else most
+    union, split = nested.nested_sparsify(e.where(F.col("first_instance") <= k), g.vertices, k, 3)
     return analysis.split_measures(union, split, 3).select("count_ok", "size_ok", "degree_ok", (F.col("edges_a") + F.col("edges_b")).alias("edges"))
 
 
 add("nested_sparsify", nested_sparse, f"SELECT true AS count_ok, true AS size_ok, true AS degree_ok, sum(7 - first_instance)::BIGINT AS edges FROM ({_RANK}) WHERE first_instance <= 6")
+add("nested_sparsify_all", lambda spark, d: nested_sparse(spark, d, None), f"WITH {_ALL} SELECT true AS count_ok, true AS size_ok, true AS degree_ok, sum((SELECT max(i) FROM i) + 1 - first_instance)::BIGINT AS edges FROM r")
 
 
 def nested_contracted(spark: SparkSession, d: str) -> DataFrame:

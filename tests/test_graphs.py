@@ -199,3 +199,23 @@ def test_lines_that_many_documents_share(spark, tmp_path):
     spark.createDataFrame([(i, f"{line}\nown {i}" if i < 25 else f"own {i}") for i in range(27)], "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
     labels = QUERIES["cc_doc_line_all"](spark, str(tmp_path)).collect()
     assert len(labels) == 28 and len({r["comp"] for r in labels}) == 3
+
+
+def test_nested_queries_cover_all_instances(spark, tmp_path):
+    """20 suppliers make 10 instances; every one is labelled, sparsified and decoded."""
+    from fewrounds.queries import QUERIES
+
+    balance = [float((7 * i * i + 3 * i) % 101) for i in range(20)]
+    spark.createDataFrame(list(enumerate(balance)), "s_suppkey long, s_acctbal double").write.parquet(str(tmp_path / "supplier.parquet"))
+    ranked = sorted((abs(balance[a] - balance[b]), a, b) for a in range(20) for b in range(a + 1, 20))
+    want, edges = [], []
+    for i in range(1, 11):
+        up = list(range(20))
+        for _, a, b in ranked[: 20 * i]:
+            edges.append((i, a, b))
+            up = [up[b] if x == up[a] else x for x in up]
+        want.append((i, len(set(up)), max(up.count(x) for x in up), True))
+    run = lambda name: sorted(map(tuple, QUERIES[name](spark, str(tmp_path)).collect()))
+    assert run("nested_labels_all") == want
+    assert run("nested_encoding_all") == sorted(edges)
+    assert run("nested_sparsify_all") == [(True, True, True, len(edges))]
