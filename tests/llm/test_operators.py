@@ -144,14 +144,14 @@ def test_language(spark):
 def test_surrogates(spark):
     private = ["ann.72@mail3.example.com", "+1 (640) 555-0953", "180.194.127.198", "4111111111111111", "4d8a45c418324758e099eb7cb89bc0f5fa9f619a", "123-45-6789", "Mrs. Anna Smith"]
     rows = [(i, f"see {x} and {x}.") for i, x in enumerate(private)] + [(90, None), (91, "clean 12 text")]
-    got = {r.doc_id: r for r in surrogates.counted(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    got = {r.doc_id: r for r in surrogates.counted(spark.createDataFrame(rows, "doc_id long, text string"), "surrogates-1").collect()}
     for i, x in enumerate(private):
         assert x not in got[i].text and got[i].n_entities == 2
         first, second = re.fullmatch(r"see (.*) and (.*)\.", got[i].text).groups()
         assert first == second and len(re.sub(r"\d", "", first)) == len(re.sub(r"\d", "", x))
     assert got[90].text is None and got[91].text == "clean 12 text"
     phones = spark.range(3000).select(F.concat(F.lit("+1 ("), F.lpad((F.col("id") % 1000).cast("string"), 3, "0"), F.lit(") 555-"), F.lpad(F.floor(F.col("id") / 1000).cast("string"), 4, "0")).alias("text"))
-    named = phones.select(surrogates.surrogate(F.col("text")).alias("s"), "text")
+    named = phones.select(surrogates.surrogate(F.col("text"), "surrogates-1").alias("s"), "text")
     assert named.select("s").distinct().count() == 3000 and named.where("s = text").count() == 0
 
 
