@@ -7,7 +7,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 from fewrounds.llm import decontaminate, neardup, pieces, quality, surrogates
-from fewrounds.llm.queries import table, tokenizer
+from fewrounds.llm.queries import surrogate_key, table, tokenizer
 from fewrounds.llm.spool import folder
 
 
@@ -24,7 +24,7 @@ def benchmark_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 
 
 def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return surrogates.replace(docs)
+    return surrogates.replace(docs, surrogate_key(spark))
 
 
 def sentence_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
