@@ -3,17 +3,25 @@
 Arrivals are appended as small immutable shards, one Parquet file each.  Shards of like size form a tier; a tier that
 holds ``fan_in`` shards is merged into files of about ``target_bytes``.  Spark's own file packing does the merging: it
 deals the tier's files, largest first, into read tasks of the target size, and each task writes one file, so nothing is
-shuffled.  Every change ends in one manifest, a JSON file of a new version, put in place by a rename that fails if the
-version exists; readers see whole versions only, and a batch that is in the manifest is not appended again.
+shuffled.  Every change ends in one manifest, a JSON file of a new version, put in place whole and only if the version
+doesn't exist: by a hard link on a file system of this machine, elsewhere by a rename that fails where the target exists,
+as HDFS has it.  (Stores of objects whose rename overwrites need a committer of their own; don't share a root between
+writers there.)  Readers see whole versions only, and a batch that is in the manifest is not appended again, so a lost
+writer just starts anew.  Shards are named by their number in the order of commits.
+
+Writers and readers may work on one root at once: nothing that a version of the last ``VACUUM_SECONDS`` names, and no file
+younger than that, is ever deleted, and only ``vacuum`` deletes.
 
 Defined results: rows, columns, nulls and repeated rows stay as they come; an empty arrival adds a version without
-shards; a lost writer leaves files that no manifest names, which ``vacuum`` deletes.
+shards; a lost writer leaves files that no manifest names, which ``vacuum`` deletes once they are old.
 """
 
 from __future__ import annotations
 
 import json
 import math
+import os
+import time
 import uuid
 from contextlib import contextmanager
 from dataclasses import dataclass
@@ -29,6 +37,14 @@ class Shard:
     file: str  # below the store's data folder
     size: int
     tier: int
+    name: str = ""
+
+
+VACUUM_SECONDS = 7 * 24 * 3600
+
+
+class Superseded(RuntimeError):
+    """Another writer was first with a change to the same shards."""
 
 
 class ShardStore:
@@ -52,7 +68,7 @@ class ShardStore:
     def manifest(self, version: int | None = None) -> dict:
         version = self.version() if version is None else version
         if not version:
-            return {"version": 0, "batches": [], "shards": []}
+            return {"version": 0, "batches": [], "shards": [], "named": 0}
         stream = self.fs.open(self._path(f"manifest/v{version}.json"))
         try:
             raw = self.jvm.org.apache.commons.io.IOUtils.toString(stream, "UTF-8")
@@ -63,24 +79,37 @@ class ShardStore:
     def shards(self, version: int | None = None) -> list[Shard]:
         return [Shard(*s) for s in self.manifest(version)["shards"]]
 
-    def _commit(self, base: dict, added: list[Shard], removed: set[str], batch: str | None) -> int:
+    def _commit(self, added: list[Shard], removed: set[str], batch: str | None) -> int:
         """Puts the next version in place; raises if another writer was first with changes to the same shards."""
         while True:
             now = self.manifest()
             have = {s[0] for s in now["shards"]}
             if not removed <= have:
-                raise RuntimeError("another writer has merged these shards")
+                raise Superseded("another writer has merged these shards")
             if batch is not None and batch in now["batches"]:
                 return now["version"]
-            new = {"version": now["version"] + 1, "batches": now["batches"] + ([batch] if batch is not None else []), "shards": [s for s in now["shards"] if s[0] not in removed] + [[s.file, s.size, s.tier] for s in added]}
+            fresh = [[s.file, s.size, s.tier, f"shard-{now['named'] + k:08d}"] for k, s in enumerate(added)]
+            new = {"version": now["version"] + 1, "batches": now["batches"] + ([batch] if batch is not None else []), "shards": [s for s in now["shards"] if s[0] not in removed] + fresh, "named": now["named"] + len(fresh)}
             draft = self._path(f"manifest/.{uuid.uuid4().hex}")
             stream = self.fs.create(draft, False)
             stream.write(bytearray(json.dumps(new).encode()))
             stream.close()
             final = self._path(f"manifest/v{new['version']}.json")
-            if not self.fs.exists(final) and self.fs.rename(draft, final):
-                return new["version"]
-            self.fs.delete(draft, False)
+            try:
+                if self._placed(draft, final):
+                    return new["version"]
+            finally:
+                self.fs.delete(draft, False)
+
+    def _placed(self, draft, final) -> bool:
+        """Puts a file under its last name unless that exists."""
+        if self.fs.getScheme() == "file":
+            try:
+                os.link(draft.toUri().getPath(), final.toUri().getPath())
+            except FileExistsError:
+                return False
+            return True
+        return not self.fs.exists(final) and bool(self.fs.rename(draft, final))
 
     # writing
 
@@ -98,7 +127,7 @@ class ShardStore:
         now = self.manifest()
         if batch is not None and batch in now["batches"]:
             return now["version"]
-        return self._commit(now, self._write(df), set(), batch)
+        return self._commit(self._write(df), set(), batch)
 
     @contextmanager
     def _packing(self):
@@ -128,15 +157,21 @@ class ShardStore:
                 merged = self._write(self.read_files([s.file for s in own]))
             if len(merged) >= len(own):  # nothing gained: the session doesn't pack files
                 merged = self._write(self.read_files([s.file for s in own]).coalesce(max(1, -(-sum(s.size for s in own) // self.target))))
-            self._commit({}, merged, {s.file for s in own}, None)
-            self.vacuum()
-
-    def vacuum(self, keep: int = 1) -> None:
-        """Deletes the data folders that none of the last ``keep`` versions names."""
-        last = self.version()
-        used = {s.file.split("/")[0] for v in range(max(1, last - keep + 1), last + 1) for s in self.shards(v)}
+            try:
+                self._commit(merged, {s.file for s in own}, None)
+            except Superseded:  # another writer has merged some of them; what is due now is seen anew
+                continue
+
+    def vacuum(self, older_than: float = VACUUM_SECONDS) -> None:
+        """Deletes data folders that were last written before ``older_than`` seconds ago and that no manifest younger
+        than that, nor the last one, names."""
+        limit = (time.time() - older_than) * 1000
+        files = {s.getPath().getName(): s.getModificationTime() for s in self.fs.listStatus(self._path("manifest"))}
+        versions = sorted(int(n[1:-5]) for n in files if n.startswith("v") and n.endswith(".json"))
+        ended = {v: files[f"v{after}.json"] for v, after in zip(versions, versions[1:], strict=False)}  # when a version was replaced
+        used = {s.file.split("/")[0] for v in versions if ended.get(v, limit) >= limit for s in self.shards(v)}
         for s in self.fs.listStatus(self._path("data")):
-            if s.getPath().getName() not in used:
+            if s.getPath().getName() not in used and s.getModificationTime() < limit:
                 self.fs.delete(s.getPath(), True)
 
     # reading
@@ -145,7 +180,7 @@ class ShardStore:
         return self.spark.read.parquet(*(f"{self.root}/data/{f}" for f in files))
 
     def read(self, version: int | None = None) -> DataFrame:
-        """The rows of a version."""
+        """The rows of a version that has shards."""
         return self.read_files([s.file for s in self.shards(version)])
 
 
