@@ -26,6 +26,11 @@ def op2_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return substrings.dedup(table(spark, sf_dir, "documents")).drop("kept_text")
 
 
+def substring_levels(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """How long the repeated passages get, by doubled window length."""
+    return substrings.levels(table(spark, sf_dir, "documents"))
+
+
 def op3_sentence_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pieces.digest(table(spark, sf_dir, "documents"), tokenizer("piece_bpe_32k.model"))
 
@@ -37,7 +42,15 @@ def op4_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op5_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     store, rows = shards.sharded(table(spark, sf_dir, "documents"))
-    return rows.select("doc_id", F.octet_length("text").cast("long").alias("n_bytes"), F.md5("text").alias("text_md5"), F.col("_metadata.file_size").alias("shard_bytes"), F.concat_ws("/", F.element_at(F.split("_metadata.file_path", "/"), -2), "_metadata.file_name").alias("shard"))
+    return rows.select("doc_id", F.octet_length("text").cast("long").alias("n_bytes"), F.md5("text").alias("text_md5"))
+
+
+def shard_manifest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The committed shards: name, tier and rows, and whether the manifest's sizes are those of the files."""
+    store, rows = shards.sharded(table(spark, sf_dir, "documents"))
+    named = spark.createDataFrame([(s.name, s.file, s.tier, s.size) for s in store.shards()], "shard string, file string, tier int, size long")
+    held = rows.groupBy(F.concat_ws("/", F.element_at(F.split("_metadata.file_path", "/"), -2), "_metadata.file_name").alias("file")).agg(F.count(F.lit(1)).alias("n_rows"), F.max("_metadata.file_size").alias("bytes"))
+    return named.join(held, "file", "left").select("shard", "tier", F.coalesce("n_rows", F.lit(0)).alias("n_rows"), (F.col("size") == F.col("bytes")).alias("size_ok"))
 
 
 def op6_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -68,7 +81,7 @@ def op10_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_near_duplicates, op2_substring_dedup, op3_sentence_pieces, op4_decontaminate, op5_shards, op6_main_text, op7_surrogates, op8_language, op9_token_counts, op10_quality)}
+    return {f.__name__: f for f in (op1_near_duplicates, op2_substring_dedup, substring_levels, op3_sentence_pieces, op4_decontaminate, op5_shards, shard_manifest, op6_main_text, op7_surrogates, op8_language, op9_token_counts, op10_quality)}
 
 
 WORDS = r"regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')"
@@ -98,6 +111,16 @@ SELECT d.doc_id, len(w)::BIGINT AS n_words, (len(w) - coalesce(n_kept, 0))::BIGI
 FROM d LEFT JOIN k ON d.doc_id = k.doc_id
 """
 
+LEVELS = rf"""
+WITH RECURSIVE d AS (SELECT doc_id, {WORDS} AS w FROM documents),
+     x AS (SELECT doc_id, i, md5(array_to_string(w[i:i + 12], ' ')) AS h FROM (SELECT doc_id, w, unnest(range(1, len(w) - 11)) AS i FROM d WHERE len(w) >= 13)),
+     r AS (SELECT 13 AS length, doc_id, i, h FROM (SELECT *, min(doc_id) OVER (PARTITION BY h) < max(doc_id) OVER (PARTITION BY h) AS again FROM x) WHERE again
+           UNION ALL
+           SELECT length, doc_id, i, h FROM (SELECT *, min(doc_id) OVER (PARTITION BY h) < max(doc_id) OVER (PARTITION BY h) AS again
+                                             FROM (SELECT 2 * a.length AS length, a.doc_id, a.i, md5(a.h || b.h) AS h FROM r a JOIN r b ON a.doc_id = b.doc_id AND b.i = a.i + a.length)) WHERE again)
+SELECT length, count(DISTINCT doc_id) AS n_docs, count(*) AS n_windows FROM r GROUP BY length
+"""
+
 FOLDED = r"regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')"
 
 OP4 = rf"""
@@ -145,4 +168,4 @@ FROM z
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_near_duplicates": OP1, "op2_substring_dedup": OP2, "op4_decontaminate": OP4, "op10_quality": _op10()}
+    return {"op1_near_duplicates": OP1, "op2_substring_dedup": OP2, "substring_levels": LEVELS, "op4_decontaminate": OP4, "op5_shards": "SELECT doc_id, octet_length(encode(text))::BIGINT AS n_bytes, md5(text) AS text_md5 FROM documents", "op10_quality": _op10()}

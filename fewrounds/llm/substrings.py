@@ -5,8 +5,9 @@ A word goes if a window of ``length`` words covers it whose word sequence also s
 Level 1 looks at windows of half the length.  Not all are needed: among the half-length windows inside each full
 window the one with the least hash stands for it, so equal full windows always have equal stand-ins.  Stand-ins that
 start in two documents survive.  Level 2 extends only the survivors to the full length, where each document learns
-which of its windows start in a smaller document.  ``levels`` goes on doubling while anything survives and tells how
-long the repeated passages get.
+which of its windows start in a smaller document.  ``levels`` goes on from there: at each level a window of twice the
+length is looked at only if both its halves survived, its number comes from theirs and no text is read again, and it
+ends at the level where nothing survives.
 
 Skew: a task first compares its own documents.  A window that several of them share is decided for all but the first
 (level 2) or all but the outer two (level 1) on the spot, so the group of one window gets two rows of a task at most,
@@ -26,7 +27,6 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from . import textnum as tn
@@ -126,9 +126,13 @@ def _hash_set(lists: list | None, blobs: list | None) -> np.ndarray:
 
 
 def _decided(rows: DataFrame, alike) -> DataFrame:
-    """doc_id, hashes, blobs: what each document has of the windows that pass ``alike`` or were decided before."""
-    group = W.partitionBy("g", "c")
-    seen = rows.withColumns({"low": F.min("doc_id").over(group), "high": F.max("doc_id").over(group)})
+    """doc_id, hashes, blobs: what each document has of the windows that pass ``alike`` or were decided before.
+
+    A window's least and largest document are folded, not held: its rows stream past one row of the fold, which reads
+    the same exchange."""
+    dealt = rows.repartition("g", "c")
+    ends = dealt.groupBy("g", "c").agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high"))
+    seen = dealt.join(ends, ["g", "c"])
     return seen.where(F.col("more").isNotNull() | alike).groupBy("doc_id").agg(F.collect_list(F.when(F.col("more").isNull(), F.col("g"))).alias("hashes"), F.collect_list("more").alias("blobs"))
 
 
@@ -240,17 +244,94 @@ def kept_texts(w: tn.Words, gone: np.ndarray, data: np.ndarray) -> list[bytes]:
     return [out[b : e - 1] if e > b else b"" for b, e in zip(bound[:-1].tolist(), bound[1:].tolist(), strict=True)]
 
 
-def levels(docs: DataFrame, first: int = 13, last: int = 1 << 14) -> DataFrame:
+def _alive(hashes: list | None, blobs: list | None, h: np.ndarray) -> np.ndarray:
+    """Which of the hashes are among the survivors of a document."""
+    known = _hash_set(hashes, blobs)
+    if not len(known) or not len(h):
+        return np.zeros(len(h), bool)
+    return known[np.minimum(np.searchsorted(known, h), len(known) - 1)] == h
+
+
+_GRID = "doc_id long, at binary, h binary, check binary"
+
+
+def _grid(rows: list[tuple]) -> pa.RecordBatch:
+    """Places, hashes and second hashes of documents' windows."""
+    return pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int64()), *(pa.array([r[k].tobytes() for r in rows], pa.binary()) for k in (1, 2, 3))], ["doc_id", "at", "h", "check"])
+
+
+def _survivors(grid: DataFrame) -> DataFrame:
+    """The windows of a grid that start in more than one document."""
+
+    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        pool = _Pool(2)
+        for batch in batches:
+            for doc, h, check in zip(batch.column(0).to_pylist(), batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
+                h, check = np.frombuffer(h, np.uint64), np.frombuffer(check, np.uint64)
+                pool.add(h, (check >> np.uint64(33)).astype(np.int32), np.full(len(h), doc, np.int64))
+                if pool.size >= FLUSH:
+                    yield from pool.flush()
+        yield from pool.flush()
+
+    def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = []
+            for doc, at, h, check, hashes, blobs in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                at, h, check = np.frombuffer(at, np.int64), np.frombuffer(h, np.uint64), np.frombuffer(check, np.uint64)
+                some = _alive(hashes, blobs, h)
+                if some.any():
+                    rows.append((doc, at[some], h[some], check[some]))
+            yield _grid(rows)
+
+    alive = _decided(grid.mapInArrow(deal, _ROWS), F.col("low") < F.col("high"))
+    return grid.join(alive, "doc_id").mapInArrow(keep, _GRID)
+
+
+def _doubled(grid: DataFrame, length: int) -> DataFrame:
+    """The windows of twice the length both of whose halves are in the grid."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = []
+            for doc, at, h, check in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                at, h, check = np.frombuffer(at, np.int64), np.frombuffer(h, np.uint64), np.frombuffer(check, np.uint64)
+                after = np.searchsorted(at, at + length)
+                both = np.flatnonzero(at[np.minimum(after, len(at) - 1)] == at + length)
+                if len(both):
+                    second = after[both]
+                    rows.append((doc, at[both], *(tn.mix(tn.mix(x[both]) + (x[second] ^ np.uint64(length))) for x in (h, check))))
+            yield _grid(rows)
+
+    return grid.mapInArrow(run, _GRID)
+
+
+def levels(docs: DataFrame, first: int = LENGTH) -> DataFrame:
     """length, n_docs, n_windows: by doubled length, how many documents hold windows that also start in another
-    document, and how many such windows.  Doubling stops when none survives."""
-    texts = docs.select("doc_id", "text")
-    out, length = None, first
-    while length <= last:
-        alive = _candidates(texts, max(1, length // 2), length)
-        one = _extended(texts.join(alive, "doc_id"), max(1, length // 2), length).select(F.lit(length).alias("length"), (F.size("hashes") + F.aggregate("blobs", F.lit(0), lambda a, b: a + (F.length(b) / 8).cast("int"))).alias("n"))
-        row = one.groupBy("length").agg(F.count(F.lit(1)).alias("n_docs"), F.sum("n").cast("long").alias("n_windows")).collect()
-        if not row:
+    document, and at how many places.  Ends where nothing survives.  Rows that share an id are one document."""
+    half = max(1, first // 2)
+
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part, data, offsets in tn.batched(batches, "text"):
+            w = tn.words_of(data, offsets, hashes=2)
+            full, best, at, h = stand_ins(w, half, first)
+            alive = np.zeros(len(w.doc), bool)
+            bound = np.searchsorted(w.doc[at], np.arange(len(w.counts) + 1))
+            for d, (hashes, blobs) in enumerate(zip(part.column(2).to_pylist(), part.column(3).to_pylist(), strict=True)):
+                alive[at[bound[d] : bound[d + 1]]] = _alive(hashes, blobs, h[bound[d] : bound[d + 1]])
+            take = np.flatnonzero(alive[best]) if len(full) else full
+            _, long_h = tn.windows(w, first)
+            _, check = tn.windows(w, first, 1)
+            bound = np.searchsorted(w.doc[full[take]], np.arange(len(w.counts) + 1))
+            ids = part.column(0).to_pylist()
+            yield _grid([(ids[d], full[own], long_h[own], check[own]) for d in range(len(ids)) if len(own := take[bound[d] : bound[d + 1]])])
+
+    texts = docs.where("doc_id IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    grid = kept(_survivors(kept(texts.join(_candidates(texts, half, first), "doc_id").mapInArrow(cut, _GRID))))
+    out, length = [], first
+    while True:
+        row = grid.agg(F.count_distinct("doc_id"), F.coalesce(F.sum(F.length("h") / 8).cast("long"), F.lit(0))).first()
+        if not row[0]:
             break
-        out = [*(out or []), *row]
-        length *= 2
-    return docs.sparkSession.createDataFrame(out or [], "length int, n_docs long, n_windows long")
+        out.append((length, row[0], row[1]))
+        grid, length = kept(_survivors(kept(_doubled(grid, length)))), 2 * length
+    return docs.sparkSession.createDataFrame(out, "length int, n_docs long, n_windows long")
