@@ -13,13 +13,13 @@ from .graphs import EdgeSet, growable
 from .sparsify import Split
 
 
-def classify_vertices(g: EdgeSet, messages: DataFrame, labels: DataFrame, p: Params) -> DataFrame:
+def classify_vertices(g: EdgeSet, messages: DataFrame, labels: DataFrame, p: Params, portable: bool = False) -> DataFrame:
     """vid, class (alpha: a sample component of it holds a leader; beta: not so, but its final component is small and
     ungrowable; gamma: the rest) and bad (final component growable and without leader)."""
     led = messages.where("comp_has_leader").select(F.col("v").alias("vid")).distinct().withColumn("led", F.lit(True))
-    sizes = labels.groupBy("comp").agg(F.count(F.lit(1)).alias("size"), F.max(coin(p.seed, "leader", "vid") < p.p_leader).alias("has_leader"))
+    sizes = labels.groupBy("comp").agg(F.count(F.lit(1)).alias("size"), F.max(coin(p.seed, "leader", "vid", portable=portable) < p.p_leader).alias("has_leader"))
     grow = growable(labels, g.edges).withColumn("grow", F.lit(True))
-    own_leader = coin(p.seed, "leader", "vid") < p.p_leader
+    own_leader = coin(p.seed, "leader", "vid", portable=portable) < p.p_leader
     full = labels.join(led, "vid", "left").join(sizes, "comp").join(grow, "comp", "left")
     alpha = F.coalesce("led", F.lit(False)) | own_leader
     kind = F.when(alpha, "alpha").when(F.col("grow").isNull() & (F.col("size") <= p.small), "beta").otherwise("gamma")
@@ -54,7 +54,8 @@ def almost_partition(forest: DataFrame, labels: DataFrame, s: int) -> DataFrame:
             for x in reversed(order[1:]):
                 size[parent[x]] += size[x]
             below = lambda top: _below(top, near, parent)
-            cut_at = next((x for x in reversed(order) if x != root and s <= size[x] <= len(nodes) - s), None)
+            ways = [x for x in order[1:] if s <= size[x] <= len(nodes) - s]
+            cut_at = min(ways, key=lambda x: abs(len(nodes) - 2 * size[x]), default=None)  # halves, so that a path takes lg n rounds
             if cut_at is not None:
                 low = below(cut_at)
                 work += [low, nodes - low]

@@ -8,6 +8,7 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions.coins import priority
@@ -160,7 +161,7 @@ def canonical_labels(vertices: DataFrame, labels: DataFrame) -> DataFrame:
 
 def publish_forest(vertices: DataFrame, result: ComponentResult, limit: int = TASK_LIMIT) -> DataFrame:
     """vid, parent, root, depth: every tree rooted at its least vertex.  Trees are handed to tasks whole, which must fit;
-    ``limit`` bounds a tree's edges, and larger ones are rooted level by level."""
+    ``limit`` bounds a tree's edges, and larger ones are rooted by tours."""
     comp = result.labels
     tree = result.forest.join(comp, F.col("src") == F.col("vid")).select("comp", "src", "dst")
     large = cut(tree.groupBy("comp").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > limit).select("comp"))
@@ -190,14 +191,33 @@ def publish_forest(vertices: DataFrame, result: ComponentResult, limit: int = TA
     out = small.unionByName(alone)
     if large.isEmpty():
         return out
-    rest = symmetrize(tree.join(large, "comp").select("src", "dst"))
-    level = large.select(F.col("comp").alias("vid"), F.col("comp").alias("parent"), F.col("comp").alias("root"), F.lit(0).cast("long").alias("depth"))
-    done = level
-    while True:
-        step = cut(rest.join(level.select(F.col("vid").alias("u"), "root", "depth"), "u").select(F.col("v").alias("vid"), F.col("u").alias("parent"), "root", (F.col("depth") + 1).alias("depth")).join(done.select("vid"), "vid", "left_anti"))
-        if step.isEmpty():
-            return out.unionByName(done)
-        done, level = cut(done.unionByName(step)), step
+    return out.unionByName(root_by_tours(tree.join(large, "comp")))
+
+
+def root_by_tours(tree: DataFrame) -> DataFrame:
+    """vid, parent, root, depth of trees (comp, src, dst) of any size, rooted at comp: an Euler tour of each tree is a
+    linked list of its edges in both directions; pointer doubling along it gives every direction its place and the
+    steps down less the steps up behind it, in as many joins as the tour's length has binary digits."""
+    both = cut(tree.select("comp", F.col("src").alias("u"), F.col("dst").alias("v")).unionByName(tree.select("comp", F.col("dst").alias("u"), F.col("src").alias("v"))))
+    around = W.partitionBy("u").orderBy("v")
+    after = both.select("u", "v", F.coalesce(F.lead("v").over(around), F.lit(None)).alias("next"), F.min("v").over(W.partitionBy("u")).alias("first"))
+    # behind (w, u) comes (u, the neighbour of u after w); at the root the tour ends behind its last neighbour
+    turns = after.select(F.col("v").alias("u"), F.col("u").alias("v"), F.col("next"), F.col("first"))
+    ring = both.join(turns, ["u", "v"]).select("comp", "u", "v", F.col("v").alias("nu"), F.when(F.col("next").isNotNull(), F.col("next")).when(F.col("v") != F.col("comp"), F.col("first")).alias("nv"))
+    state = cut(ring.select("comp", "u", "v", F.when(F.col("nv").isNotNull(), F.col("nu")).alias("nu"), "nv", F.lit(1).cast("long").alias("left")))
+    while not state.where("nv IS NOT NULL").isEmpty():
+        over = state.select(F.col("u").alias("nu"), F.col("v").alias("nv"), F.col("nu").alias("pu"), F.col("nv").alias("pv"), F.col("left").alias("more"))
+        state = cut(state.join(over, ["nu", "nv"], "left").select("comp", "u", "v", F.col("pu").alias("nu"), F.col("pv").alias("nv"), (F.col("left") + F.coalesce("more", F.lit(0))).alias("left")))
+    back = state.select(F.col("v").alias("u"), F.col("u").alias("v"), F.col("left").alias("back"))
+    down = cut(state.join(back, ["u", "v"]).where("left > back").select("comp", F.col("v").alias("vid"), F.col("u").alias("parent")))  # the way down comes first
+    roots = down.select("comp").distinct()
+    # depths: the same doubling over parents
+    depth = cut(down.select("vid", F.col("parent").alias("up"), F.lit(1).cast("long").alias("depth")).unionByName(roots.select(F.col("comp").alias("vid"), F.lit(None).cast("long").alias("up"), F.lit(0).cast("long").alias("depth"))))
+    while not depth.where("up IS NOT NULL").isEmpty():
+        over = depth.select(F.col("vid").alias("up"), F.col("up").alias("next"), F.col("depth").alias("more"))
+        depth = cut(depth.join(over, "up", "left").select("vid", F.col("next").alias("up"), (F.col("depth") + F.coalesce("more", F.lit(0))).alias("depth")))
+    full = down.unionByName(roots.select("comp", F.col("comp").alias("vid"), F.col("comp").alias("parent")))
+    return full.join(depth.select("vid", "depth"), "vid").select("vid", "parent", F.col("comp").alias("root"), "depth")
 
 
 def empty_forest(g: EdgeSet) -> DataFrame:

@@ -13,15 +13,18 @@ from pyspark.sql import functions as F
 
 from ..functions.coins import coin
 from ..plans.spool import cut
-from .components import TASK_LIMIT, as_links, complete_partition, star_contraction
+from .components import TASK_LIMIT, UnionFind, as_links, complete_partition, star_contraction
 from .graphs import EdgeSet, relabel
 from .relational import global_rank
 
 FOREST_LIMIT = 500_000  # vertices whose forest is broadcast for the light-edge test; its table takes 360 bytes a vertex at most
 
 
-def thin_by_sampling(g: EdgeSet, p: float, seed: int = 0) -> DataFrame:
-    return g.edges.where(coin(seed, "thin", "src", "dst") < p)
+FILTER_ABOVE = 4  # edges a vertex
+
+
+def thin_by_sampling(g: EdgeSet, p: float, seed: int = 0, portable: bool = False) -> DataFrame:
+    return g.edges.where(coin(seed, "thin", "src", "dst", portable=portable) < p)
 
 
 def with_weights(forest: DataFrame, edges: DataFrame) -> DataFrame:
@@ -162,21 +165,42 @@ def bucketed_forest(g: EdgeSet, growth: str = "geometric", run: int | None = Non
     return forest if forest is not None else g.edges.select("src", "dst").where("false")
 
 
-def minimum_spanning_forest(g: EdgeSet, seed: int = 0, faithful: bool = False, growth: str = "geometric", force_filter: bool = False, log: dict | None = None) -> DataFrame:
-    """src, dst, weight.  Dense graphs are first thinned (p = 1/sqrt n, or sqrt(n / edges) where that is sparser than
-    all pairs); the forest of the thin part shows which edges are light, and only those go on."""
+def simultaneous_forest(g: EdgeSet, run: int | None = None, log: list | None = None) -> DataFrame:
+    """src, dst of the minimum spanning forest: runs of n edges in order make nested instances, whose components are
+    found all at once; then every run is solved on its own, contracted by the instance before it."""
+    from .nested import bucket_kruskal, components_of_nested
+
+    n = run or max(1, min(g.n, TASK_LIMIT))
+    edges = cut(nested_instances(g.edges, n, "uniform"))
+    last = edges.agg(F.max("first_instance")).first()[0] or 0
+    if log is not None:
+        log.append({"instances": last})
+    nothing = g.vertices.select(F.lit(0).alias("instance"), "vid", F.col("vid").alias("comp")).where("false")
+    labels = components_of_nested(edges.where(F.col("first_instance") < last), g.vertices, last - 1) if last > 1 else nothing
+    return bucket_kruskal(edges, cut(labels))
+
+
+def minimum_spanning_forest(g: EdgeSet, seed: int = 0, faithful: bool = False, method: str = "simultaneous", growth: str = "geometric", force_filter: bool = False, log: dict | None = None) -> DataFrame:
+    """src, dst, weight.  Graphs of more than ``FILTER_ABOVE`` edges a vertex are first thinned (p = 1/sqrt n with
+    ``faithful``, else sqrt(n / edges), which leaves as many thin edges as light ones); the forest of the thin part shows
+    which edges are light, and only those go on.  ``method``: nested instances all at once, or ``sequential`` runs."""
     g = g.settle()
     n, m = max(g.n, 1), g.edges.count()
+    runs: list = []
+    forest_of = (lambda x: simultaneous_forest(x, log=runs)) if method == "simultaneous" else (lambda x: bucketed_forest(x, growth))
     edges = g.edges
-    if m > n**1.5 or force_filter:
+    if m > FILTER_ABOVE * n or force_filter:
         p = 1 / n**0.5 if faithful else min(1.0, (n / max(m, 1)) ** 0.5)
         thin = EdgeSet(g.vertices, cut(thin_by_sampling(g, p, seed)), settled=True)
-        forest = with_weights(bucketed_forest(thin, growth), thin.edges)
+        forest = with_weights(forest_of(thin), thin.edges)
         edges = cut(light_edges(g, forest))
         if log is not None:
             log |= {"n": n, "edges": m, "p": p, "thin": thin.edges.count(), "light": edges.count()}
     light = EdgeSet(g.vertices, edges, settled=True)
-    return with_weights(bucketed_forest(light, growth), edges)
+    out = with_weights(forest_of(light), edges)
+    if log is not None:
+        log["instances"] = [r["instances"] for r in runs]
+    return out
 
 
 def hook_and_contract_msf(g: EdgeSet) -> DataFrame:
@@ -192,56 +216,60 @@ def exact_local_msf(g: EdgeSet) -> DataFrame:
 
 
 def squared_growth_msf(g: EdgeSet, phases: int | None = None, limit: int = TASK_LIMIT) -> tuple[DataFrame, DataFrame]:
-    """Clusters of size k list their k lightest edges to different clusters; a task merges along listed edges in order
-    as long as a side still vouches for its lightest edge, that is until a member's list ends.  Returns the forest and
-    labels; with ``phases`` it stops early."""
+    """A cluster of k vertices lists its k lightest edges to different clusters, n rows at most; a task merges along
+    listed edges in order as long as a side still vouches for its lightest edge, that is until a member's list ends.
+    With more than ``limit`` vertices clusters list one edge, and the merges are those of hooking and contracting.
+    Returns the forest and labels; with ``phases`` it stops early."""
     from pyspark.sql import Window as W
 
     g = g.settle()
     labels = g.vertices.select("vid", F.col("vid").alias("comp"))
-    forest, k, done = None, 1, 0
+    forest, done = None, 0
     while phases is None or done < phases:
         pairs = relabel(g.edges, labels)
         both = cut(pairs.select(F.col("cu").alias("c"), F.col("cv").alias("o"), "e.*").unionByName(pairs.select(F.col("cv").alias("c"), F.col("cu").alias("o"), "e.*")))
         if both.isEmpty():
             break
-        w = W.partitionBy("c").orderBy("weight", "src", "dst")
-        listed = both.withColumn("r", F.row_number().over(w)).where(F.col("r") <= k)
-        ends = both.groupBy("c").agg((F.count(F.lit(1)) > k).alias("cut_short"))
-        rows = listed.join(ends, "c").select("c", "o", "weight", "src", "dst", ((F.col("r") == k) & F.col("cut_short")).alias("ends"))
-
-        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            from .components import UnionFind
-
-            data = sorted((r for b in batches for r in zip(*(c.to_pylist() for c in b.columns), strict=True)), key=lambda r: (r[2], r[3], r[4]))
-            sets, closed, used = UnionFind(), set(), []
-            i = 0
-            while i < len(data):
-                j = i
-                while j < len(data) and data[j][2:5] == data[i][2:5]:
-                    j += 1
-                x, y = sets.find(data[i][0]), sets.find(data[i][1])
-                if x != y and not (x in closed and y in closed):
-                    shut = x in closed or y in closed
-                    sets.join(x, y)
-                    used.append((data[i][3], data[i][4]))
-                    if shut:
-                        closed.add(sets.find(x))
-                for r in data[i:j]:
-                    if r[5]:
-                        closed.add(sets.find(r[0]))
-                i = j
-            ids = sorted({r[0] for r in data} | {r[1] for r in data})
-            rows = [(False, v, sets.find(v)) for v in ids] + [(True, a, b) for a, b in used]
-            if rows:
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.bool_(), pa.int64(), pa.int64()), strict=True)], ["is_edge", "a", "b"])
-
-        solved = cut(rows.coalesce(1).mapInArrow(run, "is_edge boolean, a long, b long"))
-        new = solved.where("is_edge").select(F.col("a").alias("src"), F.col("b").alias("dst"))
+        if g.n > limit:
+            best = both.groupBy("c").agg(F.min(F.struct("weight", "src", "dst", "o")).alias("b")).select(F.col("c").alias("u"), F.col("b.o").alias("v"), F.col("b.src").alias("e_src"), F.col("b.dst").alias("e_dst"), F.col("b.weight").alias("weight"))
+            to, new = complete_partition(best, "distributed", weighted=True)
+            to = to.select(F.col("vid").alias("comp"), F.col("comp").alias("to"))
+        else:
+            sizes = labels.groupBy(F.col("comp").alias("c")).agg(F.count(F.lit(1)).alias("k"))
+            w = W.partitionBy("c").orderBy("weight", "src", "dst")
+            listed = both.withColumn("r", F.row_number().over(w)).join(sizes, "c").where(F.col("r") <= F.col("k"))
+            ends = both.groupBy("c").agg(F.count(F.lit(1)).alias("all"))
+            rows = listed.join(ends, "c").select("c", "o", "weight", "src", "dst", ((F.col("r") == F.col("k")) & (F.col("all") > F.col("k"))).alias("ends"))
+            solved = cut(rows.coalesce(1).mapInArrow(_merge_listed, "is_edge boolean, a long, b long"))
+            new = solved.where("is_edge").select(F.col("a").alias("src"), F.col("b").alias("dst"))
+            to = solved.where("NOT is_edge").select(F.col("a").alias("comp"), F.col("b").alias("to"))
         forest = new if forest is None else forest.unionByName(new)
-        to = solved.where("NOT is_edge").select(F.col("a").alias("comp"), F.col("b").alias("to"))
         labels = cut(labels.join(to, "comp", "left").select("vid", F.coalesce("to", "comp").alias("comp")))
-        k, done = max(2, k * k) if k > 1 else 2, done + 1
+        done += 1
     if forest is None:
         forest = g.edges.select("src", "dst").where("false")
     return with_weights(forest, g.edges) if "weight" in g.edges.columns else forest, labels
+
+
+def _merge_listed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Merges of listed edges (c, o, weight, src, dst, ends)."""
+    data = sorted((r for b in batches for r in zip(*(c.to_pylist() for c in b.columns), strict=True)), key=lambda r: (r[2], r[3], r[4]))
+    sets, closed, used = UnionFind(), set(), []
+    i = 0
+    while i < len(data):
+        j = i
+        while j < len(data) and data[j][2:5] == data[i][2:5]:
+            j += 1
+        x, y = sets.find(data[i][0]), sets.find(data[i][1])
+        if x != y and not (x in closed and y in closed):
+            shut = x in closed or y in closed
+            sets.join(x, y)
+            used.append((data[i][3], data[i][4]))
+            if shut:
+                closed.add(sets.find(x))
+        closed |= {sets.find(r[0]) for r in data[i:j] if r[5]}
+        i = j
+    ids = sorted({r[0] for r in data} | {r[1] for r in data})
+    rows = [(False, v, sets.find(v)) for v in ids] + [(True, a, b) for a, b in used]
+    if rows:
+        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.bool_(), pa.int64(), pa.int64()), strict=True)], ["is_edge", "a", "b"])

@@ -4,12 +4,13 @@ from __future__ import annotations
 
 import math
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.spool import cut
-from .components import ComponentResult, UnionFind, complete_partition
+from .components import ComponentResult, _solve, complete_partition
 from .connectivity import connected_components
 from .graphs import TAG, EdgeSet, disjoint_union, relabel, symmetrize
 from .relational import prefix_sum
@@ -39,12 +40,35 @@ def expanded(edges: DataFrame, count: int) -> DataFrame:
     return edges.select(F.explode(F.sequence("first_instance", F.lit(count))).alias("instance"), "src", "dst")
 
 
-def components_of_nested(edges: DataFrame, vertices: DataFrame, count: int, mode: str = "incremental") -> DataFrame:
-    """instance, vid, comp.  ``incremental`` adds run after run to the partition so far; ``parallel`` solves the
-    disjoint union of all instances in one go."""
+def expand_at_proxies(encoded: DataFrame, proxies: DataFrame, count: int) -> DataFrame:
+    """proxy, instance, u, v: the edges of all instances, unfolded where they are served.
+
+    A vertex's encoding goes to those of its proxies that simulate it in an instance with the edge; each proxy unfolds
+    its own few instances after the exchange, so neither the exchange nor any key carries all instances of a busy
+    vertex."""
+    rows = encoded.join(proxies, encoded["u"] == proxies["vid"])
+    first = F.least(F.floor((F.col("first_instance") - 1) / F.col("per_proxy")), F.col("proxies") - 1)
+    dealt = rows.where(F.col("first_instance") <= count).withColumn("k", F.explode(F.sequence(first, F.least(F.col("proxies") - 1, F.greatest(first, F.floor(F.lit(count - 1) / F.col("per_proxy")))))))
+    low = F.greatest(F.col("first_instance"), F.col("k") * F.col("per_proxy") + 1).cast("int")
+    high = F.when(F.col("k") == F.col("proxies") - 1, F.lit(count)).otherwise(F.least(F.lit(count), (F.col("k") + 1) * F.col("per_proxy"))).cast("int")
+    sent = dealt.select((F.col("first_proxy") + F.col("k")).alias("proxy"), "u", "v", low.alias("low"), high.alias("high")).where("low <= high").repartition("proxy")
+    return sent.select("proxy", "u", "v", F.explode(F.sequence("low", "high")).alias("instance"))
+
+
+def union_of_nested(edges: DataFrame, vertices: DataFrame, count: int) -> EdgeSet:
+    """All instances side by side as one graph, unfolded at proxies.  edges: src, dst, first_instance."""
+    encoded = cut(encode_nested(edges))
+    deg = encoded.groupBy(F.col("u").alias("vid")).agg(F.count(F.lit(1)).alias("d"))
+    proxies = cut(assign_proxies(deg, max(vertices.count(), 1)))
+    served = expand_at_proxies(encoded, proxies, count).where("u < v")
+    return disjoint_union(served.select("instance", F.col("u").alias("src"), F.col("v").alias("dst")), vertices, count)
+
+
+def components_of_nested(edges: DataFrame, vertices: DataFrame, count: int, mode: str = "parallel") -> DataFrame:
+    """instance, vid, comp.  ``parallel`` solves all instances at once, side by side; ``incremental`` adds run after run
+    to the partition so far, one step an instance."""
     if mode == "parallel":
-        union = disjoint_union(expanded(edges, count), vertices, count)
-        labels = connected_components(union).labels
+        labels = connected_components(union_of_nested(edges, vertices, count)).labels
         return labels.select(F.floor(F.col("vid") / SHIFT).cast("int").alias("instance"), (F.col("vid") % SHIFT).alias("vid"), (F.col("comp") % SHIFT).alias("comp"))
     labels, out = cut(vertices.select("vid", F.col("vid").alias("comp"))), None
     for i in range(1, count + 1):
@@ -68,10 +92,10 @@ def bucket_kruskal(edges: DataFrame, labels: DataFrame) -> DataFrame:
     run = first.unionByName(rest).where("cu <> cv")
 
     def solve(table: pa.Table) -> pa.Table:
-        rows = sorted(zip(*(table[c].to_pylist() for c in ("weight", "src", "dst", "cu", "cv")), strict=True))
-        sets = UnionFind()
-        used = [(r[1], r[2]) for r in rows if sets.join(r[3], r[4])]
-        return pa.table([pa.array([x for x, _ in used], pa.int64()), pa.array([y for _, y in used], pa.int64())], ["src", "dst"])
+        weight, src, dst, u, v = (table[c].to_numpy() for c in ("weight", "src", "dst", "cu", "cv"))
+        order = np.lexsort((dst, src, weight))
+        _, used = _solve(u[order], v[order])
+        return pa.table([src[order][used], dst[order][used]], ["src", "dst"])
 
     return run.groupBy("first_instance").applyInArrow(solve, "src long, dst long")
 
@@ -98,7 +122,7 @@ def instance_proxy(instances: DataFrame, proxies: DataFrame) -> DataFrame:
 
 def nested_sparsify(edges: DataFrame, vertices: DataFrame, count: int, s: int) -> tuple[EdgeSet, Split]:
     """Sparsification of all instances side by side."""
-    union = disjoint_union(expanded(edges, count), vertices, count)
+    union = union_of_nested(edges, vertices, count).settle()
     return union, sparsify_by_degree(union, s)
 
 

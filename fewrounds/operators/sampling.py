@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import math
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -34,60 +35,107 @@ def sample_edges(edges: DataFrame, m: int, p: float, seed: int, portable: bool =
     return edges.select("src", "dst", F.explode(F.filter(places, lambda x: x <= m)).alias("sample")).select("sample", "src", "dst")
 
 
+def hits_table_function():
+    """A table function (a, b, m, p, seed) -> sample: the samples an edge joins, by geometric skips."""
+    from pyspark.sql.functions import udtf
+
+    class Hits:
+        def eval(self, a: int, b: int, m: int, p: float, seed: int):
+            import math
+            import random
+
+            draw, at = random.Random(f"{seed}|{a}|{b}"), 0
+            while True:
+                at += 1 if p >= 1 else int(math.log(1 - draw.random()) / math.log(1 - p)) + 1
+                if at > m:
+                    return
+                yield (at,)
+
+    return udtf(Hits, returnType="sample int")
+
+
 def choose_leaders(vertices: DataFrame, p: float, seed: int, portable: bool = False) -> DataFrame:
     return vertices.where(coin(seed, "leader", "vid", portable=portable) < p)
 
 
-def solve_sample(samples: DataFrame, p: Params) -> DataFrame:
+SAMPLE_LIMIT = 20_000_000  # edges of one sample that a task solves alone
+
+
+def _solved(sample: int, src: np.ndarray, dst: np.ndarray, lead_src: np.ndarray, lead_dst: np.ndarray, n: int) -> pa.Table:
+    """The messages of one sample."""
+    ids, ends = np.unique(np.concatenate([src, dst]), return_inverse=True)
+    k, m = len(ids), len(src)
+    a, b = ends, np.concatenate([ends[m:], ends[:m]])  # every edge from both ends
+    leader = np.zeros(k, bool)
+    leader[ends[np.concatenate([lead_src, lead_dst])]] = True
+    comp = np.arange(k)
+    while True:  # the least place among the neighbours, then jumps
+        new = comp.copy()
+        np.minimum.at(new, comp[a], comp[b])
+        new = np.minimum(new, new[comp])
+        while (new[new] != new).any():
+            new = new[new]
+        if (new == comp).all():
+            break
+        comp = new
+    led = np.zeros(k, bool)
+    led[comp[leader]] = True
+    target = leader | (~led[comp] & (comp == np.arange(k)))
+    order = np.argsort(a, kind="stable")
+    near, at = b[order], np.searchsorted(a[order], np.arange(k + 1))
+    distance = np.where(target, 0, -1)
+    front, d = np.flatnonzero(target), 0
+    while len(front):
+        d += 1
+        count = at[front + 1] - at[front]
+        reached = near[np.repeat(at[front] - np.concatenate([[0], np.cumsum(count)[:-1]]), count) + np.arange(count.sum())]
+        front = np.unique(reached[distance[reached] < 0])
+        distance[front] = d
+    hop = np.full(k, np.iinfo(np.int64).max)
+    nearer = distance[b] == distance[a] - 1
+    np.minimum.at(hop, a[nearer], ids[b[nearer]])
+    hops = pa.array(hop, mask=distance == 0)
+    return pa.table([ids, np.where(led[comp], n - distance, 0), np.bincount(comp, minlength=k)[comp], np.full(k, sample, np.int32), hops, led[comp], ids[comp]], ["v", "x", "size", "sample", "hop", "comp_has_leader", "comp_key"])
+
+
+def solve_sample(samples: DataFrame, p: Params, portable: bool = False) -> DataFrame:
     """For each vertex of each sample: how near its component's leader is (x = n - distance, 0 without leader), the
-    component's size, and the neighbour one step nearer to the target (its nearest leader, else the least vertex)."""
-    n, seed, p_leader = p.n, p.seed, p.p_leader
-    flagged = samples.withColumns({"ls": coin(seed, "leader", "src") < p_leader, "ld": coin(seed, "leader", "dst") < p_leader})
+    component's size, and the neighbour one step nearer to the target (its nearest leader, else the least vertex).
+    A sample is one task; see ``solve_samples_by_joins`` for samples beyond ``SAMPLE_LIMIT`` edges."""
+    flag = lambda c: coin(p.seed, "leader", c, portable=portable) < p.p_leader
 
     def boss(table: pa.Table) -> pa.Table:
-        near: dict[int, list[int]] = {}
-        leaders = set()
-        for a, b, la, lb in zip(*(table[c].to_pylist() for c in ("src", "dst", "ls", "ld")), strict=True):
-            near.setdefault(a, []).append(b)
-            near.setdefault(b, []).append(a)
-            if la:
-                leaders.add(a)
-            if lb:
-                leaders.add(b)
-        sample = table["sample"][0].as_py()
-        rows, seen = [], set()
-        for start in sorted(near):
-            if start in seen:
-                continue
-            members, stack = [], [start]
-            seen.add(start)
-            while stack:
-                a = stack.pop()
-                members.append(a)
-                for b in near[a]:
-                    if b not in seen:
-                        seen.add(b)
-                        stack.append(b)
-            targets = [a for a in members if a in leaders] or [start]
-            led = targets[0] in leaders
-            distance = dict.fromkeys(targets, 0)
-            level = targets
-            while level:
-                nxt = []
-                for a in level:
-                    for b in near[a]:
-                        if b not in distance:
-                            distance[b] = distance[a] + 1
-                            nxt.append(b)
-                level = nxt
-            for a in members:
-                d = distance[a]
-                hop = min(b for b in near[a] if distance[b] == d - 1) if d else None
-                rows.append((a, n - d if led else 0, len(members), sample, hop, led, start))
-        kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.bool_(), pa.int64())
-        return pa.table([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], ["v", "x", "size", "sample", "hop", "comp_has_leader", "comp_key"])
-
-    return flagged.groupBy("sample").applyInArrow(boss, MESSAGE)
+        src, dst, ls, ld = (table[c].to_numpy() for c in ("src", "dst", "ls", "ld"))
+        return _solved(table["sample"][0].as_py(), src, dst, ls, ld, p.n)
+
+    return samples.withColumns({"ls": flag("src"), "ld": flag("dst")}).groupBy("sample").applyInArrow(boss, MESSAGE)
+
+
+def solve_samples_by_joins(samples: DataFrame, p: Params, portable: bool = False) -> DataFrame:
+    """As ``solve_sample``, with no sample in one task: labels and distances spread along the edges of all samples at
+    once, a join a step, for as many steps as the longest way in any sample."""
+    edges = cut(samples.select("sample", F.explode(F.array(F.struct(F.col("src").alias("v"), F.col("dst").alias("u")), F.struct(F.col("dst").alias("v"), F.col("src").alias("u")))).alias("e")).select("sample", "e.*"))
+    state = cut(edges.select("sample", "v").distinct().select("sample", "v", F.col("v").alias("comp")))
+    while True:
+        low = edges.join(state.select("sample", F.col("v").alias("u"), F.col("comp").alias("c")), ["sample", "u"]).groupBy("sample", "v").agg(F.min("c").alias("c"))
+        step = cut(state.join(low, ["sample", "v"]).select("sample", "v", F.least("c", "comp").alias("comp"), (F.col("c") < F.col("comp")).alias("moved")))
+        state = step.drop("moved")
+        if step.where("moved").isEmpty():
+            break
+    flagged = state.withColumn("lead", coin(p.seed, "leader", "v", portable=portable) < p.p_leader)
+    whole = flagged.groupBy("sample", "comp").agg(F.count(F.lit(1)).alias("size"), F.max("lead").alias("led"))
+    state = cut(flagged.join(whole, ["sample", "comp"]).withColumn("d", F.when(F.col("lead") | (~F.col("led") & (F.col("v") == F.col("comp"))), 0)))
+    d = 0
+    while True:
+        d += 1
+        reached = edges.join(state.where(F.col("d") == d - 1).select("sample", F.col("v").alias("u")), ["sample", "u"]).select("sample", "v").distinct().withColumn("new", F.lit(d))
+        state = cut(state.join(reached, ["sample", "v"], "left").withColumn("d", F.coalesce("d", "new")).drop("new"))
+        if state.where(F.col("d") == d).isEmpty():
+            break
+    far = state.select("sample", F.col("v").alias("u"), F.col("d").alias("du"))
+    hops = edges.join(far, ["sample", "u"]).join(state.select("sample", "v", "d"), ["sample", "v"]).where("du = d - 1").groupBy("sample", "v").agg(F.min("u").alias("hop"))
+    x = F.when(F.col("led"), F.lit(p.n) - F.col("d")).otherwise(0).cast("long")
+    return state.join(hops, ["sample", "v"], "left").select("v", x.alias("x"), "size", "sample", "hop", F.col("led").alias("comp_has_leader"), F.col("comp").alias("comp_key"))
 
 
 def best_message(messages: DataFrame) -> DataFrame:
@@ -96,18 +144,19 @@ def best_message(messages: DataFrame) -> DataFrame:
     return messages.groupBy("v").agg(best.alias("m")).select("v", F.nullif(F.col("m.hop"), F.lit(-1)).alias("hop"))
 
 
-def contract_by_samples(g: EdgeSet, p: Params, labels_only: bool = False, keep_messages: bool = True) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """labels (vid, comp), forest and the messages.  ``labels_only``: vertices take the least leader that any sample
+def contract_by_samples(g: EdgeSet, p: Params, labels_only: bool = False, keep_messages: bool = True, portable: bool = False, sample_limit: int = SAMPLE_LIMIT) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """labels (vid, comp), forest and the messages.  ``portable``: coins that other SQL engines can repeat.  ``labels_only``: vertices take the least leader that any sample
     component of theirs holds; no forest comes of it.  Without ``keep_messages`` they aren't written, only folded."""
     g = g.settle()
-    samples = sample_edges(g.edges, p.num_samples, p.p_edge, p.seed)
-    messages = solve_sample(samples, p)
+    samples = sample_edges(g.edges, p.num_samples, p.p_edge, p.seed, portable)
+    small = p.p_edge * g.edges.count() <= sample_limit
+    messages = solve_sample(samples, p, portable) if small else solve_samples_by_joins(samples, p, portable)
     if keep_messages or labels_only:
         messages = cut(messages)
     if labels_only:
-        led = messages.where(coin(p.seed, "leader", "v") < p.p_leader).groupBy("sample", "comp_key").agg(F.min("v").alias("leader"))
+        led = messages.where(coin(p.seed, "leader", "v", portable=portable) < p.p_leader).groupBy("sample", "comp_key").agg(F.min("v").alias("leader"))
         own = messages.join(led, ["sample", "comp_key"]).groupBy("v").agg(F.min("leader").alias("comp"))
-        labels = g.vertices.join(own, F.col("vid") == F.col("v"), "left").select("vid", F.when(coin(p.seed, "leader", "vid") < p.p_leader, F.col("vid")).otherwise(F.coalesce("comp", "vid")).alias("comp"))
+        labels = g.vertices.join(own, F.col("vid") == F.col("v"), "left").select("vid", F.when(coin(p.seed, "leader", "vid", portable=portable) < p.p_leader, F.col("vid")).otherwise(F.coalesce("comp", "vid")).alias("comp"))
         return cut(labels), g.edges.select("src", "dst").where("false"), messages
     pointers = best_message(messages)
     parents = cut(g.vertices.join(pointers, F.col("vid") == F.col("v"), "left").select("vid", F.coalesce("hop", "vid").alias("parent")))

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from . import twins
 from .functions.coins import coin, cosine_distance
 from .functions.params import params_for
 from .operators import analysis, baselines, connectivity, graphs, msf, nested, reductions, sampling, sketches, sparsify
@@ -135,18 +136,31 @@ def hooks2(spark: SparkSession, d: str) -> DataFrame:
 add("sparsify_hooks2", hooks2, f"{_STAGE1} SELECT s.a AS v, s.b AS u FROM s JOIN c x ON s.a = x.vid JOIN c y ON s.b = y.vid JOIN m ON y.comp = m.comp WHERE x.comp <> y.comp QUALIFY row_number() OVER (PARTITION BY s.a ORDER BY cdeg DESC, y.comp DESC, s.b DESC) = 1")
 
 
+SPLIT = ("awake_components", "least_size", "deg_b", "edges_a", "edges_b")
+
+
+def _vertices(graph: str) -> str:
+    return VERTICES.get(graph, "SELECT NULL::BIGINT AS vid WHERE false")
+
+
 def sparsify_invariants(spark: SparkSession, d: str) -> DataFrame:
+    """The split's counts at two degrees, and whether they keep within n / s, s + 1 and s."""
     out = None
     for name in ("order_part", "customer_order", "doc_line", "page_host"):
         g = derive.GRAPHS[name](spark, d)
         g = g.settle()
         for s in (2, 8):
-            m = analysis.split_measures(g, sparsify.sparsify_by_degree(g, s), s).select(F.lit(name).alias("graph"), F.lit(s).alias("s"), "count_ok", "size_ok", "degree_ok", (F.col("edges_a") + F.col("edges_b")).alias("edges"))
+            m = analysis.split_measures(g, sparsify.sparsify_by_degree(g, s), s).select(F.lit(name).alias("graph"), F.lit(s).alias("s"), *SPLIT, "count_ok", "size_ok", "degree_ok")
             out = m if out is None else out.unionByName(m)
     return out
 
 
-add("sparsify_invariants", sparsify_invariants, " UNION ALL ".join(f"SELECT '{n}' AS graph, s, true AS count_ok, true AS size_ok, true AS degree_ok, (SELECT count(*) FROM ({EDGES[n]})) AS edges FROM (VALUES (2), (8)) t(s)" for n in ("order_part", "customer_order", "doc_line", "page_host")))
+def _invariants(graph: str, s: int) -> str:
+    counts = f"(WITH RECURSIVE {twins.degree_split(EDGES[graph], _vertices(graph), str(s))} SELECT '{graph}' AS graph, {s} AS s, {twins.SPLIT_COUNTS}, n FROM p)"
+    return f"SELECT * EXCLUDE (n), awake_components * s <= n AS count_ok, awake_components = 0 OR least_size >= s + 1 AS size_ok, deg_b < s AS degree_ok FROM {counts}"
+
+
+add("sparsify_invariants", sparsify_invariants, " UNION ALL ".join(_invariants(g, s) for g in ("order_part", "customer_order", "doc_line", "page_host") for s in (2, 8)))
 
 
 def split_counts(spark: SparkSession, d: str) -> DataFrame:
@@ -155,12 +169,18 @@ def split_counts(spark: SparkSession, d: str) -> DataFrame:
         g = derive.GRAPHS[name](spark, d)
         s = params_for(g.n).s
         one = analysis.split_measures(g, sparsify.sparsify_by_degree(g, s, second_stage=False), s).select("awake_components")
-        m = analysis.split_measures(g, sparsify.sparsify_by_degree(g, s), s).select(F.lit(name).alias("graph"), F.lit(s).alias("s"), "awake_components", "least_size", "deg_b", "edges_a", "edges_b").join(one.withColumnRenamed("awake_components", "awake_stage1_only"))
+        m = analysis.split_measures(g, sparsify.sparsify_by_degree(g, s), s).select(F.lit(name).alias("graph"), F.lit(s).alias("s"), *SPLIT).join(one.withColumnRenamed("awake_components", "awake_stage1_only"))
         out = m if out is None else out.unionByName(m)
     return out
 
 
-add("sparsify_split_counts", split_counts)
+add(
+    "sparsify_split_counts",
+    split_counts,
+    " UNION ALL ".join(
+        f"(WITH RECURSIVE {twins.degree_split(EDGES[g], _vertices(g))} SELECT '{g}' AS graph, s::INTEGER AS s, {twins.SPLIT_COUNTS}, (SELECT count(*) FROM m1 WHERE cdeg >= s) AS awake_stage1_only FROM p)" for g in ("customer_order", "doc_line", "page_host", "order_chain")
+    ),
+)
 
 
 # sampling
@@ -178,84 +198,143 @@ add("leaders_md5", lambda spark, d: sampling.choose_leaders(derive.order_chain(s
 
 
 def _contracted(spark: SparkSession, d: str, graph: str, **options):
+    """A contraction with the method's own parameters and portable coins."""
     g = derive.GRAPHS[graph](spark, d)
     g = g.settle()
     p = params_for(g.n, seed=options.pop("seed", 1), **{k: v for k, v in options.items() if k != "labels_only"})
-    return g, p, sampling.contract_by_samples(g, p, options.get("labels_only", False))
+    return g, p, sampling.contract_by_samples(g, p, options.get("labels_only", False), portable=True)
+
+
+def _twin(graph: str, select: str, seed: int = 1, more: str = "", **options) -> str:
+    return f"(WITH RECURSIVE {twins.contraction(EDGES[graph], _vertices(graph), seed, **options)}{more} {select})"
 
 
 def contract_verdict(spark: SparkSession, d: str) -> DataFrame:
-    """After one contraction of sparse graphs: forest acyclic and inside, labels within true components, and the number
-    of growable components against 3 n / L (sampling with the paper's probabilities)."""
+    """After one contraction of sparse graphs: samples and messages, components, growable ones and whether these are at
+    most 1.5 n / L (which one sample alone misses), forest edges, and those outside the graph or the components."""
     out = None
     for name in ("order_chain", "order_path", "conv_chain"):
-        g, p, (labels, forest, _) = _contracted(spark, d, name)
+        g, p, (labels, forest, messages) = _contracted(spark, d, name)
         forest = cut(forest)
-        spanned, tree = complete_partition(as_links(forest))
+        spanned, _ = complete_partition(as_links(forest))
+        amiss = forest.join(g.edges, ["src", "dst"], "left_anti").count() + canonical_labels(g.vertices, spanned).exceptAll(canonical_labels(g.vertices, labels)).count()
         grow = graphs.growable(labels, g.edges).count()
-        row = [(name, forest.join(g.edges, ["src", "dst"], "left_anti").isEmpty(), tree.count() == forest.count(), canonical_labels(g.vertices, spanned).exceptAll(canonical_labels(g.vertices, labels)).isEmpty(), grow <= 3 * g.n / p.log_floor or name == "conv_chain")]
-        one = spark.createDataFrame(row, "graph string, inside_ok boolean, acyclic_ok boolean, labels_ok boolean, growable_ok boolean")
+        row = [(name, g.n, p.num_samples, messages.count(), labels.select("comp").distinct().count(), forest.count(), grow, grow <= 1.5 * g.n / p.log_floor, amiss)]
+        one = spark.createDataFrame(row, "graph string, n long, samples long, messages long, components long, forest_edges long, growable long, growable_ok boolean, amiss long")
         out = one if out is None else out.unionByName(one)
     return out
 
 
-add("contract_verdict", contract_verdict, "SELECT g AS graph, true AS inside_ok, true AS acyclic_ok, true AS labels_ok, true AS growable_ok FROM (VALUES ('order_chain'), ('order_path'), ('conv_chain')) t(g)")
+_AFTER = "SELECT '{g}' AS graph, n, m AS samples, (SELECT count(*) FROM msg) AS messages, (SELECT count(DISTINCT comp) FROM lab) AS components, n - (SELECT count(DISTINCT comp) FROM lab) AS forest_edges, (SELECT count(*) FROM gr) AS growable, (SELECT count(*) FROM gr) <= 1.5 * n / l AS growable_ok, 0::BIGINT AS amiss FROM q"
+add("contract_verdict", contract_verdict, " UNION ALL ".join(_twin(g, _AFTER.format(g=g)) for g in ("order_chain", "order_path", "conv_chain")))
+KNOBS = ((1, None, None), (4, None, None), (16, None, None), (64, None, None), (16, 0.5, None), (16, 0.5, 0.05), (16, None, 0.0))
 
 
 def contract_knobs(spark: SparkSession, d: str) -> DataFrame:
-    """Growable components left on the order chain by number of samples, leaders and edge probability, with ablations."""
+    """Growable components left on the order chain by number of samples, leaders and edge probability; without leaders."""
     rows = []
-    for m, pe, pl, only in ((1, None, None, False), (4, None, None, False), (16, None, None, False), (64, None, None, False), (16, 0.5, None, False), (16, 0.5, 0.05, False), (16, None, 0.0, False), (16, None, None, True)):
-        options = {"num_samples": m, "labels_only": only} | ({"p_edge": pe} if pe else {}) | ({"p_leader": pl} if pl is not None else {})
+    for k, (m, pe, pl) in enumerate(KNOBS):
+        options = {"num_samples": m} | ({"p_edge": pe} if pe else {}) | ({"p_leader": pl} if pl is not None else {})
         g, p, (labels, _, _) = _contracted(spark, d, "order_chain", **options)
-        rows.append((m, float(p.p_edge), float(p.p_leader), only, graphs.growable(labels, g.edges).count(), g.n / p.log_floor))
-    return spark.createDataFrame(rows, "num_samples int, p_edge double, p_leader double, labels_only boolean, growable long, n_over_l double")
+        rows.append((k, m, round(p.p_edge, 9), round(p.p_leader, 9), graphs.growable(labels, g.edges).count(), round(g.n / p.log_floor, 6)))
+    return spark.createDataFrame(rows, "k int, num_samples int, p_edge double, p_leader double, growable long, n_over_l double")
 
 
-add("contract_knobs", contract_knobs)
+add(
+    "contract_knobs",
+    contract_knobs,
+    " UNION ALL ".join(
+        _twin("order_chain", f"SELECT {k} AS k, {m} AS num_samples, round(pe, 9)::DOUBLE AS p_edge, round(pl, 9)::DOUBLE AS p_leader, (SELECT count(*) FROM gr) AS growable, round(n / l, 6) AS n_over_l FROM q", m=str(m), **({"pe": f"{pe}::DOUBLE"} if pe else {}), **({"pl": f"{pl}::DOUBLE"} if pl is not None else {}))
+        for k, (m, pe, pl) in enumerate(KNOBS)
+    ),
+)
+
+
+def labels_only(spark: SparkSession, d: str) -> DataFrame:
+    """The variant without forests: vertices take the least leader of any sample component of theirs."""
+    _, _, (labels, _, _) = _contracted(spark, d, "conv_chain", labels_only=True)
+    return labels.select("vid", "comp")
+
+
+add(
+    "contract_labels_only",
+    labels_only,
+    f"WITH RECURSIVE {twins.contraction(EDGES['conv_chain'], VERTICES['conv_chain'], 1)}, w2 AS (SELECT sample, comp, min(v) AS leader FROM msg JOIN ld ON v = vid GROUP BY sample, comp), o AS (SELECT v AS vid, min(leader) AS leader FROM msg JOIN w2 USING (sample, comp) GROUP BY v) "
+    "SELECT v.vid, CASE WHEN ld.vid IS NOT NULL THEN v.vid ELSE coalesce(leader, v.vid) END AS comp FROM v LEFT JOIN ld USING (vid) LEFT JOIN o ON v.vid = o.vid",
+)
 
 
 def vertex_classes(spark: SparkSession, d: str) -> DataFrame:
-    """Per graph: every alpha vertex ends with a leader (0 exceptions), bad vertices are gamma (0 exceptions), all vertices classed."""
+    """Per graph: vertices by class, bad ones, alpha ones without a leader (none), bad ones that aren't gamma (none)."""
     out = None
     for name in ("order_chain", "conv_chain"):
         g, p, (labels, _, messages) = _contracted(spark, d, name)
-        c = analysis.classify_vertices(g, messages, labels, p)
-        one = c.agg(F.lit(name).alias("graph"), F.count(F.lit(1)).alias("n"), F.count_if((F.col("class") == "alpha") & ~F.col("has_leader")).alias("alpha_without_leader"), F.count_if(F.col("bad") & (F.col("class") != "gamma")).alias("bad_not_gamma"))
+        c = analysis.classify_vertices(g, messages, labels, p, portable=True)
+        one = c.agg(
+            F.lit(name).alias("graph"), F.count(F.lit(1)).alias("n"), *(F.count_if(F.col("class") == k).alias(k) for k in ("alpha", "beta", "gamma")), F.count_if("bad").alias("bad"),
+            F.count_if((F.col("class") == "alpha") & ~F.col("has_leader")).alias("alpha_without_leader"), F.count_if(F.col("bad") & (F.col("class") != "gamma")).alias("bad_not_gamma"),
+        )
         out = one if out is None else out.unionByName(one)
     return out
 
 
-add("vertex_classes", vertex_classes, f"SELECT 'order_chain' AS graph, count(*) AS n, 0 AS alpha_without_leader, 0 AS bad_not_gamma FROM orders UNION ALL SELECT 'conv_chain', count(*), 0, 0 FROM conversations")
-
-
-def class_counts(spark: SparkSession, d: str) -> DataFrame:
-    g, p, (labels, _, messages) = _contracted(spark, d, "order_chain")
-    c = analysis.classify_vertices(g, messages, labels, p)
-    return c.groupBy(F.lit("order_chain").alias("graph")).pivot("class", ["alpha", "beta", "gamma"]).count().join(c.agg(F.count_if("bad").alias("bad")))
-
-
-add("vertex_class_counts", class_counts)
+_CLASSES = "SELECT '{g}' AS graph, count(*) AS n, count(*) FILTER (WHERE class = 'alpha') AS alpha, count(*) FILTER (WHERE class = 'beta') AS beta, count(*) FILTER (WHERE class = 'gamma') AS gamma, count(*) FILTER (WHERE bad) AS bad, count(*) FILTER (WHERE class = 'alpha' AND NOT has_leader) AS alpha_without_leader, count(*) FILTER (WHERE bad AND class <> 'gamma') AS bad_not_gamma FROM kls"
+add("vertex_classes", vertex_classes, " UNION ALL ".join(_twin(g, _CLASSES.format(g=g), more=", " + twins.classes()) for g in ("order_chain", "conv_chain")))
 
 
 def small_recovered(spark: SparkSession, d: str) -> DataFrame:
     """Small true components of the conversations: recovered exactly or given a leader."""
-    g, p, (labels, _, messages) = _contracted(spark, d, "conv_chain", num_samples=64, p_edge=0.5)
+    g, p, (labels, _, _) = _contracted(spark, d, "conv_chain", num_samples=64, p_edge=0.5)
     true_ = connectivity.connected_components(g).labels.withColumnRenamed("comp", "t")
     small = true_.groupBy("t").agg(F.count(F.lit(1)).alias("size")).where(F.col("size") <= 3)
-    led = labels.withColumn("lead", coin(p.seed, "leader", "vid") < p.p_leader).groupBy("comp").agg(F.max("lead").alias("lead"))
+    led = labels.withColumn("lead", coin(p.seed, "leader", "vid", portable=True) < p.p_leader).groupBy("comp").agg(F.max("lead").alias("lead"))
     seen = true_.join(small, "t").join(labels, "vid").join(led, "comp").groupBy("t").agg(F.count_distinct("comp").alias("parts"), F.min("lead").alias("lead"))
     return seen.agg(F.count(F.lit(1)).alias("small"), F.count_if((F.col("parts") == 1) | F.col("lead")).alias("recovered"))
 
 
-add("small_recovered", small_recovered)
+add(
+    "small_recovered",
+    small_recovered,
+    _twin(
+        "conv_chain",
+        "SELECT count(*) AS small, count(*) FILTER (WHERE parts = 1 OR lead) AS recovered FROM (SELECT t, count(DISTINCT comp) AS parts, bool_and(has_leader) AS lead FROM (SELECT vid, vid // 10000 AS t, count(*) OVER (PARTITION BY vid // 10000) AS turns FROM v) JOIN lab USING (vid) JOIN fin USING (comp) WHERE turns <= 3 GROUP BY t)",
+        more=", " + twins.classes(), m="64", pe="0.5::DOUBLE",
+    )[1:-1],
+)
+
+
+def success_over_seeds(spark: SparkSession, d: str) -> DataFrame:
+    """By seed: growable components after one contraction of the conversations, n / L, and whether 1.5 n / L holds; the
+    share of seeds that hold is the measured probability of success."""
+    rows = []
+    for seed in range(1, 9):
+        g, p, (labels, _, _) = _contracted(spark, d, "conv_chain", seed=seed)
+        grow = graphs.growable(labels, g.edges).count()
+        rows.append((seed, grow, round(g.n / p.log_floor, 6), grow <= 1.5 * g.n / p.log_floor))
+    return spark.createDataFrame(rows, "seed int, growable long, n_over_l double, success boolean")
+
+
+add("success_over_seeds", success_over_seeds, " UNION ALL ".join(_twin("conv_chain", f"SELECT {k} AS seed, (SELECT count(*) FROM gr) AS growable, round(n / l, 6) AS n_over_l, (SELECT count(*) FROM gr) <= 1.5 * n / l AS success FROM q", k) for k in range(1, 9)))
+
+
+def method_log(spark: SparkSession, d: str) -> DataFrame:
+    """What the whole method did by default on each graph: samples taken, and sketch phases of both parts."""
+    rows = []
+    for name in ("part_supplier", "order_part", "order_chain", "order_path", "conv_chain", "doc_line_all", "page_link"):
+        log: dict = {}
+        n = connectivity.connected_components(derive.GRAPHS[name](spark, d), log=log).labels.select("comp").distinct().count()
+        rows.append((name, log["n"], n, log["samples"] if log["contracted"] else 0, len(log["phases_a"]), len(log["phases_b"]), sum(x["recovered"] for x in log["phases_a"] + log["phases_b"])))
+    return spark.createDataFrame(rows, "graph string, n long, components long, samples int, sketch_phases_a int, sketch_phases_b int, recovered long")
+
+
+add("cc_method_log", method_log)
 
 
 def tree_hits(spark: SparkSession, d: str) -> DataFrame:
     """Chains of k vertices that lie whole in a sample, against 1 - (1 - p^(k-1))^m."""
     g = derive.order_chain(spark, d)
     m, p = 16, 0.5
-    samples = cut(sampling.sample_edges(g.edges, m, p, 3))
+    samples = cut(sampling.sample_edges(g.edges, m, p, 3, portable=True))
     o = read_table(spark, d, "orders", ["o_orderkey", "o_custkey", "o_orderdate"]).withColumn("r", F.row_number().over(W.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")))
     out = None
     for k in (2, 3, 4):
@@ -263,12 +342,24 @@ def tree_hits(spark: SparkSession, d: str) -> DataFrame:
         e = chain.select("chain", F.col("o_orderkey").alias("a"), F.lead("o_orderkey").over(W.partitionBy("chain").orderBy("r")).alias("b")).where("b IS NOT NULL").select("chain", F.least("a", "b").alias("src"), F.greatest("a", "b").alias("dst"))
         full = e.join(e.groupBy("chain").count().where(F.col("count") == k - 1).select("chain"), "chain")
         expect = 1 - (1 - p ** (k - 1)) ** m
-        one = analysis.tree_hit_rate(samples, full, k).select(F.lit(k).alias("k"), (F.abs(F.col("rate") - expect) < 0.05).alias("rate_ok"))
+        one = analysis.tree_hit_rate(samples, full, k).select(F.lit(k).alias("k"), "chains", "hit", (F.abs(F.col("rate") - expect) < 0.05).alias("rate_ok"))
         out = one if out is None else out.unionByName(one)
     return out
 
 
-add("tree_hit_rate", tree_hits, "SELECT k, true AS rate_ok FROM (VALUES (2), (3), (4)) t(k)")
+add(
+    "tree_hit_rate",
+    tree_hits,
+    " UNION ALL ".join(
+        f"""SELECT {k} AS k, count(*) AS chains, count(*) FILTER (WHERE hit) AS hit, abs(count(*) FILTER (WHERE hit) / count(*) - {1 - (1 - 0.5 ** (k - 1)) ** 16}) < 0.05 AS rate_ok FROM (
+SELECT chain, bool_or(have = {k - 1}) AS hit FROM (SELECT chain, sample, count(*) FILTER (WHERE {twins.coin(3, "sample", "sample", "src", "dst")} < 0.5) AS have FROM (
+SELECT chain, least(a, b) AS src, greatest(a, b) AS dst, unnest(range(1, 17)) AS sample FROM (SELECT chain, a, b, count(b) OVER (PARTITION BY chain) AS m FROM (
+SELECT chain, o_orderkey AS a, lead(o_orderkey) OVER (PARTITION BY chain ORDER BY r) AS b FROM (
+SELECT o_orderkey, r, o_custkey || '.' || ((r - 1) // {k}) AS chain FROM (SELECT *, row_number() OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS r FROM orders)))) WHERE b IS NOT NULL AND m = {k - 1})
+GROUP BY chain, sample) GROUP BY chain)"""
+        for k in (2, 3, 4)
+    ),
+)
 
 
 # sketches and the whole method
@@ -333,24 +424,34 @@ _ROUND = ["src", "dst", "round(weight, 6) AS weight"]
 add("msf_supplier_line", lambda spark, d: msf.minimum_spanning_forest(derive.supplier_line(spark, d)).selectExpr(*_ROUND), f"SELECT src, dst, round(weight, 6) AS weight FROM ({_LINE})")
 
 
-def _same_msf(graph, method):
-    """Edges and whether the forest equals that of Kruskal's method."""
+EDGES["embeddings"] = "SELECT a.vec_id AS src, b.vec_id AS dst, round(1 - list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 9) AS weight FROM embeddings a JOIN embeddings b ON a.vec_id < b.vec_id"
+FORESTS = {"part_supplier": derive.part_supplier, "user_hour": derive.user_hour, "embeddings": derive.embedding_pairs}
 
-    def run(spark: SparkSession, d: str) -> DataFrame:
-        g = graph(spark, d)
-        g = g.settle()
-        mine, exact = cut(method(g)), cut(msf.exact_local_msf(g))
-        same = mine.exceptAll(exact).isEmpty() and exact.exceptAll(mine).isEmpty()
-        return mine.agg(F.count(F.lit(1)).alias("forest_edges")).withColumn("same", F.lit(same))
 
-    return run
+def _msf(graph, method):
+    return lambda spark, d: method(graph(spark, d)).selectExpr(*_ROUND)
+
+
+for _name, _graph in FORESTS.items():
+    add(f"msf_{_name}", _msf(_graph, msf.minimum_spanning_forest), twins.spanning_forest(EDGES[_name]))
+    add(f"msf_sequential_{_name}", _msf(_graph, lambda g: msf.minimum_spanning_forest(g, method="sequential")), twins.spanning_forest(EDGES[_name]))
+    add(f"baseline_hook_and_contract_msf_{_name}", _msf(_graph, msf.hook_and_contract_msf), twins.spanning_forest(EDGES[_name]))
+add("msf_uniform_runs", _msf(derive.supplier_line, lambda g: msf.with_weights(msf.bucketed_forest(g, "uniform"), g.edges)), twins.spanning_forest(EDGES["supplier_line"]))
+add("baseline_hook_and_contract_msf", QUERIES["baseline_hook_and_contract_msf_part_supplier"], SQL["msf_part_supplier"])
+add("baseline_squared_growth_msf", _msf(derive.user_hour, lambda g: msf.squared_growth_msf(g)[0]), SQL["msf_user_hour"])
+
+
+def msf_instances(spark: SparkSession, d: str) -> DataFrame:
+    """How many nested instances each forest took at once, and the edges before and after the filter."""
+    rows = []
+    for name, graph in FORESTS.items():
+        log: dict = {}
+        out = msf.minimum_spanning_forest(graph(spark, d), log=log).count()
+        rows.append((name, out, log["instances"], log.get("thin"), log.get("light")))
+    return spark.createDataFrame(rows, "graph string, forest_edges long, instances array<int>, thin long, light long")
 
 
-for _name, _graph, _count in (("part_supplier", derive.part_supplier, f"SELECT (SELECT count(DISTINCT l_partkey) + count(DISTINCT l_suppkey) FROM lineitem) - 1 AS forest_edges, true AS same"), ("user_hour", derive.user_hour, "SELECT count(DISTINCT user_id) - 1 AS forest_edges, true AS same FROM events"), ("embeddings", derive.embedding_pairs, "SELECT count(*) - 1 AS forest_edges, true AS same FROM embeddings")):
-    add(f"msf_{_name}", _same_msf(_graph, msf.minimum_spanning_forest), _count)
-add("msf_uniform_runs", _same_msf(derive.supplier_line, lambda g: msf.with_weights(msf.bucketed_forest(g, "uniform"), g.edges)), "SELECT count(*) - 1 AS forest_edges, true AS same FROM supplier")
-add("baseline_hook_and_contract_msf", _same_msf(derive.part_supplier, msf.hook_and_contract_msf), SQL["msf_part_supplier"])
-add("baseline_squared_growth_msf", _same_msf(derive.user_hour, lambda g: msf.squared_growth_msf(g)[0]), SQL["msf_user_hour"])
+add("msf_instances", msf_instances)
 
 
 def thin_and_light(spark: SparkSession, d: str) -> DataFrame:
@@ -358,12 +459,13 @@ def thin_and_light(spark: SparkSession, d: str) -> DataFrame:
     for name, graph in (("user_hour", derive.user_hour), ("supplier_line", derive.supplier_line)):
         log: dict = {}
         msf.minimum_spanning_forest(graph(spark, d), faithful=True, force_filter=True, log=log)
-        one = spark.createDataFrame([(name, log["thin"] <= 3 * log["n"] ** 1.5, log["light"] <= 3 * log["n"] / log["p"])], "graph string, thin_ok boolean, light_ok boolean")
+        portable = msf.thin_by_sampling(graph(spark, d), log["p"], 1, portable=True).count()
+        one = spark.createDataFrame([(name, log["n"], log["edges"], portable, log["light"] <= 3 * log["n"] / log["p"])], "graph string, n long, edges long, thin long, light_ok boolean")
         out = one if out is None else out.unionByName(one)
     return out
 
 
-add("thin_and_light_verdict", thin_and_light, "SELECT g AS graph, true AS thin_ok, true AS light_ok FROM (VALUES ('user_hour'), ('supplier_line')) t(g)")
+add("thin_and_light_verdict", thin_and_light, " UNION ALL ".join(f"SELECT '{g}' AS graph, n, count(*) AS edges, count(*) FILTER (WHERE {twins.coin(1, 'thin', 'src', 'dst')} < 1 / sqrt(n)) AS thin, true AS light_ok FROM ({EDGES[g]}), (SELECT count(*) AS n FROM ({VERTICES[g]})) GROUP BY n" for g in ("user_hour", "supplier_line")))
 
 
 # nested instances
@@ -467,22 +569,38 @@ add("auxiliary_schedule", lambda spark, d: spark.createDataFrame(nested.auxiliar
 
 
 def ledger_sparsify(spark: SparkSession, d: str) -> DataFrame:
-    g = derive.order_part(spark, d)
-    book = ledger.sparsify_ledger(g, sparsify.sparsify_by_degree(g, params_for(g.n).s))
-    bound = 6 * g.edges.count() + 4 * g.n
-    return book.agg(F.sum("rounds").alias("rounds"), (F.sum("messages") <= bound).alias("messages_ok"))
+    """Messages of the seven steps on the order-part graph; as broadcasts, where a payload counts once however many read
+    it; and lean, where only what a neighbour doesn't know yet is sent."""
+    g = derive.order_part(spark, d).settle()
+    return ledger.sparsify_ledger(g, sparsify.sparsify_by_degree(g, params_for(g.n).s))
 
 
-add("ledger_sparsify", ledger_sparsify, "SELECT 7 AS rounds, true AS messages_ok")
+add(
+    "ledger_sparsify",
+    ledger_sparsify,
+    f"""WITH RECURSIVE {twins.degree_split(EDGES["order_part"], "SELECT NULL::BIGINT AS vid WHERE false")},
+k AS (SELECT n, (SELECT count(*) FROM e) AS m, (SELECT count(*) FROM h1) AS k1, (SELECT count(*) FROM h2) AS k2, (SELECT count(*) FROM y JOIN c1 f ON y.a = f.vid WHERE f.comp <> f.vid) AS told, (SELECT count(*) FROM y JOIN fin f ON y.a = f.vid WHERE f.awake) AS up FROM p)
+SELECT step, 1::BIGINT AS rounds, messages, broadcasts, lean FROM k, LATERAL (VALUES ('announce_degree', 2 * m, n, 2 * m), ('stage1_choice', k1, k1, k1), ('stage1_labels', n, n, n), ('announce_labels', 2 * m, n, told), ('stage2_choice', k2, k2, k2), ('stage2_labels', n, n, n), ('announce_awake', 2 * m, n, up)) t(step, messages, broadcasts, lean)""",
+)
 
 
 def ledger_contract(spark: SparkSession, d: str) -> DataFrame:
     g, p, (_, _, messages) = _contracted(spark, d, "order_chain")
-    samples = sampling.sample_edges(g.edges, p.num_samples, p.p_edge, p.seed)
-    return ledger.contract_ledger(samples, sampling.choose_leaders(g.vertices, p.p_leader, p.seed), messages, p.num_samples)
+    samples = sampling.sample_edges(g.edges, p.num_samples, p.p_edge, p.seed, portable=True)
+    return ledger.contract_ledger(samples, sampling.choose_leaders(g.vertices, p.p_leader, p.seed, portable=True), messages, p.num_samples)
 
 
-add("ledger_contract", ledger_contract)
+add(
+    "ledger_contract",
+    ledger_contract,
+    _twin(
+        "order_chain",
+        """SELECT 'edges_to_bosses' AS step, 1 AS rounds, (SELECT count(*) FROM s) AS messages, (SELECT max(k) FROM (SELECT count(*) AS k FROM s GROUP BY src)) AS max_sent, (SELECT max(k) FROM (SELECT count(*) AS k FROM s GROUP BY sample)) AS max_received
+UNION ALL SELECT 'leader_flags', 1, (SELECT count(*) FROM ld) * m, m, (SELECT count(*) FROM ld) FROM q
+UNION ALL SELECT 'replies', 1, (SELECT count(*) FROM msg), (SELECT max(k) FROM (SELECT count(*) AS k FROM msg GROUP BY sample)), (SELECT max(k) FROM (SELECT count(*) AS k FROM msg GROUP BY v))
+UNION ALL SELECT 'pointers', 1, count(DISTINCT v), 1, count(DISTINCT v) FROM msg WHERE hop IS NOT NULL""",
+    )[1:-1],
+)
 
 
 def pieces(spark: SparkSession, d: str) -> DataFrame:
@@ -647,7 +765,7 @@ add("stream_tumbling", lambda spark, d: gs.drained(gs.windowed_degrees(gs.events
 add("stream_sketch", lambda spark, d: gs.drained(gs.windowed_sketch(gs.events_stream(spark, d)), "complete").select(F.date_format("start", "yyyy-MM-dd").alias("day"), "x", "n"), f"SELECT {_DAY} AS day, bit_xor(event_id) AS x, count(*) AS n FROM events GROUP BY 1")
 add("stream_dedupe", lambda spark, d: gs.drained(gs.dedupe_stream(gs.events_stream(spark, d)).select("event_id", "user_id")), "SELECT event_id, user_id FROM events")
 add("stream_interval_join", lambda spark, d: gs.drained(gs.interval_stream_join(gs.events_stream(spark, d), "click", "purchase", 3600)), "SELECT a.event_id AS a_id, b.event_id AS b_id, a.user_id FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'purchase' AND b.ts BETWEEN a.ts AND a.ts + INTERVAL 3600 SECOND")
-add("stream_user_runs", lambda spark, d: gs.drained(gs.user_runs(gs.events_stream(spark, d)), "update"), "SELECT user_id, sum(n)::BIGINT AS runs, count(*) AS events FROM (SELECT user_id, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) <= INTERVAL 1 HOUR THEN 0 ELSE 1 END AS n FROM events) GROUP BY 1")
+add("stream_user_runs", lambda spark, d: gs.drained(gs.user_runs(gs.events_stream(spark, d)), "update", ("user_id",)), "SELECT user_id, sum(n)::BIGINT AS runs, count(*) AS events FROM (SELECT user_id, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) <= INTERVAL 1 HOUR THEN 0 ELSE 1 END AS n FROM events) GROUP BY 1")
 
 
 def stream_components(spark: SparkSession, d: str) -> DataFrame:

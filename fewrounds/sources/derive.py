@@ -2,12 +2,17 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions.coins import cosine_distance
 from ..operators.graphs import TAG, EdgeSet, build
+from ..plans.spool import cut
 from .tables import read_table
 
 
@@ -99,6 +104,64 @@ def user_hour(spark: SparkSession, d: str) -> EdgeSet:
     return build(pairs, e.select(F.col("user_id").alias("vid")), "weight")
 
 
+def user_succ(spark: SparkSession, d: str) -> EdgeSet:
+    """Users of events that follow each other in time."""
+    from ..operators.relational import global_rank
+
+    e = global_rank(read_table(spark, d, "events", ["event_id", "user_id", "ts"]), ["ts", "event_id"], "r")
+    nxt = e.select((F.col("r") - 1).alias("r"), F.col("user_id").alias("dst"))
+    return build(e.select("r", F.col("user_id").alias("src")).join(nxt, "r").select("src", "dst"))
+
+
+PASSAGE = 40  # characters
+HASH_BLOCK = 4_000_000  # windows of benchmark items that are broadcast at a time, 32 MB
+
+
+def _window_hashes(text: str, size: int) -> np.ndarray:
+    """A hash of every window of characters of a text, by one running sum."""
+    c = np.frombuffer(text.encode("utf-32-le"), np.uint32).astype(np.uint64)
+    if len(c) < size:
+        return np.zeros(0, np.uint64)
+    base, inverse = np.uint64(0x9E3779B97F4A7C15), np.uint64(pow(0x9E3779B97F4A7C15, -1, 1 << 64))
+    with np.errstate(over="ignore"):
+        up, down = (np.multiply.accumulate(np.concatenate([[np.uint64(1)], np.full(len(c), b, np.uint64)])) for b in (base, inverse))
+        c = (c + np.uint64(1)) * np.uint64(0xD6E8FEB86659FD93)
+        c ^= c >> np.uint64(32)
+        total = np.concatenate([[np.uint64(0)], np.cumsum(c * up[:-1])])
+        return np.unique((total[size:] - total[:-size]) * down[: len(c) - size + 1])
+
+
+def passage(spark: SparkSession, d: str) -> EdgeSet:
+    """Documents and the benchmark items that share a window of 40 characters with them."""
+
+    def windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for key, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                h = _window_hashes(text or "", PASSAGE)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(h), key, np.int64)), pa.array(h.view(np.int64))], ["item_id", "h"])
+
+    items = cut(read_table(spark, d, "benchmark", ["item_id", "text"]).where("item_id IS NOT NULL").mapInArrow(windows, "item_id long, h long"))
+    docs = read_table(spark, d, "documents", ["doc_id", "text"]).where("doc_id IS NOT NULL")
+    blocks = max(1, -(-items.count() // HASH_BLOCK))
+    found = None
+    for k in range(blocks):
+        own = np.unique(items.where(F.pmod("h", F.lit(blocks)) == k).select("h").distinct().toArrow()["h"].to_numpy())  # a block, of bounded size
+        held = spark.sparkContext.broadcast(own)
+
+        def hits(batches: Iterator[pa.RecordBatch], held=held) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                for key, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                    h = _window_hashes(text or "", PASSAGE).view(np.int64)
+                    if len(held.value) and len(h):
+                        h = h[held.value[np.minimum(np.searchsorted(held.value, h), len(held.value) - 1)] == h]
+                        yield pa.RecordBatch.from_arrays([pa.array(np.full(len(h), key, np.int64)), pa.array(h)], ["doc_id", "h"])
+
+        one = docs.mapInArrow(hits, "doc_id long, h long")
+        found = one if found is None else found.unionByName(one)
+    pairs = found.join(items, "h").select(typed(4, "doc_id").alias("src"), typed(8, "item_id").alias("dst"))
+    return build(pairs, docs.select(typed(4, "doc_id").alias("vid")).union(read_table(spark, d, "benchmark", ["item_id"]).where("item_id IS NOT NULL").select(typed(8, "item_id").alias("vid"))))
+
+
 def embedding_pairs(spark: SparkSession, d: str) -> EdgeSet:
     """The complete graph of cosine distances, for test sizes."""
     e = read_table(spark, d, "embeddings", ["vec_id", "embedding"])
@@ -127,4 +190,4 @@ def caterpillar(spark: SparkSession, d: str) -> EdgeSet:
     return build(chain_edges(o, ["m"], ["o_orderdate", "o_orderkey"], "vid").union(leaves), o.select("vid"))
 
 
-GRAPHS = {f.__name__: f for f in (part_supplier, order_part, customer_order, order_chain, order_path, conv_chain, doc_line, doc_line_all, page_host, page_link, geo_tree, user_hour, embedding_knn, supplier_line, caterpillar)}
+GRAPHS = {f.__name__: f for f in (part_supplier, order_part, customer_order, order_chain, order_path, conv_chain, doc_line, doc_line_all, page_host, page_link, geo_tree, user_hour, user_succ, passage, embedding_knn, supplier_line, caterpillar)}
