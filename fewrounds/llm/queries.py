@@ -67,9 +67,9 @@ def op7_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_language(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang", (F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(4)) == 2).alias("held_out"))
-    model = langid.fit(docs.where("NOT held_out").drop("held_out"))
-    return langid.predict(docs, model).withColumn("held_out", F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(4)) == 2)
+    held_out = F.coalesce(F.pmod(F.crc32(F.col("doc_id").cast("string")), F.lit(4)) == 2, F.lit(False))
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
+    return langid.predict(docs, langid.fit(docs.where(~held_out))).withColumn("held_out", held_out)
 
 
 def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
