@@ -27,9 +27,15 @@ EDGES["embedding_knn"] = (
     "WITH w AS (SELECT a.vec_id AS a, b.vec_id AS b, round(1 - list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 9) AS weight FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id) "
     "SELECT least(a, b) AS src, greatest(a, b) AS dst, min(weight) AS weight FROM (SELECT * FROM w QUALIFY row_number() OVER (PARTITION BY a ORDER BY weight, b) <= 3) GROUP BY 1, 2"
 )
-EDGES["passage"] = f"""SELECT DISTINCT {T[4]} + d.doc_id AS src, {T[8]} + b.item_id AS dst FROM
-(SELECT DISTINCT doc_id, array_to_string(c[i:i + 39], '') AS w FROM (SELECT doc_id, c, unnest(range(1, len(c) - 38)) AS i FROM (SELECT doc_id, string_split(text, '') AS c FROM documents))) d JOIN
-(SELECT DISTINCT item_id, array_to_string(c[i:i + 39], '') AS w FROM (SELECT item_id, c, unnest(range(1, len(c) - 38)) AS i FROM (SELECT item_id, string_split(text, '') AS c FROM benchmark))) b USING (w)"""
+
+
+def _windows(table: str, key: str) -> str:
+    """All windows of 40 characters, cut from parts of 500 that overlap, since places in long texts are slow to find."""
+    parts = f"SELECT {key}, array_to_string(c[i * 500 + 1:i * 500 + 539], '') AS part FROM (SELECT {key}, c, unnest(range(0, len(c) // 500 + 1)) AS i FROM (SELECT {key}, string_split(text, '') AS c FROM {table}))"
+    return f"SELECT DISTINCT {key}, substr(part, j, 40) AS w FROM (SELECT {key}, part, unnest(range(1, least(length(part) - 38, 501))) AS j FROM ({parts}))"
+
+
+EDGES["passage"] = f"SELECT DISTINCT {T[4]} + d.doc_id AS src, {T[8]} + b.item_id AS dst FROM ({_windows('documents', 'doc_id')}) d JOIN ({_windows('benchmark', 'item_id')}) b USING (w)"
 VERTICES["passage"] = f"SELECT {T[4]} + doc_id AS vid FROM documents UNION SELECT {T[8]} + item_id FROM benchmark"
 
 
@@ -82,6 +88,15 @@ _CYCLES = "SELECT a.comp, coalesce(m, 0) > size - 1 AS has_cycle FROM (SELECT co
 add("cycle_part_supplier", lambda spark, d: reductions.has_cycle(derive.part_supplier(spark, d)), with_cc("part_supplier", _CYCLES))
 
 
+# baselines on the graphs of the headline queries
+
+for _g in ("part_supplier", "order_part", "order_chain", "doc_line"):
+    for _b, _f in (("star_contraction", baselines.star_contraction_cc), ("hook_and_contract", baselines.hook_and_contract_cc), ("sketch_only", baselines.sketch_only_cc), ("label_propagation", lambda g: baselines.ComponentResult(baselines.min_label_propagation(g)[0], g.edges))):
+        if f"baseline_{_b}_cc" in SQL and _g == "doc_line":
+            continue
+        add(f"baseline_{_b}_cc_{_g}", (lambda f, name: lambda spark, d: f(derive.GRAPHS[name](spark, d)).labels)(_f, _g), SQL[f"cc_{_g}"])
+
+
 # nested instances of other graphs, and proxies that carry their rows
 
 

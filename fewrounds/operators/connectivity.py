@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.params import Params, params_for
+from ..plans.spool import mark, sweep
 from .components import ComponentResult, as_links, canonical_labels, complete_partition
 from .graphs import EdgeSet
 from .sampling import contract_by_samples
@@ -24,6 +25,13 @@ def connected_components(g: EdgeSet, params: Params | None = None, mode: str = "
 
     ``params`` default to the method's own, sqrt(n) samples among them; what sampling leaves is finished by sketches.
     ``exact_below`` is an option for small graphs: contracted graphs of so many edges are completed from their edges."""
+    since = mark()
+    done = _solved(g, params, mode, reuse_asleep_edges, exact_below, log)
+    sweep(g.vertices.sparkSession, since, done.labels, done.forest)
+    return done
+
+
+def _solved(g: EdgeSet, params: Params | None, mode: str, reuse_asleep_edges: bool, exact_below: int, log: dict | None) -> ComponentResult:
     g = EdgeSet(g.vertices, g.edges.select("src", "dst"), g.listed, g.settled).settle()
     p = params or params_for(g.n)
     phases_a, phases_b = [], []

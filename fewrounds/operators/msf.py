@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.coins import coin
-from ..plans.spool import cut
+from ..plans.spool import cut, mark, sweep
 from .components import TASK_LIMIT, UnionFind, as_links, complete_partition, star_contraction
 from .graphs import EdgeSet, relabel
 from .relational import global_rank
@@ -185,6 +185,7 @@ def minimum_spanning_forest(g: EdgeSet, seed: int = 0, faithful: bool = False, m
     ``faithful``, else sqrt(n / edges), which leaves as many thin edges as light ones); the forest of the thin part shows
     which edges are light, and only those go on.  ``method``: nested instances all at once, or ``sequential`` runs."""
     g = g.settle()
+    since = mark()
     n, m = max(g.n, 1), g.edges.count()
     runs: list = []
     forest_of = (lambda x: simultaneous_forest(x, log=runs)) if method == "simultaneous" else (lambda x: bucketed_forest(x, growth))
@@ -200,6 +201,7 @@ def minimum_spanning_forest(g: EdgeSet, seed: int = 0, faithful: bool = False, m
     out = with_weights(forest_of(light), edges)
     if log is not None:
         log["instances"] = [r["instances"] for r in runs]
+    sweep(g.edges.sparkSession, since, out)
     return out
 
 

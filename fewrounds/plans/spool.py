@@ -3,10 +3,13 @@
 from __future__ import annotations
 
 import tempfile
+import threading
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
+_own = threading.local()  # the tables that this thread has written
+
 
 def folder(spark: SparkSession) -> str:
     """The shared folder the cluster names; where none is set, one of our own, in local mode only."""
@@ -24,4 +27,29 @@ def cut(df: DataFrame) -> DataFrame:
     """The rows written as Parquet and read back."""
     path = f"{folder(df.sparkSession)}/cut-{uuid.uuid4().hex}"
     df.write.parquet(path)
+    _made().append(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def _made() -> list[str]:
+    if not hasattr(_own, "made"):
+        _own.made = []
+    return _own.made
+
+
+def mark() -> int:
+    """A point in time for ``sweep``."""
+    return len(_made())
+
+
+def sweep(spark: SparkSession, since: int, *alive: DataFrame) -> None:
+    """Deletes the tables that this thread has cut since a mark, but those that ``alive`` still read."""
+    held = {part for df in alive for file in df.inputFiles() for part in file.split("/") if part.startswith("cut-")}
+    context, rest = spark.sparkContext, []
+    for path in _made()[since:]:
+        if path.rsplit("/", 1)[1] in held:
+            rest.append(path)
+        else:
+            at = context._jvm.org.apache.hadoop.fs.Path(path)
+            at.getFileSystem(context._jsc.hadoopConfiguration()).delete(at, True)
+    _made()[since:] = rest
