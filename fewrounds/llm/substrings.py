@@ -125,15 +125,44 @@ def _hash_set(lists: list | None, blobs: list | None) -> np.ndarray:
     return np.unique(np.concatenate([own, *(np.frombuffer(b, np.uint64) for b in blobs or [])]))
 
 
-def _decided(rows: DataFrame, alike) -> DataFrame:
-    """doc_id, hashes, blobs: what each document has of the windows that pass ``alike`` or were decided before.
+def _decided(rows: DataFrame, later_only: bool) -> DataFrame:
+    """doc_id, hashes, blobs: what each document has of the windows that start in a smaller document (``later_only``) or
+    in any other document, and of those that were decided before.
 
-    A window's least and largest document are folded, not held: its rows stream past one row of the fold, which reads
-    the same exchange."""
-    dealt = rows.repartition("g", "c")
-    ends = dealt.groupBy("g", "c").agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high"))
-    seen = dealt.join(ends, ["g", "c"])
-    return seen.where(F.col("more").isNotNull() | alike).groupBy("doc_id").agg(F.collect_list(F.when(F.col("more").isNull(), F.col("g"))).alias("hashes"), F.collect_list("more").alias("blobs"))
+    The rows of a window come sorted by document and stream past: its first document is all that is held of it, and the
+    first row waits until another document is seen."""
+
+    def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        first = None  # the window the last batch ended in: g, c, its first document, and whether that row waits
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            g, c, doc = (batch.column(k).to_numpy() for k in range(3))
+            head = _firsts(g, c)
+            goes_on = first is not None and first[0] == g[0] and first[1] == c[0]
+            group = np.cumsum(head) - 1
+            least = doc[head]
+            if goes_on:
+                least[0] = first[2]
+            later = doc != least[group]
+            more = batch.column(3).is_valid().to_numpy(zero_copy_only=False)
+            several = np.zeros(len(least), bool)
+            several[group[later]] = True
+            waits = goes_on and first[3]
+            alive = more | later
+            if not later_only:
+                alive |= several[group]
+                if goes_on and not first[3]:
+                    alive[group == 0] = True
+                if waits and several[0]:
+                    yield pa.RecordBatch.from_arrays([pa.array([first[2]], pa.int64()), pa.array([first[0]], pa.int64()), pa.array([None], pa.binary())], ["doc_id", "g", "more"])
+            settled = several[-1] or (len(least) == 1 and goes_on and not first[3])
+            first = (g[-1], c[-1], least[-1], not settled)
+            keep = pa.array(alive)
+            yield pa.RecordBatch.from_arrays([batch.column(2).filter(keep), batch.column(0).filter(keep), batch.column(3).filter(keep)], ["doc_id", "g", "more"])
+
+    seen = rows.repartition("g", "c").sortWithinPartitions("g", "c", "doc_id").mapInArrow(judge, "doc_id long, g long, more binary")
+    return seen.groupBy("doc_id").agg(F.collect_list(F.when(F.col("more").isNull(), F.col("g"))).alias("hashes"), F.collect_list("more").alias("blobs"))
 
 
 def _candidates(texts: DataFrame, half: int, length: int) -> DataFrame:
@@ -148,7 +177,7 @@ def _candidates(texts: DataFrame, half: int, length: int) -> DataFrame:
                 yield from pool.flush()
         yield from pool.flush()
 
-    return _decided(texts.where("doc_id IS NOT NULL").mapInArrow(run, _ROWS), F.col("low") < F.col("high"))
+    return _decided(texts.where("doc_id IS NOT NULL").mapInArrow(run, _ROWS), later_only=False)
 
 
 def _extended(joined: DataFrame, half: int, length: int) -> DataFrame:
@@ -180,7 +209,7 @@ def _extended(joined: DataFrame, half: int, length: int) -> DataFrame:
                 yield from pool.flush()
         yield from pool.flush()
 
-    return _decided(joined.select("doc_id", "text", "hashes", "blobs").mapInArrow(run, _ROWS), F.col("low") < F.col("doc_id"))
+    return _decided(joined.select("doc_id", "text", "hashes", "blobs").mapInArrow(run, _ROWS), later_only=True)
 
 
 def _copies(texts: DataFrame) -> DataFrame:
@@ -283,7 +312,7 @@ def _survivors(grid: DataFrame) -> DataFrame:
                     rows.append((doc, at[some], h[some], check[some]))
             yield _grid(rows)
 
-    alive = _decided(grid.mapInArrow(deal, _ROWS), F.col("low") < F.col("high"))
+    alive = _decided(grid.mapInArrow(deal, _ROWS), later_only=False)
     return grid.join(alive, "doc_id").mapInArrow(keep, _GRID)
 
 
