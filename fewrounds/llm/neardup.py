@@ -10,9 +10,9 @@ Equal texts are one node from the start.  Slots are joined to bands; nodes that
 bucket one node at a time is compared with all nodes of other classes, by the exact weighted overlap of their
 multisets; the classes are updated, and a bucket ends when it holds a single class.  Members that have too many
 shingles of their own, which no other document of these buckets has, to be similar to anyone leave it.  After
-``rounds`` such rounds the members that are left are dealt by bucket, in blocks of at most ``BLOCK_BYTES``, and their
-pairs of different classes are settled in place: by size and own shingles, by the share of equal slots (below
-``SLOTS_LEAST`` of them a similarity of 0.8 has a chance of 3 in 10,000), or by exact overlap.  So every candidate
+``rounds`` such rounds the members that are left are dealt by bucket, in blocks of bounded size that meet two by two, and their
+pairs of different classes are settled in place: by size and own shingles, by the share of equal slots (which loses a
+pair of similarity 0.8 with a chance of one in a million; ``slots_least=None`` leaves this test out), or by exact overlap.  So every candidate
 pair ends up settled or in one class already, no pair leaves its task unless it is a link, and a bucket of near copies
 costs about a comparison for each member.
 
@@ -36,7 +36,8 @@ from .spool import dropped, kept
 WORDS, BANDS, ROWS = 5, 20, 5
 SIMILARITY = 0.8
 BLOCK_BYTES = 32 << 20
-SLOTS_LEAST = 0.14  # below the wanted similarity
+BLOCK_ROWS, BLOCKS = 256, 16  # smaller groups are dealt in blocks of so many rows, at most so many blocks
+SLOTS_LEAST = 0.2  # below the wanted similarity; of 100 slots a similarity of 0.8 keeps 60 but for one pair in a million
 U = np.uint64
 
 
@@ -193,7 +194,7 @@ def _linkable(here: DataFrame, similarity: float) -> DataFrame:
     return here.join(least, "bucket").where(shared / (best + F.col("own")) >= similarity).drop("least")
 
 
-def _settled(members: list[tuple], similarity: float, rows: int) -> list[tuple[bytes, bytes]]:
+def _settled(members: list[tuple], similarity: float, rows: int, slots_least: float | None = SLOTS_LEAST) -> list[tuple[bytes, bytes]]:
     """Links between members (node, label, size, own, block, signature, bag) of one bucket that join its classes."""
     n = len(members)
     sig = np.frombuffer(b"".join(m[5] for m in members), np.uint32).reshape(n, -1)
@@ -211,7 +212,7 @@ def _settled(members: list[tuple], similarity: float, rows: int) -> list[tuple[b
         common = np.minimum(size[i] - own[i], size[j] - own[j])
         j = j[common >= similarity * (size[i] + size[j] - common)]
         same = sig[j] == sig[i]
-        j, same = j[(close := same.mean(1) >= similarity - SLOTS_LEAST)], same[close]
+        j, same = j[(close := same.mean(1) >= (-1.0 if slots_least is None else similarity - slots_least))], same[close]
         first = same.reshape(len(j), sig.shape[1] // rows, rows).all(2).argmax(1)  # a pair is settled where it meets first
         for k in j[alike[first]].tolist():
             if label[k] != label[i] and similarity_of(members[i][6], members[k][6]) >= similarity:
@@ -220,14 +221,14 @@ def _settled(members: list[tuple], similarity: float, rows: int) -> list[tuple[b
     return links
 
 
-def _finished(here: DataFrame, signed: DataFrame, bags: DataFrame, similarity: float, rows: int) -> DataFrame:
+def _finished(here: DataFrame, signed: DataFrame, bags: DataFrame, similarity: float, rows: int, slots_least: float | None) -> DataFrame:
     """Links (a, b) between the classes of the buckets' members."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         key, members = None, []
 
         def done() -> pa.RecordBatch:
-            links = _settled(members, similarity, rows) if len(members) > 1 else []
+            links = _settled(members, similarity, rows, slots_least) if len(members) > 1 else []
             return pa.RecordBatch.from_arrays([pa.array([x for x, _ in links], pa.binary()), pa.array([y for _, y in links], pa.binary())], ["a", "b"])
 
         for batch in batches:
@@ -240,7 +241,7 @@ def _finished(here: DataFrame, signed: DataFrame, bags: DataFrame, similarity: f
         if members:
             yield done()
 
-    parts = kept(here.groupBy("bucket").agg(F.ceil(F.sum(F.col("size") * 8 + 1000) / BLOCK_BYTES).cast("int").alias("n")))
+    parts = kept(here.groupBy("bucket").agg(F.greatest(F.ceil(F.sum(F.col("size") * 8 + 1000) / BLOCK_BYTES), F.least(F.ceil(F.count(F.lit(1)) / BLOCK_ROWS), F.lit(BLOCKS))).cast("int").alias("n")))
     dealt = here.join(parts, "bucket").withColumn("block", F.pmod(F.xxhash64("node"), F.col("n")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("n") - 1)))
     whole = kept(signed.join(here.select("node").distinct(), "node", "left_semi").join(bags, "node"))
     full = dealt.join(whole, "node").select("bucket", F.least("block", "other").alias("low"), F.greatest("block", "other").alias("high"), "node", "label", "size", "own", "block", "signature", "bag")
@@ -274,7 +275,7 @@ def classes(links: DataFrame) -> DataFrame:
             return labels
 
 
-def near_classes(docs: DataFrame, similarity: float = SIMILARITY, bands: int = BANDS, rows: int = ROWS, words: int = WORDS, rounds: int = 3) -> DataFrame:
+def near_classes(docs: DataFrame, similarity: float = SIMILARITY, bands: int = BANDS, rows: int = ROWS, words: int = WORDS, rounds: int = 3, slots_least: float | None = SLOTS_LEAST) -> DataFrame:
     """doc_id, class_id, n_links (verified links of the row's text, exact copies aside) and copies (rows with the same
     words) for every row."""
     spark: SparkSession = docs.sparkSession
@@ -312,7 +313,7 @@ def near_classes(docs: DataFrame, similarity: float = SIMILARITY, bands: int = B
             left = kept(joined.where("node <> c.node").select("bucket", "node", *([] if facts is None else ["size", "own"])))
             new = kept(_verified(kept(pairs.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()), bags, similarity))
         else:  # what is left, whole
-            new, done = kept(_finished(here, signed, bags, similarity, rows)), True
+            new, done = kept(_finished(here, signed, bags, similarity, rows, slots_least)), True
         links = new if links is None else links.unionByName(new)
         if not new.isEmpty():
             labels = classes(links)
