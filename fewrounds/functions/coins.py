@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
 
@@ -20,6 +21,15 @@ def coin_filter(df, p: float, seed: int, purpose: str, *keys, portable: bool = F
     return df.where(coin(seed, purpose, *keys, portable=portable) < p)
 
 
+def mixed(x: np.ndarray) -> np.ndarray:
+    """A 64-bit finaliser for arrays (public-domain splitmix64 constants)."""
+    with np.errstate(over="ignore"):
+        x = x + np.uint64(0x9E3779B97F4A7C15)
+        x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+        x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+        return x ^ (x >> np.uint64(31))
+
+
 def priority(label: Column, seed: int, step: int) -> Column:
     return F.xxhash64(F.lit(seed), F.lit(step), label)
 

@@ -12,7 +12,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions.coins import priority
-from ..plans.spool import cut
+from ..plans.spool import cut, cut_and_count
 from .graphs import EdgeSet, symmetrize
 
 TASK_LIMIT = 2_000_000
@@ -72,13 +72,13 @@ def union_find_task(links: DataFrame, weighted: bool = False) -> tuple[DataFrame
     return solved.where("NOT is_edge").select(F.col("a").alias("vid"), F.col("b").alias("comp")), solved.where("is_edge").select(F.col("a").alias("src"), F.col("b").alias("dst"))
 
 
-def pointer_double(parents: DataFrame, limit: int = TASK_LIMIT) -> DataFrame:
+def pointer_double(parents: DataFrame, limit: int = TASK_LIMIT, count: int | None = None) -> DataFrame:
     """vid, root from acyclic pointers (vid, parent); a root points to itself, and so does a parent without a row.
 
-    ``parents`` is read twice, so it should be a written table.  Up to ``limit`` pointers one task doubles them in
+    ``parents`` is read twice, so it should be a written table; ``count`` spares counting it.  Up to ``limit`` pointers one task doubles them in
     memory; beyond it they double by self-joins."""
     up = parents.select("vid", F.col("parent").alias("root"))
-    if up.count() <= limit:
+    if (up.count() if count is None else count) <= limit:
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             parts = [(b.column(0).to_numpy(), b.column(1).to_numpy()) for b in batches if b.num_rows]
@@ -142,8 +142,8 @@ def complete_partition(links: DataFrame, mode: str = "auto", limit: int = TASK_L
 
     ``task``: one task solves all links; ``distributed``: star contraction; ``auto``: by a count against ``limit``."""
     if mode == "auto":
-        links = cut(links)
-        mode = "task" if links.count() <= limit else "distributed"
+        links, n = cut_and_count(links)
+        mode = "task" if n <= limit else "distributed"
     return union_find_task(links, weighted) if mode == "task" else star_contraction(links, seed, weighted)
 
 

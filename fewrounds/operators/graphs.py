@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.coins import coin
-from ..plans.spool import cut
+from ..plans.spool import cut, cut_and_count
 
 TAG = 1 << 40  # typed vertices: tag * TAG + key
 
@@ -33,7 +33,9 @@ class EdgeSet:
         if not hasattr(self, "_written"):
             edges = cut(self.edges)
             vertices = self.vertices if self.listed is None else _ends(edges, self.listed)
-            self._written = EdgeSet(cut(vertices), edges, settled=True)
+            vertices, n = cut_and_count(vertices)
+            self._written = EdgeSet(vertices, edges, settled=True)
+            self._written._n = n
         return self._written
 
 

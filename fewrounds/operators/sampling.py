@@ -3,36 +3,52 @@
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.coins import coin
+from ..functions.coins import coin, mixed
 from ..functions.params import Params
-from ..plans.spool import cut
+from ..plans.spool import cut, cut_and_count
 from .components import pointer_double
 from .graphs import EdgeSet
 
+HIT_ROWS = 50_000  # edges whose hits are sought at a time
+MERGE_ROWS = 2_000_000  # messages that a task holds before it keeps the best of each vertex
 MESSAGE = "v long, x long, size long, sample int, hop long, comp_has_leader boolean, comp_key long"
 
 
 def sample_edges(edges: DataFrame, m: int, p: float, seed: int, portable: bool = False) -> DataFrame:
     """sample, src, dst: each edge joins each of m samples with probability p.
 
-    Hits are found by geometric gaps, so a row costs its hits and not m coins; ``portable`` flips m coins instead."""
+    Hits are found by geometric gaps, so a row costs its hits and not m coins; ``portable`` flips m coins instead.  The
+    gaps come from a hash of seed, edge and step, so a task that is run again finds the same hits."""
     if portable:
         all_ = edges.select("src", "dst", F.explode(F.sequence(F.lit(1), F.lit(m))).alias("sample"))
         return all_.where(coin(seed, "sample", "sample", "src", "dst", portable=True) < p).select("sample", "src", "dst")
     if p >= 1:
         return edges.select(F.explode(F.sequence(F.lit(1), F.lit(m))).alias("sample"), "src", "dst")
     scale = 1 / math.log(1 - p)
-    gap = lambda k: F.floor(F.log(F.greatest(coin(seed, "gap", F.col("src"), F.col("dst"), k), F.lit(1e-15))) * scale).cast("int") + 1
-    most = min(m, math.ceil(m * p + 8 * math.sqrt(m * p) + 16))
-    gaps = F.transform(F.sequence(F.lit(1), F.lit(most)), gap)
-    places = F.aggregate(gaps, F.array().cast("array<int>"), lambda acc, g: F.concat(acc, F.array(F.least(F.coalesce(F.try_element_at(acc, F.lit(-1)), F.lit(0)) + g, F.lit(m + 1)))))
-    return edges.select("src", "dst", F.explode(F.filter(places, lambda x: x <= m)).alias("sample")).select("sample", "src", "dst")
+
+    def skip(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for start in range(0, batch.num_rows, HIT_ROWS):
+                src, dst = (batch.column(k).slice(start, HIT_ROWS).to_numpy() for k in range(2))
+                state = mixed(mixed(src.view(np.uint64) + np.uint64(seed)) ^ dst.view(np.uint64))
+                row, at = np.arange(len(src)), np.zeros(len(src), np.int64)
+                while len(row):
+                    state = mixed(state)
+                    gap = np.floor(np.log(((state >> np.uint64(11)).astype(float) + 0.5) * 2.0**-53) * scale)
+                    at = at + np.minimum(gap, m).astype(np.int64) + 1
+                    going = at <= m
+                    row, at, state = row[going], at[going], state[going]
+                    if len(row):
+                        yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(src[row]), pa.array(dst[row])], ["sample", "src", "dst"])
+
+    return edges.select("src", "dst").mapInArrow(skip, "sample int, src long, dst long")
 
 
 def hits_table_function():
@@ -111,6 +127,50 @@ def solve_sample(samples: DataFrame, p: Params, portable: bool = False) -> DataF
     return samples.withColumns({"ls": flag("src"), "ld": flag("dst")}).groupBy("sample").applyInArrow(boss, MESSAGE)
 
 
+def best_of_samples(samples: DataFrame, p: Params, portable: bool = False) -> DataFrame:
+    """v, x, size, sample, hop: of the messages of ``solve_sample`` the largest of each vertex in each task, so that m
+    samples give a row a task and vertex instead of one a sample and vertex.  A task solves its samples one by one."""
+    flag = lambda c: coin(p.seed, "leader", c, portable=portable) < p.p_leader
+    names = ["v", "x", "size", "sample", "hop"]
+
+    def largest(parts: list[list[np.ndarray]]) -> list[np.ndarray]:
+        cols = [np.concatenate(c) for c in zip(*parts, strict=True)]
+        order = np.lexsort((cols[4], cols[3], cols[2], cols[1], cols[0]))
+        cols = [c[order] for c in cols]
+        last = np.concatenate([cols[0][1:] != cols[0][:-1], [True]])
+        return [c[last] for c in cols]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[list[np.ndarray]] = []
+        now, own = None, []
+
+        def solve() -> None:
+            src, dst, ls, ld = (np.concatenate(c) for c in zip(*own, strict=True))
+            own.clear()
+            t = _solved(now, src, dst, ls, ld, p.n)
+            held.append([t[c].to_numpy() if c != "hop" else t[c].fill_null(-1).to_numpy() for c in names])
+            if sum(len(h[0]) for h in held) > MERGE_ROWS:
+                held[:] = [largest(held)]
+
+        for batch in batches:
+            sample, *cols = (batch.column(k).to_numpy(zero_copy_only=False) for k in range(5))
+            bounds = [0, *(np.flatnonzero(sample[1:] != sample[:-1]) + 1).tolist(), len(sample)]
+            for b, e in zip(bounds, bounds[1:], strict=False):
+                if e > b:
+                    if own and sample[b] != now:
+                        solve()
+                    now = int(sample[b])
+                    own.append([c[b:e] for c in cols])
+        if own:
+            solve()
+        if held:
+            best = largest(held)
+            yield pa.RecordBatch.from_arrays([pa.array(c.astype(np.int32) if n == "sample" else c.astype(np.int64)) for n, c in zip(names, best, strict=True)], names)
+
+    flagged = samples.select("sample", "src", "dst", flag("src").alias("ls"), flag("dst").alias("ld"))
+    return flagged.repartition("sample").sortWithinPartitions("sample").mapInArrow(run, "v long, x long, size long, sample int, hop long")
+
+
 def solve_samples_by_joins(samples: DataFrame, p: Params, portable: bool = False) -> DataFrame:
     """As ``solve_sample``, with no sample in one task: labels and distances spread along the edges of all samples at
     once, a join a step, for as many steps as the longest way in any sample."""
@@ -150,7 +210,12 @@ def contract_by_samples(g: EdgeSet, p: Params, labels_only: bool = False, keep_m
     g = g.settle()
     samples = sample_edges(g.edges, p.num_samples, p.p_edge, p.seed, portable)
     small = p.p_edge * g.edges.count() <= sample_limit
-    messages = solve_sample(samples, p, portable) if small else solve_samples_by_joins(samples, p, portable)
+    if not small:
+        messages = solve_samples_by_joins(samples, p, portable)
+    elif keep_messages or labels_only:
+        messages = solve_sample(samples, p, portable)
+    else:
+        messages = best_of_samples(samples, p, portable)
     if keep_messages or labels_only:
         messages = cut(messages)
     if labels_only:
@@ -159,7 +224,7 @@ def contract_by_samples(g: EdgeSet, p: Params, labels_only: bool = False, keep_m
         labels = g.vertices.join(own, F.col("vid") == F.col("v"), "left").select("vid", F.when(coin(p.seed, "leader", "vid", portable=portable) < p.p_leader, F.col("vid")).otherwise(F.coalesce("comp", "vid")).alias("comp"))
         return cut(labels), g.edges.select("src", "dst").where("false"), messages
     pointers = best_message(messages)
-    parents = cut(g.vertices.join(pointers, F.col("vid") == F.col("v"), "left").select("vid", F.coalesce("hop", "vid").alias("parent")))
-    labels = pointer_double(parents).withColumnRenamed("root", "comp")
+    parents, n = cut_and_count(g.vertices.join(pointers, F.col("vid") == F.col("v"), "left").select("vid", F.coalesce("hop", "vid").alias("parent")))
+    labels = pointer_double(parents, count=n).withColumnRenamed("root", "comp")
     forest = parents.where("vid <> parent").select(F.least("vid", "parent").alias("src"), F.greatest("vid", "parent").alias("dst")).distinct()
     return labels, forest, messages

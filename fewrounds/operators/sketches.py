@@ -18,7 +18,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.coins import trailing_zeros
-from ..plans.spool import cut
+from ..plans.spool import cut, cut_and_count
 from .components import TASK_LIMIT, ComponentResult, UnionFind, complete_partition
 from .graphs import EdgeSet, labelled, relabel
 
@@ -76,7 +76,7 @@ def recovered(sketch: DataFrame, rep: int, seed: int = 0) -> DataFrame:
 
 def merge_in_task(sketch: DataFrame, reps: int, seed: int) -> DataFrame:
     """kind, a, b, n: the coordinator's answer from a sketch of bounded size.  Kind 0: component a went into b; 1: the
-    pair (a, b) joined two of them; 2: in phase a, of n growable components b gave an edge."""
+    pair (a, b) joined two of them; 2: in phase a, of n growable components b gave an edge; 3: none was growable."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         parts = [[c.to_numpy(zero_copy_only=False) for c in b.columns] for b in batches if b.num_rows]
@@ -93,10 +93,11 @@ def merge_in_task(sketch: DataFrame, reps: int, seed: int) -> DataFrame:
             new = np.flatnonzero(np.concatenate([[True], (label[1:] != label[:-1]) | (lev[1:] != lev[:-1])]))
             label, lev = label[new], lev[new]
             src, dst, chk = (np.bitwise_xor.reduceat(x, new) for x in folds)
-            open_ = (src != 0) | (dst != 0)
+            open_ = (src != 0) | (dst != 0) | (chk != 0)  # a fold of crossing edges is empty with a chance of 2^-64
             good = open_ & (src < dst) & (chk == xxhash_of_longs(seed, r, src, dst))
             growable = len(np.unique(label[open_]))
             if not growable:
+                rows.append((3, r, 0, 0))  # every fold is empty: the partition is complete
                 break
             first = np.unique(label[good], return_index=True)[1]
             src, dst = src[good][first], dst[good][first]
@@ -136,9 +137,9 @@ def finish_by_sketches(g: EdgeSet, labels: DataFrame, forest: DataFrame, reps: i
     Sketches of at most ``task_limit`` rows are merged by one coordinator.  With ``exact_below`` a contracted graph of at
     most so many edges is completed from its edges in one task instead; by default none is."""
     g, labels = g.settle(), labels.select("vid", "comp")
+    whole = False
     while True:
-        contracted = cut(relabel(g.edges.select("src", "dst"), labels).select(F.col("cu").alias("src"), F.col("cv").alias("dst"), F.col("e.src").alias("e_src"), F.col("e.dst").alias("e_dst")))
-        count = contracted.count()
+        contracted, count = cut_and_count(relabel(g.edges.select("src", "dst"), labels).select(F.col("cu").alias("src"), F.col("cv").alias("dst"), F.col("e.src").alias("e_src"), F.col("e.dst").alias("e_dst")))
         if not count:
             return ComponentResult(labels, forest)
         if count <= exact_below:
@@ -147,22 +148,24 @@ def finish_by_sketches(g: EdgeSet, labels: DataFrame, forest: DataFrame, reps: i
         else:
             phases = reps or math.ceil(math.log2(count + 1)) + 3
             own = contracted.select("src", "dst", F.explode(F.array("src", "dst")).alias("comp"))
-            sketch = cut(_folded(own, phases, seed))
-            if mode != "distributed" and sketch.count() <= task_limit:
+            sketch, rows = cut_and_count(_folded(own, phases, seed))
+            if mode != "distributed" and rows <= task_limit:
                 solved = merge_in_task(sketch, phases, seed)
                 moved, joined = solved.where("kind = 0").select(F.col("a").alias("vid"), F.col("b").alias("to")), solved.where("kind = 1").select(F.col("a").alias("src"), F.col("b").alias("dst"))
                 if log is not None:
                     log += [{"phase": len(log) + k, "growable": r["n"], "recovered": r["b"]} for k, r in enumerate(solved.where("kind = 2").orderBy("a").collect())]
-                real = joined.join(contracted, ["src", "dst"], "left_semi")
-                if joined.count() != real.count():  # a check sum that met by chance: draw anew
+                more, real = cut_and_count(contracted.join(joined, ["src", "dst"], "left_semi").select(F.col("e_src").alias("src"), F.col("e_dst").alias("dst")))
+                kinds = {r["kind"]: r["count"] for r in solved.groupBy("kind").count().collect()}
+                whole = 3 in kinds
+                if real != kinds.get(1, 0):  # a check sum that met by chance: draw anew
                     seed += 1
                     continue
             else:
                 moved, joined = _merge_by_joins(sketch, contracted, phases, seed, mode, log)
                 moved = moved.withColumnRenamed("comp", "vid")
-            more = contracted.join(joined, ["src", "dst"], "left_semi").select(F.col("e_src").alias("src"), F.col("e_dst").alias("dst"))
+                more = contracted.join(joined, ["src", "dst"], "left_semi").select(F.col("e_src").alias("src"), F.col("e_dst").alias("dst"))
         forest = forest.unionByName(more)
         labels = cut(labels.join(moved.select(F.col("vid").alias("comp"), "to"), "comp", "left").select("vid", F.coalesce("to", "comp").alias("comp")))
-        if count <= exact_below:
+        if whole or count <= exact_below:
             return ComponentResult(labels, forest)
         seed += 1

@@ -8,7 +8,7 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.spool import cut
+from ..plans.spool import cut, cut_and_count
 from .components import complete_partition, pointer_double
 from .graphs import EdgeSet, degrees, labelled, symmetrize
 
@@ -44,9 +44,9 @@ def stage_one(g: EdgeSet, deg: DataFrame) -> tuple[DataFrame, DataFrame, DataFra
     hooks = cut(hook_to_top_neighbour(g, deg))
     back = hooks.select(F.col("v").alias("u"), F.col("u").alias("w"), F.col("d").alias("dw"))
     root = (F.col("w") == F.col("v")) & (F.struct(F.col("dw"), F.col("w")) > F.struct(F.col("d"), F.col("u")))  # of a mutual pair, the higher one
-    parents = cut(hooks.join(back, "u").select(F.col("v").alias("vid"), F.when(root, F.col("v")).otherwise(F.col("u")).alias("parent")))
+    parents, n = cut_and_count(hooks.join(back, "u").select(F.col("v").alias("vid"), F.when(root, F.col("v")).otherwise(F.col("u")).alias("parent")))
     alone = g.vertices.join(hooks.select(F.col("v").alias("vid")), "vid", "left_anti").select("vid", F.col("vid").alias("root"))
-    rooted = pointer_double(parents).unionByName(alone)
+    rooted = pointer_double(parents, count=n).unionByName(alone)
     whole = rooted.join(deg, "vid").groupBy("root").agg(F.min("vid").alias("comp"), F.max("d").alias("cdeg"))
     labels = cut(rooted.join(whole, "root").select("vid", "comp", "cdeg"))
     forest = parents.where("vid <> parent").select(F.least("vid", "parent").alias("src"), F.greatest("vid", "parent").alias("dst"))
@@ -58,10 +58,10 @@ def sparsify_by_degree(g: EdgeSet, s: int, second_stage: bool = True, mode: str
     g = g.settle()
     deg = cut(degrees(g))
     hooks1, labels1, forest = stage_one(g, deg)
-    labels2, hooks2 = labels1, hooks1.where("false")
+    labels2, hooks2, n = labels1, hooks1.where("false"), 0
     if second_stage:
-        hooks2 = cut(hook_to_top_component(g, labels1))
-    if second_stage and not hooks2.isEmpty():
+        hooks2, n = cut_and_count(hook_to_top_component(g, labels1))
+    if n:
         ends = hooks2.select(F.least("v", "u").alias("src"), F.greatest("v", "u").alias("dst")).distinct()
         links = labelled(ends, labels1).select(F.col("comp_src").alias("u"), F.col("comp_dst").alias("v"), F.col("src").alias("e_src"), F.col("dst").alias("e_dst"))
         merged, more = complete_partition(links, mode)

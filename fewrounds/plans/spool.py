@@ -6,7 +6,8 @@ import tempfile
 import threading
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, Observation, SparkSession
+from pyspark.sql import functions as F
 
 _own = threading.local()  # the tables that this thread has written
 
@@ -31,6 +32,13 @@ def cut(df: DataFrame) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def cut_and_count(df: DataFrame) -> tuple[DataFrame, int]:
+    """The rows written and read back, and their number, which the writing job counts on its way."""
+    seen = Observation()
+    out = cut(df.observe(seen, F.count(F.lit(1)).alias("n")))
+    return out, seen.get["n"]
+
+
 def _made() -> list[str]:
     if not hasattr(_own, "made"):
         _own.made = []

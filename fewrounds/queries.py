@@ -623,9 +623,9 @@ def bad_bound(spark: SparkSession, d: str) -> DataFrame:
     """Bad vertices of the order chain against the bound that the pieces give."""
     g, p, (labels, _, messages) = _contracted(spark, d, "order_path")
     done = baselines.exact_local_cc(g)
-    c = cut(analysis.classify_vertices(g, messages, labels, p))
+    c = cut(analysis.classify_vertices(g, messages, labels, p, portable=True))
     tiles = cut(analysis.almost_partition(done.forest, done.labels, max(2, round(p.small))))
-    bound = analysis.piece_bad_bound(tiles, cut(sampling.sample_edges(g.edges, p.num_samples, p.p_edge, p.seed)), done.forest, c)
+    bound = analysis.piece_bad_bound(tiles, cut(sampling.sample_edges(g.edges, p.num_samples, p.p_edge, p.seed, portable=True)), done.forest, c)
     return bound.agg(F.sum("adds").alias("bound")).join(c.agg(F.count_if("bad").alias("bad"))).select((F.col("bad") <= F.col("bound")).alias("bound_ok"))
 
 
