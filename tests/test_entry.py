@@ -8,7 +8,7 @@ from fewrounds.queries import QUERIES, SQL
 from fewrounds.sources.tables import TABLES
 
 SF = "/root/testdata/sf0.001"
-NAMES = [n for n in SQL if n.split("_")[0] in ("join", "agg", "window", "set", "scalar", "topk", "filter", "source", "params", "stream", "cut", "st", "nested", "proxy", "global")]
+NAMES = [n for n in SQL if n.split("_")[0] in ("join", "agg", "window", "set", "scalar", "topk", "filter", "source", "params", "stream", "cut", "st", "nested", "proxy", "global", "contract", "graph", "sink", "function")]
 
 
 @pytest.fixture(scope="module")
