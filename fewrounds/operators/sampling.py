@@ -135,7 +135,7 @@ def best_of_samples(samples: DataFrame, p: Params, portable: bool = False) -> Da
 
     def largest(parts: list[list[np.ndarray]]) -> list[np.ndarray]:
         cols = [np.concatenate(c) for c in zip(*parts, strict=True)]
-        order = np.lexsort((cols[4], cols[3], cols[2], cols[1], cols[0]))
+        order = np.lexsort((cols[2], cols[1], cols[0]))  # stable, and samples come in order: the last of equals has the largest
         cols = [c[order] for c in cols]
         last = np.concatenate([cols[0][1:] != cols[0][:-1], [True]])
         return [c[last] for c in cols]
