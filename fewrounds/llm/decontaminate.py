@@ -17,11 +17,11 @@ from __future__ import annotations
 import hashlib
 from collections.abc import Iterator
 from dataclasses import dataclass
-from functools import reduce
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import textnum as tn
@@ -172,6 +172,25 @@ def blocks(items: DataFrame, window: int, block_bytes: int = BLOCK_BYTES) -> Ite
             yield made
 
 
+def _blocks_ahead(items: DataFrame, window: int, block_bytes: int) -> tuple[Automaton | None, Iterator[Automaton] | None]:
+    """The only automaton (None without items), or all of several."""
+    made = blocks(items, window, block_bytes)
+    first, second = next(made, None), next(made, None)
+    return (first, None) if second is None else (None, chain([first, second], made))
+
+
+def _by_blocks(spark: SparkSession, automata: Iterator[Automaton], scan) -> DataFrame:
+    """The united rows of scan(broadcast automaton) for each automaton.  Each pass is written before the next automaton
+    is built, so that executors hold one at a time."""
+    parts = None
+    for automaton in automata:
+        own = spark.sparkContext.broadcast(automaton)
+        one = kept(scan(own))
+        own.destroy()
+        parts = one if parts is None else parts.unionByName(one)
+    return parts
+
+
 def _ranges(hit: np.ndarray) -> list[list[int]]:
     edge = np.diff(np.concatenate([[0], hit.astype(np.int8), [0]]))
     return np.stack([np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)], 1).tolist()
@@ -187,8 +206,8 @@ SCHEMA = "doc_id long, n_words long, n_hit long, n_items long, items_sha256 stri
 
 def find(docs: DataFrame, items: DataFrame, window: int = WINDOW, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """One row per document; spans: ranges of hit words; items: ids of the items found."""
-    spark = docs.sparkSession
-    held = [spark.sparkContext.broadcast(a) for a in blocks(items, window, block_bytes)] or [spark.sparkContext.broadcast(None)]
+    context = docs.sparkSession.sparkContext
+    first, rest = _blocks_ahead(items, window, block_bytes)
 
     def scanner(own):
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -210,24 +229,25 @@ def find(docs: DataFrame, items: DataFrame, window: int = WINDOW, block_bytes: i
 
         return run
 
-    if len(held) == 1:
-        return docs.select("doc_id", "text").mapInArrow(scanner(held[0]), SCHEMA)
+    if rest is None:
+        return docs.select("doc_id", "text").mapInArrow(scanner(context.broadcast(first)), SCHEMA)
     # more items than one block holds: unite what the blocks found, row by row
     rows = docs.select("doc_id", "text")
     keyed = rows.withColumn("row_key", F.xxhash64("text"))
-    parts = None
-    for own in held:
+
+    def marker(own):
         run = scanner(own)
 
-        def with_key(batches, run=run):
+        def with_key(batches):
             for batch in batches:
                 key, done = batch.column(2), 0
                 for out in run(iter([pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], ["doc_id", "text"])])):
                     yield pa.RecordBatch.from_arrays([*out.columns, key.slice(done, out.num_rows)], [*out.schema.names, "row_key"])
                     done += out.num_rows
 
-        one = keyed.mapInArrow(with_key, SCHEMA + ", row_key long")
-        parts = one if parts is None else parts.unionByName(one)
+        return with_key
+
+    parts = _by_blocks(docs.sparkSession, rest, lambda own: keyed.mapInArrow(marker(own), SCHEMA + ", row_key long"))
     copies = keyed.groupBy("doc_id", "row_key").agg(F.count(F.lit(1)).alias("copies"))
     united = parts.groupBy("doc_id", "row_key", "n_words").agg(F.array_distinct(F.flatten(F.collect_list("spans"))).alias("spans"), F.array_distinct(F.flatten(F.collect_list("items"))).alias("items"))
 
@@ -275,12 +295,11 @@ def remove_spans(docs: DataFrame, items: DataFrame, window: int = WINDOW, max_co
     With several blocks of items the rows are written once and numbered; every block scans the texts as they came, and
     each row is cut and judged once by all its hits, so the answer does not depend on ``block_bytes``.
     """
-    spark = docs.sparkSession
-    held = [spark.sparkContext.broadcast(a) for a in blocks(items, window, block_bytes)]
-    if not held:
+    first, rest = _blocks_ahead(items, window, block_bytes)
+    if first is None and rest is None:
         return docs
-    if len(held) == 1:
-        own = held[0]
+    if rest is None:
+        own = docs.sparkSession.sparkContext.broadcast(first)
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for part, data, offsets in tn.batched(batches, "text"):
@@ -289,6 +308,9 @@ def remove_spans(docs: DataFrame, items: DataFrame, window: int = WINDOW, max_co
 
         return docs.mapInArrow(run, docs.schema)
 
+    names = docs.columns
+    row, hits = (next(n for n in (base + "_" * k for k in range(len(names) + 1)) if n not in names) for base in ("_row", "_spans"))
+
     def marker(own):
         def mark(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for part, data, offsets in tn.batched(batches, "text"):
@@ -297,7 +319,7 @@ def remove_spans(docs: DataFrame, items: DataFrame, window: int = WINDOW, max_co
                 some = np.unique(w.doc[hit])
                 ends = np.cumsum(w.counts)
                 spans = [_ranges(hit[ends[d] - w.counts[d] : ends[d]]) for d in some.tolist()]
-                yield pa.RecordBatch.from_arrays([part.column(0).take(pa.array(some, pa.int64())), pa.array(spans, pa.list_(pa.list_(pa.int64())))], ["_row", "_spans"])
+                yield pa.RecordBatch.from_arrays([part.column(0).take(pa.array(some, pa.int64())), pa.array(spans, pa.list_(pa.list_(pa.int64())))], [row, hits])
 
         return mark
 
@@ -306,13 +328,12 @@ def remove_spans(docs: DataFrame, items: DataFrame, window: int = WINDOW, max_co
             w = tn.words_of(data, offsets, tn.FOLDED_SEPARATORS, lower=True)
             hit = np.zeros(len(w.doc), bool)
             begins = np.cumsum(w.counts) - w.counts
-            for begin, spans in zip(begins.tolist(), part.column(part.schema.get_field_index("_spans")).to_pylist(), strict=True):
+            for begin, spans in zip(begins.tolist(), part.column(part.schema.get_field_index(hits)).to_pylist(), strict=True):
                 for x, y in spans or ():
                     hit[begin + x : begin + y] = True
             yield _without(part.select(names), data, offsets, w, hit, max_coverage)
 
-    names = docs.columns
-    rows = kept(docs.withColumn("_row", F.monotonically_increasing_id()))
-    parts = [rows.select("_row", "text").mapInArrow(marker(own), "_row long, _spans array<array<long>>") for own in held]
-    united = reduce(DataFrame.unionByName, parts).groupBy("_row").agg(F.flatten(F.collect_list("_spans")).alias("_spans"))
-    return rows.join(united, "_row", "left").select(*names, "_spans").mapInArrow(finish, docs.schema)
+    rows = kept(docs.withColumn(row, F.monotonically_increasing_id()))
+    parts = _by_blocks(docs.sparkSession, rest, lambda own: rows.select(row, "text").mapInArrow(marker(own), f"{row} long, {hits} array<array<long>>"))
+    united = parts.groupBy(row).agg(F.flatten(F.collect_list(hits)).alias(hits))
+    return rows.join(united, row, "left").select(*names, hits).mapInArrow(finish, docs.schema)

@@ -102,7 +102,7 @@ def test_spans_do_not_depend_on_blocks(spark):
     items = spark.createDataFrame([(0, " ".join(w[:10])), (1, " ".join(w[5:])), (9, " ".join(f"q{i}" for i in range(12))), (10, " ".join(f"r{i}" for i in range(12)))], "item_id long, text string")
     fill = " ".join(f"f{i}" for i in range(16))
     rows = [(1, f"{fill} {' '.join(w)} end"), (2, f"{' '.join(f'q{i}' for i in range(12))} {fill} {' '.join(f'r{i}' for i in range(12))}"), (2, fill), (None, f"no id {fill} {' '.join(w)}"), (3, None), (None, None)]
-    docs = spark.createDataFrame([(*r, 7) for r in rows], "doc_id long, text string, n_chars long")
+    docs = spark.createDataFrame([(*r, 7, 8, 9) for r in rows], "doc_id long, text string, n_chars long, _row long, _spans long")
     one, many = (sorted(map(str, decontaminate.remove_spans(docs, items, block_bytes=b).collect())) for b in (decontaminate.BLOCK_BYTES, 8))
     assert len(list(decontaminate.blocks(items, 10, 8))) > 2
     assert one == many and len(one) == 5 and not any("p14" in r or "q1" in r for r in one)
