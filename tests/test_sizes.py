@@ -2,11 +2,13 @@
 
 import random
 
+import duckdb
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from fewrounds.operators import graphs, msf
+from fewrounds.queries import QUERIES, SQL
 from fewrounds.sources import derive
 
 
@@ -45,3 +47,30 @@ def test_nearest_vectors_by_blocks(spark, vectors, block):
         near.setdefault(b, []).append((w, a))
     want = sorted({(min(a, b), max(a, b), w) for a, of in near.items() for w, b in sorted(of)[:3]})
     assert rows(derive.embedding_knn(spark, d, block=block).edges) == want
+
+
+@pytest.fixture(scope="module")
+def suppliers(spark, tmp_path_factory):
+    """Suppliers of whom many have one balance, as copies of a table have."""
+    r = random.Random(3)
+    d = str(tmp_path_factory.mktemp("suppliers"))
+    keys = r.sample(range(1000), 60)
+    spark.createDataFrame([(k, r.choice((-5.25, 0.1, 0.2, 0.3, 17.04, 900.91, 9999.99))) for k in keys], "s_suppkey long, s_acctbal double").write.parquet(f"{d}/supplier.parquet")
+    return d
+
+
+def by_sql(d, name):
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW supplier AS SELECT * FROM '{d}/supplier.parquet/*.parquet'")
+    return sorted(con.execute(f"SELECT src, dst, weight FROM ({SQL[name]})").fetchall())
+
+
+@pytest.mark.parametrize("name", ["msf_supplier_line", "msf_uniform_runs"])
+def test_forests_of_suppliers_with_equal_balances(spark, suppliers, name):
+    assert rows(QUERIES[name](spark, suppliers)) == by_sql(suppliers, name)
+
+
+def test_suppliers_too_close_to_tell_keep_all_pairs(spark, tmp_path):
+    x = [1.0, 1.0 + 2.0**-52, 1.0 + 2.0**-51, 2.0, 4096.0]
+    spark.createDataFrame([(9 - k, v) for k, v in enumerate(x)], "s_suppkey long, s_acctbal double").write.parquet(f"{tmp_path}/supplier.parquet")
+    assert derive.supplier_levels(spark, str(tmp_path)).edges.count() == 10
