@@ -74,3 +74,10 @@ def test_suppliers_too_close_to_tell_keep_all_pairs(spark, tmp_path):
     x = [1.0, 1.0 + 2.0**-52, 1.0 + 2.0**-51, 2.0, 4096.0]
     spark.createDataFrame([(9 - k, v) for k, v in enumerate(x)], "s_suppkey long, s_acctbal double").write.parquet(f"{tmp_path}/supplier.parquet")
     assert derive.supplier_levels(spark, str(tmp_path)).edges.count() == 10
+
+
+def test_schedule_and_parameters_follow_the_tables(spark):
+    d = "/root/testdata/sf0.001"
+    rounds = QUERIES["auxiliary_schedule"](spark, d).collect()
+    assert len(rounds) == 16 and sum(r["messages"] for r in rounds) == derive.order_part(spark, d).edges.count()
+    assert {r["source"]: r["n"] for r in QUERIES["params_table"](spark, d).collect()}["orders"] == 1500
