@@ -7,7 +7,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from fewrounds.operators import graphs, msf
+from fewrounds.operators import baselines, graphs, msf
 from fewrounds.queries import QUERIES, SQL
 from fewrounds.sources import derive
 
@@ -81,3 +81,13 @@ def test_schedule_and_parameters_follow_the_tables(spark):
     rounds = QUERIES["auxiliary_schedule"](spark, d).collect()
     assert len(rounds) == 16 and sum(r["messages"] for r in rounds) == derive.order_part(spark, d).edges.count()
     assert {r["source"]: r["n"] for r in QUERIES["params_table"](spark, d).collect()}["orders"] == 1500
+
+
+@pytest.mark.parametrize("block", [5, 2048])
+def test_forest_and_components_of_user_hours_without_all_pairs(spark, tmp_path, block):
+    r, d = random.Random(6), str(tmp_path)
+    spark.createDataFrame([(k, r.randrange(40), 3600 * (r.randrange(25) + 100 * r.randrange(2))) for k in range(150)], "event_id long, user_id long, at long").select("event_id", "user_id", F.timestamp_seconds("at").cast("timestamp_ntz").alias("ts")).write.parquet(f"{d}/events.parquet")
+    every, some, links = derive.user_hour(spark, d), derive.user_hour_pairs(spark, d, block), derive.user_hour_links(spark, d)
+    assert some.edges.count() < every.edges.count() and rows(some.vertices) == rows(every.vertices) == rows(links.vertices)
+    assert rows(msf.exact_local_msf(some)) == rows(msf.exact_local_msf(every))
+    assert rows(baselines.exact_local_cc(links).labels) == rows(baselines.exact_local_cc(every).labels)
