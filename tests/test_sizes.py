@@ -91,3 +91,12 @@ def test_forest_and_components_of_user_hours_without_all_pairs(spark, tmp_path,
     assert some.edges.count() < every.edges.count() and rows(some.vertices) == rows(every.vertices) == rows(links.vertices)
     assert rows(msf.exact_local_msf(some)) == rows(msf.exact_local_msf(every))
     assert rows(baselines.exact_local_cc(links).labels) == rows(baselines.exact_local_cc(every).labels)
+
+
+def test_least_forest_of_a_matrix_with_gaps():
+    far = np.iinfo(np.int64).max
+    keys = np.full((4, 4), far)
+    for k, (i, j) in enumerate(((0, 1), (2, 3))):
+        keys[i, j] = keys[j, i] = k + 5
+    assert sorted(derive._sparsest(keys, True).tolist()) == [5, 6]
+    assert sorted(derive._sparsest(np.array([[1, far, far], [far, 2, 3]]), False).tolist()) == [1, 2, 3]
