@@ -7,7 +7,8 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from fewrounds.operators import baselines, graphs, msf
+from fewrounds.operators import baselines, graphs, msf, sketches
+from fewrounds.operators.components import canonical_labels
 from fewrounds.queries import QUERIES, SQL
 from fewrounds.sources import derive
 
@@ -100,3 +101,24 @@ def test_least_forest_of_a_matrix_with_gaps():
         keys[i, j] = keys[j, i] = k + 5
     assert sorted(derive._sparsest(keys, True).tolist()) == [5, 6]
     assert sorted(derive._sparsest(np.array([[1, far, far], [far, 2, 3]]), False).tolist()) == [1, 2, 3]
+
+
+def test_sketches_by_joins_write_one_repetition_at_a_time(spark, monkeypatch):
+    written = []
+
+    def noted(f):
+        def run(df):
+            if "rep" in df.columns:
+                written.append(df.select("rep").distinct().count())
+            return f(df)
+
+        return run
+
+    for name in ("cut", "cut_and_count"):
+        monkeypatch.setattr(sketches, name, noted(getattr(sketches, name)))
+    g = graphs.generate_graph(spark, "sparse", 300).settle()
+    alone, log = g.vertices.select("vid", F.col("vid").alias("comp")), []
+    done = sketches.finish_by_sketches(g, alone, g.edges.where("false"), task_limit=0, log=log)
+    want = rows(baselines.exact_local_cc(g).labels)
+    assert rows(canonical_labels(g.vertices, done.labels)) == want and done.forest.count() == 300 - len({c for _, c in want})
+    assert len(log) > 1 and max(written) == 1
