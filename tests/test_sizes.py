@@ -7,7 +7,9 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from fewrounds.operators import baselines, graphs, msf, sketches
+from fewrounds.functions.coins import coin
+from fewrounds.functions.params import params_for
+from fewrounds.operators import baselines, blocks, graphs, msf, sampling, sketches
 from fewrounds.operators.components import canonical_labels
 from fewrounds.queries import QUERIES, SQL
 from fewrounds.sources import derive
@@ -122,3 +124,30 @@ def test_sketches_by_joins_write_one_repetition_at_a_time(spark, monkeypatch):
     want = rows(baselines.exact_local_cc(g).labels)
     assert rows(canonical_labels(g.vertices, done.labels)) == want and done.forest.count() == 300 - len({c for _, c in want})
     assert len(log) > 1 and max(written) == 1
+
+
+@pytest.mark.parametrize("kind", ["sparse", "grid"])
+def test_samples_drawn_in_their_tasks(spark, monkeypatch, kind):
+    monkeypatch.setattr(blocks, "CHUNK", 64)
+    g = graphs.generate_graph(spark, kind, 200).settle()
+    p = params_for(g.n, seed=2, num_samples=23, p_edge=0.4, p_leader=0.05)
+    edges = sorted(rows(g.edges.select("src", "dst")))
+    drawn = [(k, *edges[i]) for k in range(1, 24) for i in blocks.drawn(p.seed, k, len(edges), p.p_edge)]
+    assert 0.3 < len(drawn) / (23 * len(edges)) < 0.5
+    samples = spark.createDataFrame(drawn, "sample int, src long, dst long")
+    led = {v for (v,) in rows(g.vertices.where(coin(p.seed, "leader", "vid") < p.p_leader))}
+    want = {(v, hop) for v, hop in sampling.best_message(sampling.solve_sample(samples, p)).collect() if v not in led}
+    for count in (1, 5, None):
+        got = blocks.best_hops(g.edges.repartition(3), p, count).collect()
+        assert len(got) == len(want) and set(map(tuple, got)) == want
+
+
+def test_more_samples_than_may_be_dealt_are_not_written(spark, monkeypatch):
+    def dealt(*_):
+        raise AssertionError("the edges of all samples were dealt")
+
+    monkeypatch.setattr(sampling, "best_of_samples", dealt)
+    g = graphs.generate_graph(spark, "sparse", 200).settle()
+    labels, forest, _ = sampling.contract_by_samples(g, params_for(g.n), keep_messages=False, dealt_limit=10)
+    assert rows(forest.join(g.edges, ["src", "dst"], "left_semi")) == rows(forest)
+    assert labels.count() == 200 and labels.select("comp").distinct().count() == 200 - forest.count()
