@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from fewrounds.functions.coins import coin
 from fewrounds.functions.params import params_for
-from fewrounds.operators import baselines, blocks, graphs, msf, sampling, sketches
+from fewrounds.operators import baselines, blocks, graphs, msf, nested, sampling, sketches
 from fewrounds.operators.components import canonical_labels
 from fewrounds.queries import QUERIES, SQL
 from fewrounds.sources import derive
@@ -151,3 +151,20 @@ def test_more_samples_than_may_be_dealt_are_not_written(spark, monkeypatch):
     labels, forest, _ = sampling.contract_by_samples(g, params_for(g.n), keep_messages=False, dealt_limit=10)
     assert rows(forest.join(g.edges, ["src", "dst"], "left_semi")) == rows(forest)
     assert labels.count() == 200 and labels.select("comp").distinct().count() == 200 - forest.count()
+
+
+def test_instances_unfold_only_edges_that_join(spark, suppliers, monkeypatch):
+    g = derive.supplier_line(spark, suppliers).settle()
+    e = msf.nested_instances(g.edges, g.n).cache()
+    last = e.agg(F.max("first_instance")).first()[0]
+    want = rows(nested.components_of_nested(e, g.vertices, last, unfold_limit=1 << 40))
+    unfolded, whole = [], nested.union_of_nested
+    monkeypatch.setattr(nested, "union_of_nested", lambda edges, *rest: unfolded.append(edges.count()) or whole(edges, *rest))
+    assert last > 20 and rows(nested.components_of_nested(e, g.vertices, last, unfold_limit=0)) == want
+    assert unfolded == [59]
+    for limit in (100, 500):
+        some = nested.joining_edges(e, last, limit)
+        assert 59 <= some.count() < e.count()
+        for k in (1, 2, 5, last):
+            full, few = (baselines.exact_local_cc(graphs.EdgeSet(g.vertices, x.where(F.col("first_instance") <= k).select("src", "dst"))) for x in (e, some))
+            assert rows(full.labels) == rows(few.labels)
