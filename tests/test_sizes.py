@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from fewrounds.functions.coins import coin
 from fewrounds.functions.params import params_for
-from fewrounds.operators import baselines, blocks, graphs, msf, nested, sampling, sketches
+from fewrounds.operators import analysis, baselines, blocks, graphs, msf, nested, sampling, sketches
 from fewrounds.operators.components import canonical_labels
 from fewrounds.queries import QUERIES, SQL
 from fewrounds.sources import derive
@@ -168,3 +168,21 @@ def test_instances_unfold_only_edges_that_join(spark, suppliers, monkeypatch):
         for k in (1, 2, 5, last):
             full, few = (baselines.exact_local_cc(graphs.EdgeSet(g.vertices, x.where(F.col("first_instance") <= k).select("src", "dst"))) for x in (e, some))
             assert rows(full.labels) == rows(few.labels)
+
+
+@pytest.mark.parametrize("kind", ["suppliers", "sparse"])
+def test_sparsification_of_instances_in_tasks(spark, suppliers, monkeypatch, kind):
+    g = derive.supplier_line(spark, suppliers).settle() if kind == "suppliers" else graphs.generate_graph(spark, "hubs", 8).settle()
+    e = g.edges if kind == "suppliers" else g.edges.withColumn("weight", coin(1, "w", "src", "dst"))
+    e = msf.nested_instances(e, 60).cache()
+    last = e.agg(F.max("first_instance")).first()[0]
+    for s, count in ((3, last), (5, min(3, last))):
+        union, split = nested.nested_sparsify(e.where(F.col("first_instance") <= count), g.vertices, count, s)
+        want = rows(analysis.split_measures(union, split, s))
+        assert rows(nested.nested_split_measures(e, g.vertices, count, s)) == rows(nested.nested_split_measures(e, g.vertices, count, s, 2)) == want
+    if kind == "suppliers":
+        monkeypatch.setattr(nested, "UNFOLD_LIMIT", 0)
+        monkeypatch.setattr(nested, "nested_sparsify", None)  # no instances side by side
+        con = duckdb.connect()
+        con.execute(f"CREATE VIEW supplier AS SELECT * FROM '{suppliers}/supplier.parquet/*.parquet'")
+        assert rows(QUERIES["nested_sparsify_all"](spark, suppliers)) == con.execute(SQL["nested_sparsify_all"]).fetchall()
