@@ -27,7 +27,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 from . import textnum as tn
@@ -185,12 +185,13 @@ def _most(size, own, other_size, other_own):
 
 
 def _linkable(here: DataFrame, similarity: float) -> DataFrame:
-    """Without the members that no partner in their bucket can be similar enough to: even the best partner's size,
-    between what a member shares at most and the bucket's least size, gives too little."""
-    least = kept(here.groupBy("bucket").agg(F.min("size").alias("least")))
+    """The rows of buckets that hold several classes, without the members that no partner in their bucket can be similar
+    enough to: even the best partner's size, between what a member shares at most and the bucket's least size, gives too
+    little."""
+    facts = kept(here.groupBy("bucket").agg(F.min("label").alias("low"), F.max("label").alias("high"), F.min("size").alias("least")).where("low <> high").select("bucket", "least"))
     shared = F.col("size") - F.col("own")
     best = F.greatest(F.col("least"), shared)
-    return here.join(least, "bucket").where(shared / (best + F.col("own")) >= similarity).drop("least")
+    return kept(here.join(facts, "bucket").where(shared / (best + F.col("own")) >= similarity).drop("least"))
 
 
 def _settled(members: list[tuple], similarity: float, rows: int, slots_least: float | None = SLOTS_LEAST) -> list[tuple[bytes, bytes]]:
@@ -247,20 +248,28 @@ def _finished(here: DataFrame, signed: DataFrame, bags: DataFrame, similarity: f
     return full.repartition("bucket", "low", "high").sortWithinPartitions("bucket", "low", "high", "node").mapInArrow(run, "a binary, b binary").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
 
 
-def classes(links: DataFrame) -> DataFrame:
-    """node and label (its class's least node) of all nodes of some links (a, b), by hooking and pointer jumping.
+def classes(links: DataFrame, labels: DataFrame | None = None) -> DataFrame:
+    """node and label (its class's least node) of all nodes of some links (a, b), by hooking and pointer jumping; with
+    ``labels`` of earlier links these too, joined further by the new links alone.
 
     Written tables on both sides of each join let the engine split a hot label."""
-    labels = None
+    if labels is not None:
+        a = labels.select(F.col("node").alias("a"), F.col("label").alias("la"))
+        b = labels.select(F.col("node").alias("b"), F.col("label").alias("lb"))
+        over = kept(links.join(a, "a", "left").join(b, "b", "left").select(F.coalesce("la", "a").alias("a"), F.coalesce("lb", "b").alias("b")).where("a <> b").distinct())
+        step = classes(over).select(F.col("node").alias("label"), F.col("label").alias("next"))
+        # a node without label is its own in ``over``
+        return kept(labels.join(step, "label", "full_outer").select(F.coalesce("node", "label").alias("node"), F.coalesce("next", "label").alias("label")))
     while True:
         both = links.select("a", "b").unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b")))
         up = kept(both.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("node"), F.least("a", "m").alias("label")))
         while True:
             over = up.select(F.col("node").alias("label"), F.col("label").alias("next"))
-            moved = kept(up.join(over, "label").select("node", F.col("next").alias("label"), (F.col("next") < F.col("label")).alias("moved")))
+            seen = Observation()
+            moved = kept(up.join(over, "label").select("node", F.col("next").alias("label"), (F.col("next") < F.col("label")).alias("moved")).observe(seen, F.count_if("moved").alias("n")))
             dropped(up)
             up = moved.drop("moved")
-            if moved.where("moved").isEmpty():
+            if not seen.get["n"]:
                 break
         if labels is None:
             labels = up
@@ -269,8 +278,9 @@ def classes(links: DataFrame) -> DataFrame:
             labels = kept(labels.join(step, "label", "left").select("node", F.coalesce("next", "label").alias("label")))
         a = up.select(F.col("node").alias("a"), F.col("label").alias("la"))
         b = up.select(F.col("node").alias("b"), F.col("label").alias("lb"))
-        links = kept(links.join(a, "a").join(b, "b").where("la <> lb").select(F.least("la", "lb").alias("a"), F.greatest("la", "lb").alias("b")).distinct())
-        if links.isEmpty():
+        seen = Observation()
+        links = kept(links.join(a, "a").join(b, "b").where("la <> lb").select(F.least("la", "lb").alias("a"), F.greatest("la", "lb").alias("b")).distinct().observe(seen, F.count(F.lit(1)).alias("n")))
+        if not seen.get["n"]:
             return labels
 
 
@@ -279,10 +289,11 @@ def near_classes(docs: DataFrame, similarity: float = SIMILARITY, bands: int = B
     words) for every row."""
     spark: SparkSession = docs.sparkSession
     sketched = kept(sketch(docs, bands, rows, words))
-    nodes = sketched.where("node IS NOT NULL").groupBy("node").agg(F.min("doc_id").alias("doc_id"), F.count(F.lit(1)).alias("copies"))
-    nodes = kept(nodes)
-    signed = kept(sketched.join(nodes.select("doc_id", "node"), ["doc_id", "node"]).select("node", "signature").dropDuplicates(["node"]))
-    in_bucket = kept(signed.select("node", F.explode(F.array(*(F.xxhash64(F.substring("signature", 1 + 4 * rows * k, 4 * rows), F.lit(k)) for k in range(bands)))).alias("bucket")).distinct())
+    # the signature of a node's words is the same in all its rows
+    nodes = kept(sketched.where("node IS NOT NULL").groupBy("node").agg(F.min("doc_id").alias("doc_id"), F.count(F.lit(1)).alias("copies"), F.first("signature").alias("signature")))
+    signed = nodes.where("doc_id IS NOT NULL").select("node", "signature")
+    nodes = nodes.drop("signature")
+    in_bucket = signed.select("node", F.explode(F.array(*(F.xxhash64(F.substring("signature", 1 + 4 * rows * k, 4 * rows), F.lit(k)) for k in range(bands)))).alias("bucket"))
     full = kept(in_bucket.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("bucket"))
     left = kept(in_bucket.join(full, "bucket"))
     bags = kept(_bags(docs, left.select("node").distinct().join(nodes, "node").where("doc_id IS NOT NULL").select("doc_id", "node"), words))
@@ -295,27 +306,25 @@ def near_classes(docs: DataFrame, similarity: float = SIMILARITY, bands: int = B
             here = left.withColumn("label", F.col("node"))
         else:  # buckets that hold several classes go on, with those members that can have a link at all
             here = kept(left.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node")))
-            here = _mixed(here)
             if facts is None:  # from here on the rows carry them
+                here = _mixed(here)
                 facts = kept(_facts(bags, here.select("node").distinct()))
-                here = here.join(facts, "node")
-            here = _mixed(_linkable(here, similarity))
-            if here.isEmpty():
-                break
+                here = kept(here.join(facts, "node"))
+            here = _linkable(here, similarity)
         if k < rounds:
             rank = F.struct("node", "label") if facts is None else F.struct((F.col("own") / F.col("size")).alias("share"), "node", "label", "size", "own")
-            chosen = kept(here.groupBy("bucket").agg(F.min(rank).alias("c")))
-            joined = here.join(chosen, "bucket")
-            pairs = joined.where("node <> c.node AND label <> c.label").withColumns({"a": F.col("node"), "b": F.col("c.node")})
+            chosen = kept(here.groupBy("bucket").agg(F.min("label").alias("low"), F.max("label").alias("high"), F.min(rank).alias("c")).where("low <> high").select("bucket", "c"))
+            left = kept(here.join(chosen, "bucket").where("node <> c.node"))
+            pairs = left.where("label <> c.label").withColumns({"a": F.col("node"), "b": F.col("c.node")})
             if facts is not None:
                 pairs = pairs.where(_most(F.col("size"), F.col("own"), F.col("c.size"), F.col("c.own")) >= similarity)
-            left = kept(joined.where("node <> c.node").select("bucket", "node", *([] if facts is None else ["size", "own"])))
-            new = kept(_verified(kept(pairs.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()), bags, similarity))
+            left = left.select("bucket", "node", *([] if facts is None else ["size", "own"]))
+            new = kept(_verified(pairs.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), bags, similarity))
         else:  # what is left, whole
-            new, done = kept(_finished(here, signed, bags, similarity, rows, slots_least)), True
+            new, done = kept(_finished(_mixed(here), signed, bags, similarity, rows, slots_least)), True
         links = new if links is None else links.unionByName(new)
         if not new.isEmpty():
-            labels = classes(links)
+            labels = classes(new, labels)
         elif labels is None:
             labels = spark.createDataFrame([], "node binary, label binary")
         if done:
