@@ -96,6 +96,27 @@ def test_forest_and_components_of_user_hours_without_all_pairs(spark, tmp_path,
     assert rows(baselines.exact_local_cc(links).labels) == rows(baselines.exact_local_cc(every).labels)
 
 
+def test_users_travel_once_a_strip_and_edges_are_made_once(spark, tmp_path, monkeypatch):
+    r, d = random.Random(8), str(tmp_path)
+    spark.createDataFrame([(k, r.randrange(60), 3600 * (r.randrange(30) + 2000 * r.randrange(2))) for k in range(400)], "event_id long, user_id long, at long").select("event_id", "user_id", F.timestamp_seconds("at").cast("timestamp_ntz").alias("ts")).write.parquet(f"{d}/events.parquet")
+    every = derive.user_hour(spark, d)
+    monkeypatch.setattr(derive, "LEAST_STRIPS", 2)
+    some = derive.user_hour_pairs(spark, d, 8, 4)
+    assert some.edges.count() <= 3 * 59  # three tasks, each hands on a forest
+    want = rows(msf.exact_local_msf(every))
+    assert rows(msf.exact_local_msf(some)) == want
+    made = spark.sparkContext.accumulator(0)
+
+    def noted(batches):
+        for batch in batches:
+            made.add(batch.num_rows)
+            yield batch
+
+    count = some.edges.count()
+    seen = graphs.EdgeSet(some.vertices, some.edges.mapInArrow(noted, some.edges.schema))
+    assert rows(msf.hook_and_contract_msf(seen)) == want and made.value == count
+
+
 def test_least_forest_of_a_matrix_with_gaps():
     far = np.iinfo(np.int64).max
     keys = np.full((4, 4), far)
