@@ -1,12 +1,14 @@
 """What large tables need: fewer rows between stages, with the rows of the result unchanged."""
 
 import random
+import threading
 
 import duckdb
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from fewrounds import queries
 from fewrounds.functions.coins import coin
 from fewrounds.functions.params import params_for
 from fewrounds.operators import analysis, baselines, blocks, graphs, msf, nested, sampling, sketches
@@ -117,6 +119,19 @@ def test_users_travel_once_a_strip_and_edges_are_made_once(spark, tmp_path, monk
     assert rows(msf.hook_and_contract_msf(seen)) == want and made.value == count
 
 
+def test_forests_of_msf_instances_are_made_side_by_side(spark, monkeypatch):
+    meet = threading.Barrier(3, timeout=30)
+
+    def forest(g, log):
+        meet.wait()
+        log["instances"] = [g]
+        return spark.range(g)
+
+    monkeypatch.setattr(msf, "minimum_spanning_forest", forest)
+    monkeypatch.setattr(queries, "FORESTS", {f"g{k}": lambda spark, d, k=k: k for k in range(1, 4)})
+    assert [tuple(r) for r in QUERIES["msf_instances"](spark, "").collect()] == [(f"g{k}", k, [k], None, None) for k in range(1, 4)]
+
+
 def test_least_forest_of_a_matrix_with_gaps():
     far = np.iinfo(np.int64).max
     keys = np.full((4, 4), far)
