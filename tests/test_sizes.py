@@ -132,6 +132,30 @@ def test_forests_of_msf_instances_are_made_side_by_side(spark, monkeypatch):
     assert [tuple(r) for r in QUERIES["msf_instances"](spark, "").collect()] == [(f"g{k}", k, [k], None, None) for k in range(1, 4)]
 
 
+@pytest.mark.parametrize("kind", ["path", "grid", "tree"])
+def test_messages_by_joins_take_only_what_is_open(spark, monkeypatch, kind):
+    r = random.Random(2)
+    names = r.sample(range(10_000), 80)
+    ids = spark.createDataFrame(list(enumerate(names)), "id long, vid long").cache()
+    e = graphs.generate_graph(spark, kind, 80).edges.join(ids.select(F.col("id").alias("src"), F.col("vid").alias("a")), "src").join(ids.select(F.col("id").alias("dst"), F.col("vid").alias("b")), "dst")
+    g = graphs.build(e.select(F.col("a").alias("src"), F.col("b").alias("dst")))
+    p = params_for(80, seed=1, num_samples=2, p_edge=0.9, p_leader=0.05)
+    samples = sampling.sample_edges(g.edges, 2, 0.9, 1, portable=True)
+    seen, rests = sampling.cut, []
+
+    def noted(df):
+        out = seen(df)
+        if df.columns == ["sample", "v", "u"]:
+            rests.append(out.count())
+        return out
+
+    monkeypatch.setattr(sampling, "cut", noted)
+    found = rows(sampling.solve_samples_by_joins(samples, p, portable=True).fillna(-1))
+    assert len(rests) > 2 and rests[-1] == 0 and all(a > b for a, b in zip(rests, rests[1:], strict=False))
+    want = sampling.solve_sample(samples, p, portable=True).fillna(-1)
+    assert found == rows(want)
+
+
 def test_least_forest_of_a_matrix_with_gaps():
     far = np.iinfo(np.int64).max
     keys = np.full((4, 4), far)
