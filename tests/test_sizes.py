@@ -156,6 +156,48 @@ def test_messages_by_joins_take_only_what_is_open(spark, monkeypatch, kind):
     assert found == rows(want)
 
 
+def test_pieces_of_random_forests():
+    r = random.Random(1)
+    for k in range(400):
+        n, back, s = r.randrange(2, 60), r.choice([1, 2, 3, 10, 60]), r.randrange(1, 8)
+        names = r.sample(range(1000), n)
+        edges = [(names[i], names[0 if k % 7 == 0 else max(0, i - r.randrange(1, back + 1))]) for i in range(1, n) if k % 3 or r.random() < 0.9]
+        if not edges:
+            continue
+        near: dict = {}
+        for a, b in edges:
+            near.setdefault(a, set()).add(b)
+            near.setdefault(b, set()).add(a)
+
+        def reach(v, inside, near=near):
+            seen, stack = {v}, [v]
+            while stack:
+                new = {y for y in near[stack.pop()] if y in inside} - seen
+                seen |= new
+                stack += new
+            return seen
+
+        ids, piece, at, unique = analysis._tiles(*(np.array(x) for x in zip(*edges, strict=True)), s)
+        pieces, places = {}, {}
+        for p, v, u in zip(piece.tolist(), ids[at].tolist(), unique.tolist(), strict=True):
+            pieces.setdefault(p, {})[v] = u
+            places.setdefault(v, []).append(u)
+        assert set(places) == set(near) and len(piece) == sum(map(len, pieces.values()))
+        assert all(len(x) == 1 and x[0] or len(x) > 1 and not any(x) for x in places.values())
+        for own in pieces.values():
+            v = next(iter(own))
+            assert reach(v, own) == set(own) and sum(not u for u in own.values()) <= 1
+            assert len(own) <= 3 * s and (len(own) >= s or set(own) == reach(v, near))
+
+
+def test_pieces_verdict_needs_no_forest_from_one_task(spark, monkeypatch):
+    def never(g):
+        raise AssertionError("all edges in one task")
+
+    monkeypatch.setattr(baselines, "exact_local_cc", never)
+    assert all(r["least_ok"] and r["most_ok"] and r["shared_ok"] for r in QUERIES["almost_partition_verdict"](spark, "/root/testdata/sf0.001").collect())
+
+
 def test_least_forest_of_a_matrix_with_gaps():
     far = np.iinfo(np.int64).max
     keys = np.full((4, 4), far)
